@@ -2,15 +2,21 @@
 
 from __future__ import annotations
 
-from edgesketch.llm import decontam, tokens
+from edgesketch.llm import decontam, quality_rules, tokens, url_filter
 
 
 def queries() -> dict:
     return {
         "op1_benchmark_decontamination": decontam.query,
+        "op3_quality_rules": quality_rules.query,
+        "op4_url_filters": url_filter.query,
         "op8_token_counts": tokens.query,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_benchmark_decontamination": decontam.ORACLE}
+    return {
+        "op1_benchmark_decontamination": decontam.ORACLE,
+        "op3_quality_rules": quality_rules.ORACLE,
+        "op4_url_filters": url_filter.ORACLE,
+    }
