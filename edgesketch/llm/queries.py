@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from edgesketch.llm import decontam, quality_rules, tokens, url_filter
+from edgesketch.llm import decontam, packing, quality_rules, token_files, tokens, url_filter
 
 
 def queries() -> dict:
     return {
         "op1_benchmark_decontamination": decontam.query,
+        "op2_best_fit_packing": packing.query,
         "op3_quality_rules": quality_rules.query,
         "op4_url_filters": url_filter.query,
+        "op6_token_files": token_files.query,
         "op8_token_counts": tokens.query,
     }
 
