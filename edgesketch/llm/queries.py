@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from edgesketch.llm import decontam, packing, quality_rules, token_files, tokens, url_filter
+from edgesketch.llm import decontam, jaccard, packing, quality_rules, token_files, tokens, url_filter
 
 
 def queries() -> dict:
@@ -13,6 +13,7 @@ def queries() -> dict:
         "op4_url_filters": url_filter.query,
         "op6_token_files": token_files.query,
         "op8_token_counts": tokens.query,
+        "op9_ngram_jaccard_join": jaccard.query,
     }
 
 
@@ -21,4 +22,5 @@ def oracle_sql() -> dict[str, str]:
         "op1_benchmark_decontamination": decontam.ORACLE,
         "op3_quality_rules": quality_rules.ORACLE,
         "op4_url_filters": url_filter.ORACLE,
+        "op9_ngram_jaccard_join": jaccard.ORACLE,
     }
