@@ -7,8 +7,8 @@ A document's set are the hashes of its distinct word shingles; equal sets are on
    nearness, ties by how rare they are, and is put to its first ``n - ceil(t n) + 1``. Two classes
    within r share one of those, so no link is lost between the regions of these pivots. How often
    shingles occur is gathered over all documents by lossy counting and orders the ties only.
-2. *Bin pivots.* In the region of a rare shingle, pairs are tested against 64 pivots, the bins of
-   the hash space: by the triangle inequality of the symmetric difference, the sum of |a_g - b_g|
+2. *Bin pivots.* In the region of a rare shingle, pairs are tested against pivots that are the bins
+   of the hash space, 64 or more for large sets: by the triangle inequality of the symmetric difference, the sum of |a_g - b_g|
    over the bins g never exceeds |A xor B|. In the region of a frequent shingle no pairs are made;
    its classes are tied to one centre.
 3. What is tied together by 2 is a region. Its sets are fetched once, and the region is joined
@@ -40,6 +40,13 @@ from edgesketch.llm.common import materialize, partitions_for, table, text_slice
 from edgesketch.llm.components import connected
 
 BINS = 64
+
+
+def bins_for(n: int) -> int:
+    """Bins of a set of n: a power of two, about one for each 16 shingles, so that strangers differ."""
+    return max(BINS, 1 << max(0, (n // 16 - 1).bit_length()))
+
+
 #: A shingle in so many documents is frequent: its region is tied to a centre instead of paired.
 FREQUENT = 32
 #: A shingle in so many documents is ranked behind rarer ones.
@@ -47,7 +54,7 @@ RANKED = 6
 #: Most entries of the ranking table that is broadcast; what is beyond it is only ranked as rare.
 RANKING_ENTRIES = 1 << 20
 #: Classes and shingles of a region that one task joins.
-REGION_CLASSES, REGION_SHINGLES = 20_000, 16_000_000
+REGION_CLASSES, REGION_SHINGLES = 20_000, 6_000_000
 PIVOTS, LEAF = 8, 200
 
 
@@ -131,7 +138,9 @@ def prefixes(docs: DataFrame, width: int, percent: int, ranked) -> DataFrame:
                         if often.any():
                             rank = own[np.lexsort((own, often))]
                     prefix.append(rank[: prefix_length(n, percent)].tobytes() if n else None)
-                    bins.append(np.minimum(np.bincount((own >> np.uint64(58)).astype(np.int64), minlength=BINS), 65535).astype("<u2").tobytes())
+                    b = bins_for(n)
+                    top = (own >> np.uint64(65 - b.bit_length())).astype(np.int64)
+                    bins.append(np.minimum(np.bincount(top, minlength=b), 65535).astype("<u2").tobytes())
                 yield pa.RecordBatch.from_arrays(
                     [batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array(bins, pa.binary())],
                     names=["doc_id", "n", "cid", "prefix", "bins"],
@@ -234,11 +243,19 @@ def candidate_links(wide: DataFrame, percent: int, frequent: int, hot) -> DataFr
 
     def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x, y = (np.frombuffer(b"".join(batch.column(k).to_pylist()), "<u2").reshape(-1, BINS).astype(np.int64) for k in ("ba", "bb"))
-            apart = np.abs(x - y).sum(axis=1)
             both = batch.column("na").to_numpy() + batch.column("nb").to_numpy()
-            # |A xor B| <= (1 - t) / (1 + t) * (|A| + |B|); a bin that is full says nothing
-            keep = (apart * (100 + percent) <= (100 - percent) * both) | (x.max(axis=1, initial=0) == 65535) | (y.max(axis=1, initial=0) == 65535)
+            x, y = batch.column("ba").to_pylist(), batch.column("bb").to_pylist()
+            keep = np.zeros(batch.num_rows, bool)
+            kinds: dict[tuple[int, int], list[int]] = {}
+            for k, (u, v) in enumerate(zip(x, y)):
+                kinds.setdefault((len(u), len(v)), []).append(k)
+            for (lu, lv), some in kinds.items():
+                b = min(lu, lv) // 2
+                u, v = (np.frombuffer(b"".join(z[k] for k in some), "<u2").reshape(len(some), b, -1) for z in (x, y))
+                full = (u.max(axis=(1, 2)) == 65535) | (v.max(axis=(1, 2)) == 65535)  # such a bin says nothing
+                apart = np.abs(u.sum(axis=2, dtype=np.int64) - v.sum(axis=2, dtype=np.int64)).sum(axis=1)
+                # |A xor B| <= (1 - t) / (1 + t) * (|A| + |B|)
+                keep[some] = full | (apart * (100 + percent) <= (100 - percent) * both[some])
             yield batch.select(["a", "b"]).filter(pa.array(keep))
 
     passed = found.where("pair").join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(near, "a long, b long")
@@ -388,7 +405,7 @@ def _part_large(sets: DataFrame, percent: int, most_classes: int, most_shingles:
         told = spark.sparkContext.broadcast(pivots)
 
         def part(rows, told=told, turn=turn):
-            for batch in rows:
+            for batch in (b.slice(i, 256) for b in rows for i in range(0, b.num_rows, 256)):
                 out, found = [], []
                 for region, cid, body, k in zip(*(batch.column(x).to_pylist() for x in ("region", "cid", "body", "k"))):
                     own = told.value.get(region) if k is not None else None
