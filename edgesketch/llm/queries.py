@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from edgesketch.llm import decontam, jaccard, packing, quality_rules, token_files, tokens, url_filter
+from edgesketch.llm import decontam, jaccard, packing, quality_rules, suffix_dedup, token_files, tokens, url_filter
 
 
 def queries() -> dict:
@@ -11,6 +11,7 @@ def queries() -> dict:
         "op2_best_fit_packing": packing.query,
         "op3_quality_rules": quality_rules.query,
         "op4_url_filters": url_filter.query,
+        "op5_suffix_array_dedup": suffix_dedup.query,
         "op6_token_files": token_files.query,
         "op8_token_counts": tokens.query,
         "op9_ngram_jaccard_join": jaccard.query,
