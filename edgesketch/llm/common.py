@@ -4,7 +4,6 @@ from __future__ import annotations
 
 import atexit
 import os
-import re
 import tempfile
 import uuid
 
@@ -13,19 +12,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
-#: Bytes of a batch that goes to a Python worker, so that long texts don't add up to a large one.
-BATCH_BYTES = 32 << 20
-
-
-def bound_batches(spark: SparkSession) -> None:
-    key = "spark.sql.execution.arrow.maxBytesPerBatch"
-    if int(re.sub(r"\D", "", spark.conf.get(key, "0")) or 0) in (0, 2**63 - 1, 2**31 - 1):
-        spark.conf.set(key, str(BATCH_BYTES))
-
-
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """One of the given tables, opened by Spark only, so that any store works."""
-    bound_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
