@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from edgesketch.llm import decontam, jaccard, packing, quality_rules, suffix_dedup, token_files, tokens, url_filter
+from edgesketch.llm import classifier, decontam, html_text, jaccard, packing, quality_rules, suffix_dedup, token_files, tokens, url_filter
 
 
 def queries() -> dict:
@@ -13,8 +13,10 @@ def queries() -> dict:
         "op4_url_filters": url_filter.query,
         "op5_suffix_array_dedup": suffix_dedup.query,
         "op6_token_files": token_files.query,
+        "op7_html_extraction": html_text.query,
         "op8_token_counts": tokens.query,
         "op9_ngram_jaccard_join": jaccard.query,
+        "op10_quality_classifier": classifier.query,
     }
 
 
