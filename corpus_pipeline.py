@@ -4,11 +4,47 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 
+from edgesketch.llm import decontam, jaccard, packing, quality_rules, suffix_dedup
 from edgesketch.llm.common import scratch_path, table
 
-STAGES: list = []
+#: Bytes of a repeated passage that the corpus is cleaned of: less than 50 words of any usual length.
+PASSAGE_BYTES = 200
 
-#: A stage that greedily packs, and one that walks suffixes, are beyond SQL.
+
+def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents that the quality rules reject, and lines that a source repeats."""
+    return quality_rules.apply(docs)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps one document of each group that word 5-shingles link at a Jaccard similarity of 0.8."""
+    return jaccard.keep_one(docs, width=5, percent=80)
+
+
+def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Removes passages that occur more than once."""
+    return suffix_dedup.apply(docs, length=PASSAGE_BYTES)
+
+
+def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Removes the words of benchmark items, or the document if they are most of it."""
+    return decontam.decontaminate(docs, table(spark, sf_dir, "benchmark"))
+
+
+def sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Packs what is left into training sequences."""
+    return packing.pack_documents(docs)
+
+
+STAGES = [
+    ("quality rules", rules),
+    ("n-gram jaccard join", near_duplicates),
+    ("suffix-array dedup", repeated_passages),
+    ("benchmark decontamination", benchmark_passages),
+    ("best-fit packing", sequences),
+]
+
+#: Greedy packing and the removal of repeated bytes are beyond SQL; tests hold the run against brute force.
 ORACLE_SQL = None
 
 

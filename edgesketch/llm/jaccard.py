@@ -456,10 +456,19 @@ def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int =
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """The documents without near-duplicates: of each group of links the one of least doc_id stays."""
-    kept = classes(docs, width, percent).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_kept")).distinct()
-    met = docs.join(kept, F.col("doc_id").cast("long").eqNullSafe(F.col("_kept")), "left_semi")
-    return met.dropDuplicates(["doc_id"]).select(*docs.columns)
+    """The documents without near-duplicates: of each group of links the one of least doc_id stays.
+
+    Rows that repeat a doc_id are copies of one document; one of them stays.
+    """
+    found = materialize(classes(docs, width, percent), "near-duplicates")
+    lost = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_id")).distinct()
+    twice = materialize(found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("_id")), "repeated-ids")
+    own = F.col("doc_id").cast("long")
+    kept = docs.join(lost, own.eqNullSafe(F.col("_id")), "left_anti")
+    if twice.isEmpty():
+        return kept
+    once = kept.join(twice, own.eqNullSafe(F.col("_id")), "left_anti")
+    return once.unionByName(kept.join(twice, own.eqNullSafe(F.col("_id")), "left_semi").dropDuplicates(["doc_id"]))
 
 
 def query(spark, sf_dir: str) -> DataFrame:
