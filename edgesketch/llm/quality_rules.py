@@ -21,7 +21,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from edgesketch.llm.common import table
+from edgesketch.llm.common import materialize, table
 
 SPACE = " \t\n\x0b\x0c\r"
 MIN_WORDS = 20
@@ -123,13 +123,15 @@ FIGURES = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_rep
 
 def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, min_words: int = MIN_WORDS, left_percent: int = LEFT_PERCENT) -> DataFrame:
     """The documents that stay, with all their columns, their text without the lines above the limit."""
-    told = judge(docs, line_limit, min_words, left_percent).where("kept").select(F.col("doc_id").alias("_id"), F.col("host").alias("_host"), F.col("sig").alias("_sig"), "cut").distinct()
+    verdicts = judge(docs, line_limit, min_words, left_percent).select(F.col("doc_id").alias("_id"), F.col("host").alias("_host"), F.col("sig").alias("_sig"), "cut", "kept")
+    # written before it is filtered: a filter pushed below the figures would make a text's words for each window
+    told = materialize(verdicts, "verdicts").where("kept").drop("kept").distinct()
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     own = docs.withColumn("_s", F.xxhash64(text))
     met = own.join(told, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & F.col("source").cast("string").eqNullSafe(F.col("_host")) & (F.col("_s") == F.col("_sig")))
-    hashes = F.transform(_normal_lines(F.col("text")), lambda x: F.xxhash64(x))
-    left = F.filter(F.transform(_lines(F.col("text")), lambda x, i: F.struct(x.alias("x"), F.get(F.col("_lh"), i).alias("h"))), lambda s: ~F.array_contains(F.col("cut"), s["h"]))
-    met = met.withColumn("_lh", F.when(F.col("cut").isNotNull(), hashes))
+    # one zipped array, made once for a text: a column that only a lambda names would be made for each line
+    pairs = F.zip_with(_lines(F.col("text")), F.transform(_normal_lines(F.col("text")), lambda x: F.xxhash64(x)), lambda x, h: F.struct(x.alias("x"), h.alias("h")))
+    left = F.filter(pairs, lambda s: ~F.array_contains(F.col("cut"), s["h"]))
     met = met.withColumn("text", F.when(F.col("cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda s: s["x"]), "\n")))
     if "n_chars" in docs.columns:
         met = met.withColumn("n_chars", F.when(F.col("cut").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
