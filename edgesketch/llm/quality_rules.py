@@ -4,7 +4,7 @@ Base figures of each text come from array functions over its words and lines. Th
 the normalised lines (lower case, runs of digits as 0, trimmed), counts on how many distinct
 documents of a host (``source``) each occurs (exact copies of a text are one document), removes
 lines that occur on more than ``line_limit`` of them, but for the first document that has the line,
-and rejects documents that are depleted: fewer than ``min_words`` words or less than half of their
+and rejects documents that are depleted: fewer than ``least_left`` words or less than half of their
 words are left.
 
 Counting pre-aggregates per (host, line, text) before it counts per (host, line); the lines above
@@ -28,6 +28,7 @@ MIN_WORDS = 20
 REPEAT_PERCENT = 30
 LINE_LIMIT = 20
 LEFT_PERCENT = 50
+LEAST_LEFT = 10
 SALTS = 16
 
 
@@ -105,7 +106,7 @@ def lines_to_cut(measured: DataFrame, common: DataFrame, salts: int = SALTS) ->
     return lost.groupBy("doc_id", "host", "sig").agg(F.collect_set("h").alias("cut"))
 
 
-def judge(docs: DataFrame, line_limit: int = LINE_LIMIT, min_words: int = MIN_WORDS, left_percent: int = LEFT_PERCENT) -> DataFrame:
+def judge(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST_LEFT, left_percent: int = LEFT_PERCENT) -> DataFrame:
     """One row per document with its figures, the words that lines above the limit leave it, and kept."""
     measured = base(docs)
     cut = lines_to_cut(measured.select("doc_id", "host", "sig", "lines"), common_lines(docs, line_limit))
@@ -114,16 +115,16 @@ def judge(docs: DataFrame, line_limit: int = LINE_LIMIT, min_words: int = MIN_WO
     )
     lost = F.aggregate(F.filter("lines", lambda x: F.array_contains(F.col("cut"), x["h"])), F.lit(0).cast("long"), lambda a, x: a + x["n"])
     both = both.select("m.*", F.col("c.cut").alias("cut")).withColumn("words_left", F.col("n_words") - F.when(F.col("cut").isNull(), F.lit(0)).otherwise(lost))
-    depleted = (F.col("words_left") < min_words) | (100 * F.col("words_left") < left_percent * F.col("n_words"))
+    depleted = (F.col("words_left") < least_left) | (100 * F.col("words_left") < left_percent * F.col("n_words"))
     return both.withColumn("kept", ~F.col("base_failed") & ~depleted)
 
 
 FIGURES = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept"]
 
 
-def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, min_words: int = MIN_WORDS, left_percent: int = LEFT_PERCENT) -> DataFrame:
+def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST_LEFT, left_percent: int = LEFT_PERCENT) -> DataFrame:
     """The documents that stay, with all their columns, their text without the lines above the limit."""
-    verdicts = judge(docs, line_limit, min_words, left_percent).select(F.col("doc_id").alias("_id"), F.col("host").alias("_host"), F.col("sig").alias("_sig"), "cut", "kept")
+    verdicts = judge(docs, line_limit, least_left, left_percent).select(F.col("doc_id").alias("_id"), F.col("host").alias("_host"), F.col("sig").alias("_sig"), "cut", "kept")
     # written before it is filtered: a filter pushed below the figures would make a text's words for each window
     told = materialize(verdicts, "verdicts").where("kept").drop("kept").distinct()
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
@@ -157,6 +158,6 @@ lx AS (SELECT * FROM ln WHERE l <> ''),
 cm AS (SELECT host, l, min(doc_id) AS first_doc FROM lx GROUP BY host, l HAVING count(DISTINCT text) > 20),
 cut AS (SELECT lx.doc_id, sum(len(regexp_extract_all(lx.l, '[^\x20\x09-\x0D]+'))) AS n FROM lx JOIN cm ON lx.l = cm.l AND lx.host IS NOT DISTINCT FROM cm.host WHERE lx.doc_id <> cm.first_doc GROUP BY lx.doc_id)
 SELECT f.doc_id, n_words::BIGINT AS n_words, word_chars::BIGINT AS word_chars, n_symbols::BIGINT AS n_symbols, n_dup_lines::BIGINT AS n_dup_lines, n_repeat_words::BIGINT AS n_repeat_words, base_failed,
-       NOT base_failed AND n_words - coalesce(cut.n, 0) >= 20 AND 100 * (n_words - coalesce(cut.n, 0)) >= 50 * n_words AS kept
+       NOT base_failed AND n_words - coalesce(cut.n, 0) >= 10 AND 100 * (n_words - coalesce(cut.n, 0)) >= 50 * n_words AS kept
 FROM f LEFT JOIN cut USING (doc_id)
 """
