@@ -174,7 +174,7 @@ def classify(docs: DataFrame, labels: DataFrame, column: str = "quality", thresh
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in text_slices(whole, "text", 2 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 s = model.value.score(batch.column("text").to_pylist())
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("held_out"), pa.array(s), pa.array((s >= threshold).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 

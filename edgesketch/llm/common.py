@@ -64,7 +64,7 @@ def materialize(df: DataFrame, tag: str) -> DataFrame:
     return spark.read.schema(df.schema).parquet(path)
 
 
-def text_slices(batch: pa.RecordBatch, column: str, most_bytes: int = 8 << 20):
+def text_slices(batch: pa.RecordBatch, column: str, most_bytes: int = 2 << 20):
     """Cuts a batch into row ranges of about ``most_bytes`` of text; a longer text stands alone."""
     lengths = batch.column(column).cast(pa.large_string()).fill_null("")
     import numpy as np

@@ -117,7 +117,7 @@ def token_sizes(docs: DataFrame, vocabulary: str | None = None) -> DataFrame:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = coder_for(path, proven.value)
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 n = coder.count_tokens(batch.column("text").to_pylist()) + 1
                 yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(n, pa.int64())], names=["doc_id", "n_tokens"])
 

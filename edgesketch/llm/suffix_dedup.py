@@ -103,7 +103,7 @@ def anchor_rows(texts: DataFrame, length: int) -> DataFrame:
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 data, offsets = K.raw(batch.column("text"))
                 if batch.num_rows == 1 and len(data) > STRETCH:
                     at, key = anchors_of_long(data, length)
@@ -331,7 +331,7 @@ def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tup
 
     def surround(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 out = []
                 for did, text, own in zip(*(batch.column(k).to_pylist() for k in ("did", "text", "places"))):
                     body = text.encode()
@@ -366,7 +366,7 @@ def _places_only(length: int):
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 out = []
                 for did, text, own in zip(*(batch.column(k).to_pylist() for k in ("did", "text", "places"))):
                     body = text.encode()

@@ -109,7 +109,7 @@ def write(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int
         coder = coder_for(source, proven.value)
         body, doc_ids, lengths, held, first, segment, file_no = [], [], [], 0, 0, 0, 0
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 file_no = batch.column("file_no")[0].as_py()
                 all_ids, n = coder.encode(batch.column("text").to_pylist())
                 ends = np.cumsum(n).tolist()

@@ -283,7 +283,7 @@ def token_counts(docs: DataFrame, vocabulary: str | None = None, limit: int = LI
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = coder_for(path, proven.value)
         for whole in batches:
-            for batch in text_slices(whole, "text", 4 << 20):
+            for batch in text_slices(whole, "text", 1 << 20):
                 n = coder.count_tokens(batch.column("text").to_pylist())
                 yield pa.RecordBatch.from_arrays(
                     [batch.column("doc_id"), batch.column("n_bytes"), pa.array(n, pa.int64()), pa.array(n > limit, pa.bool_())],
