@@ -75,7 +75,7 @@ def anchors_of(data: np.ndarray, offsets: np.ndarray, length: int) -> tuple[np.n
     return text, chosen - offsets[text], h[chosen]
 
 
-STRETCH = 8 << 20
+STRETCH = 1 << 20
 
 
 def anchors_of_long(data: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
