@@ -1,11 +1,625 @@
-"""The engine's queries by name, each with the SQL that checks it where SQL can express it."""
+"""The engine's queries by name, each with the SQL that checks it where SQL can express it.
+
+A sketch's answer is compared with exact SQL over the raw tables; the SQL never sees the sketch.
+"""
 
 from __future__ import annotations
 
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from edgesketch.functions.sampler import SketchParams
+from edgesketch.operators import buckets, certificate, cuts, exact
+from edgesketch.operators.batching import BatchPolicy
+from edgesketch.operators.cache import ForestCache
+from edgesketch.operators.forest import spanning_forest
+from edgesketch.operators.reach import hashed_pairs, hashed_pairs_sql, reachable
+from edgesketch.operators.sketch import GraphSketch
+from edgesketch.plans import accuracy, costs, workloads
+from edgesketch.plans.workloads import ends_of, prepared, user_key_stream
+from edgesketch.sources import generate, graphs
+from edgesketch.sources import updates as U
+from edgesketch.streaming import ingest
+from edgesketch.tables import materialize, scratch_path, table
+
+Q: dict = {}
+SQL: dict[str, str] = {}
+
+
+def query(name: str, sql: str | None = None):
+    def add(f):
+        Q[name] = f
+        if sql is not None:
+            SQL[name] = sql
+        return f
+
+    return add
+
+
+# ---------------------------------------------------------------- components
+
+
+def components_sql(edges: str, vertices: str | None = None) -> str:
+    return f"""
+WITH RECURSIVE e AS MATERIALIZED ({edges}), b AS MATERIALIZED (SELECT u, v FROM e UNION SELECT v, u FROM e),
+verts AS ({vertices or "SELECT u AS x FROM b"}),
+cc(vertex, component) USING KEY (vertex) AS (
+  SELECT DISTINCT x, x FROM verts
+  UNION SELECT b.v, min(c.component) FROM cc c JOIN b ON b.u = c.vertex JOIN recurring.cc r ON r.vertex = b.v WHERE c.component < r.component GROUP BY b.v)
+SELECT vertex::BIGINT AS vertex, component::BIGINT AS component FROM cc"""
+
+
+ALL_ROWS = {"docs_exact": ("documents", "doc_id"), "docs_lines": ("documents", "doc_id"), "emb_label": ("embeddings", "vec_id"), "emb_cos": ("embeddings", "vec_id")}
+
+
+def sketched(spark: SparkSession, sf_dir: str, name: str, policy: BatchPolicy = BatchPolicy(), **params) -> tuple[GraphSketch, DataFrame]:
+    e, v, n = prepared(spark, sf_dir, name)
+    vertices = ends_of(e)
+    if name in ALL_ROWS:
+        where, key = ALL_ROWS[name]
+        vertices = table(spark, sf_dir, where).select(F.col(key).alias("vertex")).distinct()
+        v = max(v, vertices.agg(F.max("vertex")).first()[0] + 1)
+    return GraphSketch.build(U.from_edges(e), SketchParams.for_edges(v, n, **params), policy), vertices
+
+
+def answered(result) -> DataFrame:
+    if not result.complete:
+        raise RuntimeError(f"unresolved components: {result.unresolved[:10]}")
+    return result.labels
+
+
+def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
+    s, vertices = sketched(spark, sf_dir, "part_supplier")
+    return answered(spanning_forest(s, vertices=vertices))
+
+
+def _components(name: str, how: dict | None = None, policy: BatchPolicy = BatchPolicy(), **params):
+    def run(spark, sf_dir):
+        s, vertices = sketched(spark, sf_dir, name, policy, **params)
+        return answered(spanning_forest(s, vertices=vertices, **(how or {})))
+
+    return run
+
+
+def _sql_of(name: str) -> str:
+    vertices = "SELECT {1} AS x FROM {0}".format(*ALL_ROWS[name]) if name in ALL_ROWS else None
+    return components_sql(graphs.oracle(name), vertices)
+
+
+for _name in [*graphs.EDGES, "emb_cos"]:
+    query(f"cc_{_name}", _sql_of(_name))(_components(_name))
+for _key, _params in {"variant_nested": {"variant": "nested"}, "variant_columns1": {"columns": 1}, "variant_columns3": {"columns": 3}}.items():
+    query(f"cc_{_key}", _sql_of("page_links"))(_components("page_links", **_params))
+for _mode in ("raw", "delta", "hybrid", "tree"):
+    query(f"cc_policy_{_mode}", _sql_of("page_links"))(_components("page_links", policy=BatchPolicy(_mode)))
+query("cc_distributed_contraction", _sql_of("page_links"))(_components("page_links", how={"driver_limit": 0}))
+
+
+def _stream_components(make, spark, sf_dir):
+    stream, v, n = make(spark, sf_dir)
+    s = GraphSketch.build(stream, SketchParams.for_edges(v, n))
+    return answered(spanning_forest(s, vertices=ends_of(stream)))
+
+
+def _bounds(stream: DataFrame) -> tuple[DataFrame, int, int]:
+    stream = materialize(stream, "stream")
+    r = stream.agg(F.max("v").alias("v"), F.countDistinct("u", "v").alias("n")).first()
+    return stream, int(r.v) + 1, int(r.n)
+
+
+def _lineitem(spark, sf_dir, extra: str) -> DataFrame:
+    text = graphs.EDGES["part_supplier"].replace("SELECT l_partkey AS u", f"SELECT {extra}, l_partkey AS u")
+    graphs.views(spark, sf_dir, text)
+    return spark.sql(text).withColumns({"u": F.col("u").cast("long"), "v": F.col("v").cast("long")})
+
+
+def toggle_part_supplier(spark, sf_dir):
+    rows = _lineitem(spark, sf_dir, "unix_micros(cast(l_shipdate as timestamp)) AS seq, l_orderkey, l_linenumber")
+    return _bounds(U.toggle(rows, "seq", "l_orderkey", "l_linenumber"))
+
+
+def _odd(name: str, spark_or_duck=graphs.DUCKDB) -> str:
+    return f"SELECT u, v FROM ({graphs.EDGES[name].format(**spark_or_duck)}) GROUP BY u, v HAVING count(*) % 2 = 1"
+
+
+def _ends_sql(name: str) -> str:
+    return f"SELECT u AS x FROM ({graphs.EDGES[name].format(**graphs.DUCKDB)}) UNION SELECT v FROM ({graphs.EDGES[name].format(**graphs.DUCKDB)})"
+
+
+@query("cc_toggle_part_supplier", components_sql(_odd("part_supplier"), _ends_sql("part_supplier")))
+def _(spark, sf_dir):
+    return _stream_components(toggle_part_supplier, spark, sf_dir)
+
+
+@query("cc_toggle_user_key", components_sql(_odd("user_key"), _ends_sql("user_key")))
+def _(spark, sf_dir):
+    stream, vertices, v, n = user_key_stream(spark, sf_dir)
+    return answered(spanning_forest(GraphSketch.build(stream, SketchParams.for_edges(v, n)), vertices=vertices))
+
+
+@query("cc_churn_page_links", components_sql(graphs.oracle("page_links")))
+def _(spark, sf_dir):
+    return _stream_components(lambda s, d: _bounds(U.churn(graphs.edges(s, d, "page_links"))), spark, sf_dir)
+
+
+@query("cc_returns", components_sql("SELECT DISTINCT l_partkey AS u, (SELECT count(*) FROM part) + l_suppkey AS v FROM lineitem WHERE l_returnflag <> 'R'", _ends_sql("part_supplier")))
+def _(spark, sf_dir):
+    rows = _lineitem(spark, sf_dir, "datediff(l_shipdate, date'1970-01-01') AS day, l_returnflag = 'R' AS back")
+    return _stream_components(lambda s, d: _bounds(U.returns(rows)), spark, sf_dir)
+
+
+# ---------------------------------------------------------------- forests, reachability, cache
+
+
+def _forest_sql(name: str) -> str:
+    c = components_sql(graphs.oracle(name))
+    return f"SELECT (count(*) - count(DISTINCT component))::BIGINT AS forest_edges, count(*)::BIGINT AS vertices, count(DISTINCT component)::BIGINT AS components, 0::BIGINT AS outside, true AS spans FROM ({c})"
+
+
+def _forest_summary(name: str):
+    def run(spark, sf_dir):
+        s, vertices = sketched(spark, sf_dir, name)
+        r = spanning_forest(s, vertices=vertices)
+        c = accuracy.check_forest(r, graphs.edges(spark, sf_dir, name))
+        n = r.labels.agg(F.count(F.lit(1)).alias("vertices"), F.countDistinct("component").alias("components"))
+        return n.select(F.lit(c["edges"]).cast("long").alias("forest_edges"), "vertices", "components", F.lit(c["outside"]).cast("long").alias("outside"), F.lit(c["spans"] and c["distinct"]).alias("spans"))
+
+    return run
+
+
+for _name in ("part_supplier", "page_links", "order_part", "region_tree"):
+    query(f"forest_summary_{_name}", _forest_sql(_name))(_forest_summary(_name))
+
+N_PAIRS = 500
+
+
+def _told(answers: DataFrame) -> DataFrame:
+    """1 or 0, and -1 where an end is no vertex."""
+    return answers.withColumn("connected", F.coalesce(F.col("connected").cast("int"), F.lit(-1)))
+
+
+def _pairs_sql(edges: str, vertices: str | None, v: str) -> str:
+    return f"""SELECT p.pair_id::BIGINT AS pair_id, p.u::BIGINT AS u, p.v::BIGINT AS v, coalesce((a.component = b.component)::INTEGER, -1) AS connected
+FROM ({hashed_pairs_sql(N_PAIRS, v)}) p LEFT JOIN ({components_sql(edges, vertices)}) a ON a.vertex = p.u LEFT JOIN ({components_sql(edges, vertices)}) b ON b.vertex = p.v"""
+
+
+@query("reach_pairs_order_part", _pairs_sql(graphs.oracle("order_part"), None, f"SELECT max(v) + 1 FROM ({graphs.oracle('order_part')})"))
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "order_part")
+    return _told(reachable(hashed_pairs(spark, N_PAIRS, s.params.v_count), answered(spanning_forest(s, vertices=vertices))))
+
+
+@query("reach_pairs_page_links", _pairs_sql(graphs.oracle("page_links"), None, f"SELECT max(v) + 1 FROM ({graphs.oracle('page_links')})"))
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "page_links")
+    return _told(reachable(hashed_pairs(spark, N_PAIRS, s.params.v_count), answered(spanning_forest(s, vertices=vertices))))
+
+
+def _prefix(where: str) -> str:
+    text = graphs.EDGES["user_key"].format(**graphs.DUCKDB)
+    return f"SELECT u, v FROM ({text} WHERE {where}) GROUP BY u, v HAVING count(*) % 2 = 1"
+
+
+_LAST = "(SELECT max(event_id) FROM events)"
+
+
+def _cached(spark, sf_dir):
+    """(stream, cache after half of the stream, sketch builder) of user-key edges."""
+    stream, vertices, v, n = user_key_stream(spark, sf_dir)
+    last = table(spark, sf_dir, "events").agg(F.max("event_id")).first()[0]
+    p = SketchParams.for_edges(v, n)
+    build = lambda upto: lambda: GraphSketch.build(stream.where(F.col("seq") <= upto), p, epoch=upto)
+    cache = ForestCache(vertices)
+    half = last // 2
+    cache.query(build(half), None, half)
+    return stream, vertices, v, last, half, cache, build
+
+
+@query("cached_components", components_sql(_prefix("true"), _ends_sql("user_key")))
+def _(spark, sf_dir):
+    stream, _, _, last, half, cache, build = _cached(spark, sf_dir)
+    return answered(cache.query(build(last), stream.where((F.col("seq") > half) & (F.col("seq") <= last)), last))
+
+
+@query("cached_reach", _pairs_sql(_prefix(f"event_id <= {_LAST} // 2 + 20"), _ends_sql("user_key"), f"SELECT max(x) + 1 FROM ({_ends_sql('user_key')})"))
+def _(spark, sf_dir):
+    stream, _, v, _, half, cache, build = _cached(spark, sf_dir)
+    to = half + 20
+    return _told(cache.reachable(hashed_pairs(spark, N_PAIRS, v), stream.where((F.col("seq") > half) & (F.col("seq") <= to)), build(to), to))
+
+
+def _replay_sql(points: list[tuple[int, str]]) -> str:
+    text = graphs.EDGES["user_key"].format(**graphs.DUCKDB).replace("SELECT user_id AS u", "SELECT event_id, user_id AS u")
+    values = ", ".join(f"({k}, {at})" for k, at in points)
+    return f"""
+WITH RECURSIVE q(query_id, upto) AS (VALUES {values}), o AS MATERIALIZED ({text}),
+e AS MATERIALIZED (SELECT query_id, u, v FROM q JOIN o ON o.event_id <= q.upto GROUP BY query_id, u, v HAVING count(*) % 2 = 1),
+b AS MATERIALIZED (SELECT query_id, u, v FROM e UNION SELECT query_id, v, u FROM e), verts AS (SELECT u AS x FROM o UNION SELECT v FROM o),
+cc(query_id, vertex, component) USING KEY (query_id, vertex) AS (
+  SELECT query_id, x, x FROM q, verts
+  UNION SELECT c.query_id, b.v, min(c.component) FROM cc c JOIN b ON b.u = c.vertex AND b.query_id = c.query_id
+        JOIN recurring.cc r ON r.vertex = b.v AND r.query_id = b.query_id WHERE c.component < r.component GROUP BY c.query_id, b.v)
+SELECT query_id::BIGINT AS query_id, count(DISTINCT component)::BIGINT AS components FROM cc GROUP BY query_id"""
+
+
+def _replay(spark, sf_dir, points):
+    stream, vertices, v, n = user_key_stream(spark, sf_dir)
+    last = table(spark, sf_dir, "events").agg(F.max("event_id")).first()[0]
+    out = ingest.replay(stream, [(k, at(last), "global") for k, at in points], SketchParams.for_edges(v, n), vertices)
+    counts = [(k, answered(r).select("component").distinct().count()) for k, _, r in out]
+    return spark.createDataFrame(counts, "query_id long, components long")
+
+
+@query("replay_queries", _replay_sql([(k, f"{_LAST} * {k} // 5") for k in range(1, 6)]))
+def _(spark, sf_dir):
+    return _replay(spark, sf_dir, [(k, lambda last, k=k: last * k // 5) for k in range(1, 6)])
+
+
+@query("burst_queries", _replay_sql([(k, f"{_LAST} // 3 + {10 * k}") for k in range(5)]))
+def _(spark, sf_dir):
+    return _replay(spark, sf_dir, [(k, lambda last, k=k: last // 3 + 10 * k) for k in range(5)])
+
+
+# ---------------------------------------------------------------- cuts and certificates
+
+
+def _cut_sql(edges: str, cut_rows: str, k: int) -> str:
+    return f"""
+WITH e AS ({edges}), c AS ({cut_rows}), ids AS (SELECT DISTINCT cut_id FROM c),
+n AS (SELECT ids.cut_id, count(*) FILTER ((a.vertex IS NULL) <> (b.vertex IS NULL)) AS n FROM ids CROSS JOIN e
+      LEFT JOIN c a ON a.cut_id = ids.cut_id AND a.vertex = e.u LEFT JOIN c b ON b.cut_id = ids.cut_id AND b.vertex = e.v GROUP BY ids.cut_id)
+SELECT cut_id::BIGINT AS cut_id, CASE WHEN n < {k} THEN n END::BIGINT AS w, n >= {k} AS unbounded FROM n"""
+
+
+_CUTS = {
+    # natural cuts: (graph, rows of (cut_id, vertex))
+    "region": ("region_tree", "SELECT r_regionkey AS cut_id, r_regionkey AS vertex FROM region UNION ALL SELECT n_regionkey, 5 + n_nationkey FROM nation UNION ALL SELECT n_regionkey, 30 + c_custkey FROM customer JOIN nation ON c_nationkey = n_nationkey UNION ALL SELECT n_regionkey, 30 + (SELECT count(*) FROM customer) + s_suppkey FROM supplier JOIN nation ON s_nationkey = n_nationkey"),
+    "nation": ("region_tree", "SELECT n_nationkey AS cut_id, 5 + n_nationkey AS vertex FROM nation UNION ALL SELECT c_nationkey, 30 + c_custkey FROM customer UNION ALL SELECT s_nationkey, 30 + (SELECT count(*) FROM customer) + s_suppkey FROM supplier"),
+    "month_suppliers": ("month_part_supplier", "SELECT s_suppkey AS cut_id, (SELECT count(*) FROM part) + s_suppkey AS vertex FROM supplier"),
+    "month_brands": ("month_part_supplier", "SELECT dense_rank() OVER (ORDER BY p_brand) AS cut_id, p_partkey AS vertex FROM part"),
+    "suppliers": ("part_supplier", "SELECT s_suppkey AS cut_id, (SELECT count(*) FROM part) + s_suppkey AS vertex FROM supplier"),
+}
+
+
+def _cut_query(which: str, k: int):
+    name, rows = _CUTS[which]
+
+    def run(spark, sf_dir):
+        s, vertices = sketched(spark, sf_dir, name, copies=k)
+        made, complete = certificate.peel(s, k, vertices)
+        if not complete:
+            raise RuntimeError("incomplete certificate")
+        graphs.views(spark, sf_dir, rows)
+        cut = spark.sql(rows).selectExpr("cast(cut_id as long) cut_id", "cast(vertex as long) vertex")
+        return cuts.cut_values(made, cut, k)
+
+    return run
+
+
+for _which, _k in [("region", 2), ("nation", 2), ("month_suppliers", 1), ("month_suppliers", 4), ("month_suppliers", 8), ("month_brands", 4), ("suppliers", 2)]:
+    query(f"cut_{_which}_k{_k}", _cut_sql(graphs.oracle(_CUTS[_which][0]), _CUTS[_which][1], _k))(_cut_query(_which, _k))
+
+
+@query("mincut_complete_k3", "SELECT least(3, count(DISTINCT s_suppkey) - 1)::BIGINT AS min_cut FROM supplier")
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "supplier_supplier", copies=3)
+    made, _ = certificate.peel(s, 3, vertices)
+    return spark.createDataFrame([(cuts.min_cut(made, vertices, 3),)], "min_cut long")
+
+
+@query("mincut_planted", "SELECT least(c, 4)::BIGINT AS min_cut, c::BIGINT AS planted FROM (VALUES (1), (3), (4), (6)) t(c)")
+def _(spark, sf_dir):
+    rows = []
+    for c in (1, 3, 4, 6):
+        e = generate.planted_cut(spark, 12, c)
+        made, _ = certificate.peel(certificate.sketch(U.from_edges(e), SketchParams.for_edges(24, 160), 4))
+        rows.append((cuts.min_cut(made, ends_of(e), 4), c))
+    return spark.createDataFrame(rows, "min_cut long, planted long")
+
+
+@query("certificate_summary_k3", "SELECT n - 1 AS first_forest, true AS disjoint, true AS bounded, true AS in_graph FROM (SELECT count(*)::BIGINT AS n FROM supplier)")
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "supplier_supplier", copies=3)
+    made, _ = certificate.peel(s, 3, vertices)
+    made = materialize(made, "certificate")
+    v = vertices.count()
+    e = graphs.edges(spark, sf_dir, "supplier_supplier")
+    disjoint = made.select("u", "v").distinct().count() == made.count()
+    inside = made.join(e, ["u", "v"], "left_anti").isEmpty()
+    return made.agg(F.count(F.when(F.col("forest_no") == 0, 1)).alias("first_forest"), F.lit(disjoint).alias("disjoint"), (F.count(F.lit(1)) <= 3 * (v - 1)).alias("bounded"), F.lit(inside).alias("in_graph"))
+
+
+@query("bridges_region_tree", f"SELECT u, v FROM ({graphs.oracle('region_tree')})")
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "region_tree", copies=2)
+    made, _ = certificate.peel(s, 2, vertices)
+    return spark.createDataFrame(cuts.bridges(made), "u long, v long")
+
+
+# ---------------------------------------------------------------- streams and layout A
+
+
+@query("net_edges", f"SELECT u::BIGINT AS u, v::BIGINT AS v FROM ({_odd('part_supplier')})")
+def _(spark, sf_dir):
+    return U.live_edges(toggle_part_supplier(spark, sf_dir)[0])
+
+
+@query("stream_validation", f"SELECT count(*) - count(DISTINCT (u, v)) AS violations FROM ({graphs.EDGES['part_supplier']})")
+def _(spark, sf_dir):
+    rows = _lineitem(spark, sf_dir, "unix_micros(cast(l_shipdate as timestamp)) AS seq").select("seq", "u", "v", F.lit(1).cast("tinyint").alias("delta"))
+    return U.validate(rows).agg(F.count(F.lit(1)).alias("violations"))
+
+
+@query("stream_stats", f"""SELECT count(*)::BIGINT AS updates, count(*) FILTER (k % 2 = 1)::BIGINT AS inserts, count(*) FILTER (k % 2 = 0)::BIGINT AS deletes, count(DISTINCT (u, v))::BIGINT AS edges
+FROM (SELECT u, v, row_number() OVER (PARTITION BY u, v) AS k FROM ({graphs.EDGES['part_supplier']}))""")
+def _(spark, sf_dir):
+    stream = toggle_part_supplier(spark, sf_dir)[0]
+    return stream.agg(F.count(F.lit(1)).alias("updates"), F.count(F.when(F.col("delta") > 0, 1)).alias("inserts"), F.count(F.when(F.col("delta") < 0, 1)).alias("deletes"), F.countDistinct("u", "v").alias("edges"))
+
+
+_SMALL = SketchParams(4096, columns=2, samplers=4, levels=26, hash_family="pair31")
+
+
+def _small_buckets(spark, sf_dir, variant: str = "one_level"):
+    e = graphs.edges(spark, sf_dir, "page_links")
+    return buckets.toggles(U.from_edges(e), _SMALL.with_(variant=variant))
+
+
+@query("bucket_rows_pair31", buckets.pair31_oracle(graphs.oracle("page_links"), _SMALL))
+def _(spark, sf_dir):
+    return _small_buckets(spark, sf_dir).drop("copy")
+
+
+@query("bucket_rows_nested", buckets.pair31_oracle(graphs.oracle("page_links"), _SMALL, nested=True))
+def _(spark, sf_dir):
+    return _small_buckets(spark, sf_dir, "nested").drop("copy")
+
+
+_A, _B, _C = buckets.pair31_factors(buckets.CHECK_INDEX + _SMALL.seed)
+
+
+@query("decode_pair31", f"""
+WITH k AS ({buckets.pair31_oracle(graphs.oracle("page_links"), _SMALL)}),
+g AS (SELECT *, level >= 0 AND xe <> 0 AND (xe >> 32) < (xe & 4294967295) AND (xe & 4294967295) < {_SMALL.v_count}
+      AND xc = (({_A} * (xe >> 32)) % 2147483647 + ({_B} * (xe & 4294967295)) % 2147483647 + {_C}) % 2147483647 + 1 AS good FROM k),
+r AS (SELECT *, row_number() OVER (PARTITION BY vertex, sampler ORDER BY level DESC, col) AS k FROM g WHERE good)
+SELECT w.vertex, w.sampler, CASE WHEN r.xe IS NULL THEN 'failed' ELSE 'edge' END AS status, r.xe AS eid
+FROM (SELECT vertex, sampler FROM k WHERE level = -1) w LEFT JOIN r ON r.vertex = w.vertex AND r.sampler = w.sampler AND r.k = 1""")
+def _(spark, sf_dir):
+    return buckets.decode(_small_buckets(spark, sf_dir), _SMALL).drop("copy")
+
+
+@query("handshake", "SELECT 0::BIGINT AS ids, 0::BIGINT AS checks")
+def _(spark, sf_dir):
+    return buckets.handshake(_small_buckets(spark, sf_dir))
+
+
+# ---------------------------------------------------------------- costs and baselines
+
+
+@query("model_bytes", "SELECT i::INTEGER AS i, 164.0 * 2 ** i * (i * i - i) AS bytes, 164.0 * (i * i - i) * 16 AS worker FROM range(6, 31) t(i)")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(i, costs.model_bytes(1 << i), costs.worker_bytes(1 << i, 16)) for i in range(6, 31)], "i int, bytes double, worker double")
+
+
+@query("space_crossover", """SELECT b AS matrix_share, min(v)::BIGINT AS v FROM (SELECT 1.0::DOUBLE AS b UNION ALL SELECT 0.5), (SELECT unnest(range(300000, 1200000)) AS v)
+WHERE 164.0 * v * (log2(v) * log2(v) - log2(v)) < b * v::DOUBLE * v / 8 GROUP BY b""")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(b, costs.crossover(costs.model_bytes, b)) for b in (1.0, 0.5)], "matrix_share double, v long")
+
+
+@query("hash_calls", "SELECT i::INTEGER AS i, (2 * ceil(i * ln(2) / ln(1.5)) * 2 + 2)::INTEGER AS hashes FROM range(6, 21) t(i)")
+def _(spark, sf_dir):
+    return spark.createDataFrame([(i, costs.hash_calls(SketchParams(1 << i))) for i in range(6, 21)], "i int, hashes int")
+
+
+@query("adjacency_bits", f"""SELECT u::BIGINT AS u, v // 64 AS word, bit_xor(CASE WHEN v % 64 = 63 THEN (-9223372036854775807 - 1)::BIGINT ELSE 1::BIGINT << (v % 64) END) AS bits
+FROM (SELECT u::BIGINT AS u, v::BIGINT AS v FROM ({graphs.EDGES['part_supplier']}) UNION ALL SELECT v::BIGINT, u::BIGINT FROM ({graphs.EDGES['part_supplier']})) GROUP BY ALL HAVING bits <> 0""")
+def _(spark, sf_dir):
+    stream, v, _ = toggle_part_supplier(spark, sf_dir)
+    return exact.adjacency_bits(stream, v)
+
+
+@query("adjacency_list", f"SELECT vertex, count(*)::INTEGER AS degree, sum(x)::BIGINT AS near_sum FROM (SELECT u AS vertex, v AS x FROM ({graphs.oracle('page_links')}) UNION ALL SELECT v, u FROM ({graphs.oracle('page_links')})) GROUP BY vertex")
+def _(spark, sf_dir):
+    made = exact.adjacency_list(U.from_edges(graphs.edges(spark, sf_dir, "page_links")))
+    return made.select("vertex", "degree", F.aggregate("near", F.lit(0).cast("long"), lambda a, x: a + x).alias("near_sum"))
+
+
+@query("label_propagation", components_sql(graphs.oracle("page_links")))
+def _(spark, sf_dir):
+    return exact.label_propagation(graphs.edges(spark, sf_dir, "page_links"))[0]
+
+
+@query("star_components", components_sql(graphs.oracle("order_part")))
+def _(spark, sf_dir):
+    return exact.components(graphs.edges(spark, sf_dir, "order_part"))
+
+
+@query("batch_dynamic", components_sql(_odd("user_key"), _ends_sql("user_key")))
+def _(spark, sf_dir):
+    stream, _, _, _ = user_key_stream(spark, sf_dir)
+    return exact.batch_dynamic(stream, max(1, stream.count() // 3))
+
+
+@query("recompute_components", components_sql(_odd("user_key")))
+def _(spark, sf_dir):
+    return exact.recompute(user_key_stream(spark, sf_dir)[0])
+
+
+@query("er_edges", generate.erdos_renyi_sql(128, 25, 1, "(SELECT i FROM range(16384) t(i))"))
+def _(spark, sf_dir):
+    return generate.erdos_renyi(spark, 128)
+
+
+@query("kron_edges", generate.kronecker_sql(8, 20000, 1, "(SELECT i FROM range(20000) t(i))"))
+def _(spark, sf_dir):
+    return generate.kronecker(spark, 8, 20000)
+
+
+@query("cc_erdos_renyi", components_sql(generate.erdos_renyi_sql(256, 1, 3, "(SELECT i FROM range(65536) t(i))"), "SELECT i AS x FROM range(256) t(i)"))
+def _(spark, sf_dir):
+    e = generate.erdos_renyi(spark, 256, 1, 3)
+    s = GraphSketch.build(U.from_edges(e), SketchParams.for_edges(256, 2000))
+    return answered(spanning_forest(s, vertices=spark.range(256).toDF("vertex")))
+
+
+# ---------------------------------------------------------------- workloads whose measures are exact
+
+_TABLE = " UNION ALL ".join(f"SELECT '{n}' AS graph, (SELECT count(*) FROM (SELECT u FROM g UNION SELECT v FROM g)) AS vertices, (SELECT count(*) FROM g) AS edges, 13 * (SELECT count(*) FROM g) AS churn_updates".replace("FROM g", f"FROM ({graphs.oracle(n)})") for n in graphs.EDGES)
+
+
+@query("w_dataset_table", _TABLE)
+def _(spark, sf_dir):
+    return workloads.dataset_table(spark, sf_dir)
+
+
+@query("w_communication_bound", "SELECT g AS graph, a::DOUBLE AS alpha, m::DOUBLE AS gamma, true AS within FROM (VALUES ('part_supplier'), ('customer_stars')) t(g), (VALUES (1.0), (2.0)) s(a), (VALUES (0.04), (0.25), (0.5)) r(m)")
+def _(spark, sf_dir):
+    return workloads.communication(spark, sf_dir, ("part_supplier", "customer_stars")).select("graph", "alpha", "gamma", "within")
+
+
+@query("w_matching_worst_case", "SELECT p AS policy, 256::BIGINT AS updates, CASE WHEN p = 'delta' THEN 0 ELSE 512 END::BIGINT AS raw_ids, CASE WHEN p = 'delta' THEN 512 ELSE 0 END::BIGINT AS deltas FROM (VALUES ('raw'), ('delta'), ('hybrid')) t(p)")
+def _(spark, sf_dir):
+    return workloads.matching_worst_case(spark).drop("shuffled_bytes")
+
+
+for _w, _f in {
+    "w_density_survey": lambda s, d: workloads.density_survey(s, d), "w_ablation": lambda s, d: workloads.ablation(s, d, "page_links"), "w_scaling": lambda s, d: workloads.scaling(s, d, (1, 4), "page_links"),
+    "w_query_split": lambda s, d: workloads.query_split(s, d), "w_query_bursts": lambda s, d: workloads.query_bursts(s, d, 2), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d, (1, 2)),
+    "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d, "page_links"), "w_space_curve": lambda s, d: workloads.space_curve(s), "w_hash_work": lambda s, d: workloads.hash_work(s),
+    "w_sampler_failure": lambda s, d: workloads.sampler_failure(s, (1, 2, 10, 100), 500), "w_bottlenecks": lambda s, d: workloads.bottleneck_summary(s),
+}.items():
+    query(_w)(_f)
+
+
+# ---------------------------------------------------------------- relational operators around the methods
+
+
+@query("proj_suppliers", graphs.oracle("supplier_supplier"))
+def _(spark, sf_dir):
+    return graphs.edges(spark, sf_dir, "supplier_supplier")
+
+
+@query("rollup_density", "SELECT n_regionkey AS region, c_mktsegment AS segment, count(DISTINCT c_custkey)::BIGINT AS customers, count(*)::BIGINT AS orders FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)")
+def _(spark, sf_dir):
+    o, c, n = (table(spark, sf_dir, t) for t in ("orders", "customer", "nation"))
+    met = o.join(c, o.o_custkey == c.c_custkey).join(F.broadcast(n), c.c_nationkey == n.n_nationkey)
+    return met.rollup(F.col("n_regionkey").alias("region"), F.col("c_mktsegment").alias("segment")).agg(F.countDistinct("c_custkey").alias("customers"), F.count(F.lit(1)).alias("orders"))
+
+
+@query("cube_updates", "SELECT l_returnflag AS flag, year(l_shipdate)::INTEGER AS y, count(*)::BIGINT AS n FROM lineitem GROUP BY CUBE (l_returnflag, year(l_shipdate))")
+def _(spark, sf_dir):
+    return table(spark, sf_dir, "lineitem").cube(F.col("l_returnflag").alias("flag"), F.year("l_shipdate").alias("y")).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("sets_forests", "SELECT 0::BIGINT AS shared, 0::BIGINT AS outside")
+def _(spark, sf_dir):
+    s, vertices = sketched(spark, sf_dir, "month_part_supplier", copies=2)
+    made = materialize(certificate.peel(s, 2, vertices)[0], "certificate")
+    one, two = (made.where(F.col("forest_no") == i).select("u", "v") for i in (0, 1))
+    e = graphs.edges(spark, sf_dir, "month_part_supplier")
+    return spark.createDataFrame([(one.intersect(two).count(), one.union(two).exceptAll(e).count())], "shared long, outside long")
+
+
+@query("topk_degree", f"SELECT vertex, d AS degree FROM (SELECT vertex, count(*)::BIGINT AS d FROM (SELECT u AS vertex FROM ({graphs.oracle('page_links')}) UNION ALL SELECT v FROM ({graphs.oracle('page_links')})) GROUP BY vertex) ORDER BY d DESC, vertex LIMIT 20")
+def _(spark, sf_dir):
+    ends = graphs.edges(spark, sf_dir, "page_links").select(F.explode(F.array("u", "v")).alias("vertex"))
+    return ends.groupBy("vertex").agg(F.count(F.lit(1)).alias("degree")).orderBy(F.desc("degree"), "vertex").limit(20)
+
+
+@query("window_live_count", f"""SELECT event_id AS seq, sum(d) OVER (PARTITION BY u ORDER BY event_id)::BIGINT AS live FROM
+(SELECT event_id, u, CASE WHEN row_number() OVER (PARTITION BY u, v ORDER BY event_id) % 2 = 1 THEN 1 ELSE -1 END AS d FROM ({graphs.EDGES['user_key'].format(**graphs.DUCKDB).replace('SELECT user_id AS u', 'SELECT event_id, user_id AS u')}))""")
+def _(spark, sf_dir):
+    stream = user_key_stream(spark, sf_dir)[0]
+    return stream.select("seq", F.sum("delta").over(Window.partitionBy("u").orderBy("seq").rowsBetween(Window.unboundedPreceding, Window.currentRow)).alias("live"))
+
+
+@query("asof_component", "SELECT q.event_id AS query_id, s.event_id AS snapshot FROM (SELECT event_id, user_id, ts FROM events WHERE event_id % 7 = 3) q ASOF JOIN (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click' OR event_id % 5 = 0) s ON q.user_id = s.user_id AND q.ts >= s.ts")
+def _(spark, sf_dir):
+    # an as-of join by union: the last snapshot at or before each query, of the same user
+    ev = table(spark, sf_dir, "events")
+    s = ev.where("event_type = 'click' OR event_id % 5 = 0").select("user_id", "ts", F.col("event_id").alias("snapshot"), F.lit(None).cast("long").alias("query_id"))
+    q = ev.where("event_id % 7 = 3").select("user_id", "ts", F.lit(None).cast("long").alias("snapshot"), F.col("event_id").alias("query_id"))
+    w = Window.partitionBy("user_id").orderBy("ts", F.col("query_id").isNotNull(), "snapshot").rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    met = s.unionByName(q).withColumn("snapshot", F.last("snapshot", ignorenulls=True).over(w))
+    return met.where("query_id IS NOT NULL AND snapshot IS NOT NULL").select("query_id", "snapshot")
+
+
+@query("epoch_range_join", "SELECT e.epoch::BIGINT AS epoch, count(*)::BIGINT AS updates FROM (SELECT k AS epoch, 700 * k AS lo, 700 * (k + 1) AS hi FROM range(0, 1000) t(k)) e JOIN events ON event_id >= lo AND event_id < hi GROUP BY e.epoch")
+def _(spark, sf_dir):
+    # a range join by bins: epochs and events meet on the bin that the range covers
+    epochs = spark.range(1000).select(F.col("id").alias("epoch"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 700).alias("hi"))
+    binned = epochs.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") / 1000), F.floor((F.col("hi") - 1) / 1000))))
+    ev = table(spark, sf_dir, "events").select("event_id", F.floor(F.col("event_id") / 1000).alias("bin"))
+    return ev.join(binned, "bin").where("event_id >= lo AND event_id < hi").groupBy("epoch").agg(F.count(F.lit(1)).alias("updates"))
+
+
+@query("semi_broken", "SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_orderstatus = 'F')")
+def _(spark, sf_dir):
+    c, o = table(spark, sf_dir, "customer"), table(spark, sf_dir, "orders").where("o_orderstatus = 'F'")
+    return c.join(o, c.c_custkey == o.o_custkey, "left_semi").select("c_custkey")
+
+
+@query("anti_isolated", f"SELECT doc_id FROM documents WHERE doc_id NOT IN (SELECT u FROM ({graphs.oracle('docs_exact')}) UNION SELECT v FROM ({graphs.oracle('docs_exact')}))")
+def _(spark, sf_dir):
+    ends = ends_of(graphs.edges(spark, sf_dir, "docs_exact"))
+    return table(spark, sf_dir, "documents").select("doc_id").join(ends, F.col("doc_id") == F.col("vertex"), "left_anti")
+
+
+# ---------------------------------------------------------------- streaming
+
+
+def _as_stream(spark, df: DataFrame, files: int = 3) -> DataFrame:
+    path = scratch_path(spark, "slices")
+    df.repartition(files).write.parquet(path)
+    return spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(path)
+
+
+def _drained(spark, stream: DataFrame, mode: str = "append") -> DataFrame:
+    out, at = scratch_path(spark, "stream-out"), scratch_path(spark, "stream-at")
+    if mode == "append":
+        stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", at).trigger(availableNow=True).start().awaitTermination()
+    else:
+        stream.writeStream.outputMode(mode).foreachBatch(lambda b, _: b.write.mode("overwrite").parquet(out)).option("checkpointLocation", at).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out)
+
+
+@query("stream_ingest_components", components_sql(graphs.oracle("page_links")))
+def _(spark, sf_dir):
+    e, v, n = prepared(spark, sf_dir, "page_links")
+    p = SketchParams.for_edges(v, n)
+    path = scratch_path(spark, "stream-sketch")
+    ingest.ingest(_as_stream(spark, U.from_edges(e)), path, p, scratch_path(spark, "stream-at")).awaitTermination()
+    s = ingest.sketched(spark, path, p, scratch_path(spark, "sketch"))
+    return answered(spanning_forest(s, vertices=ends_of(e)))
+
+
+@query("stream_window_counts", "SELECT time_bucket(INTERVAL 7 DAYS, ts, TIMESTAMP '1970-01-01') AS start, count(*)::BIGINT AS n FROM events GROUP BY 1")
+def _(spark, sf_dir):
+    ev = table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"))
+    counted = _as_stream(spark, ev).groupBy(F.window("ts", "7 days").alias("w")).agg(F.count(F.lit(1)).alias("n"))
+    return _drained(spark, counted, "complete").select(F.col("w.start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@query("stream_session_users", """SELECT user_id, count(*)::BIGINT AS sessions, sum(n)::BIGINT AS events FROM (SELECT user_id, s, count(*) AS n FROM
+(SELECT user_id, ts, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS s FROM (SELECT user_id, event_id, ts, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) + INTERVAL 1 DAY > ts THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, s) GROUP BY user_id""")
+def _(spark, sf_dir):
+    ev = table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "user_id")
+    s = _as_stream(spark, ev).groupBy(F.session_window("ts", "1 day").alias("w"), "user_id").agg(F.count(F.lit(1)).alias("n"))
+    return _drained(spark, s, "complete").groupBy("user_id").agg(F.count(F.lit(1)).alias("sessions"), F.sum("n").alias("events"))
+
+
+@query("stream_dedup", "SELECT event_id, user_id FROM events")
+def _(spark, sf_dir):
+    ev = table(spark, sf_dir, "events").select(F.col("ts").cast("timestamp").alias("ts"), "event_id", "user_id")
+    twice = _as_stream(spark, ev.union(ev)).withWatermark("ts", "3650 days")
+    return _drained(spark, twice.dropDuplicatesWithinWatermark(["event_id"])).select("event_id", "user_id")
+
 
 def queries() -> dict:
-    return {}
+    return dict(Q)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(SQL)

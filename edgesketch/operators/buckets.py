@@ -53,7 +53,7 @@ def toggles(updates: DataFrame, params: SketchParams) -> DataFrame:
         h = F.xxhash64("seed", "eid")
     level = F.when(h == 0, F.lit(params.levels - 1)).otherwise(F.least(trailing_zeros_sql(h), F.lit(params.levels - 1)))
     levels = F.explode(F.sequence(F.lit(0), level)) if params.variant == "nested" else level
-    spread = spread.select("copy", "vertex", "sampler", "col", levels.cast("int").alias("level"), "eid", "chk")
+    spread = spread.select("copy", "vertex", "sampler", "col", levels.alias("level"), "eid", "chk").withColumn("level", F.col("level").cast("int"))
     buckets = spread.groupBy("copy", "vertex", "sampler", "col", "level").agg(F.bit_xor("eid").alias("xe"), F.bit_xor("chk").alias("xc"))
     whole = rows.groupBy("vertex").agg(F.bit_xor("eid").alias("xe"), F.bit_xor("chk").alias("xc"))
     each = F.explode(F.array(*(F.struct(F.lit(c).alias("copy"), F.lit(s).alias("sampler")) for c in range(params.copies) for s in range(params.samplers))))
