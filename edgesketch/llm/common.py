@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import os
 import tempfile
 import uuid
@@ -37,6 +38,7 @@ def delete_path(spark: SparkSession, path: str) -> None:
 
 
 _WRITTEN: list[tuple[SparkSession, str]] = []
+_SCOPES: list[list[str]] = []
 
 
 def _sweep() -> None:
@@ -50,16 +52,31 @@ def _sweep() -> None:
 atexit.register(_sweep)
 
 
-def scratch_path(spark: SparkSession, tag: str) -> str:
-    """A fresh path in the shared folder, removed when this process ends."""
+@contextlib.contextmanager
+def scratch_scope(spark: SparkSession):
+    """Scratch tables made inside go when it ends, but for those made with ``outer``."""
+    _SCOPES.append([])
+    try:
+        yield
+    finally:
+        for path in _SCOPES.pop():
+            delete_path(spark, path)
+
+
+def scratch_path(spark: SparkSession, tag: str, outer: bool = False) -> str:
+    """A fresh path in the shared folder, removed with its scope, else when this process ends."""
     path = f"{shared_dir(spark)}/edgesketch/{tag}-{uuid.uuid4().hex}"
-    _WRITTEN.append((spark, path))
+    scopes = _SCOPES[:-1] if outer else _SCOPES
+    if scopes:
+        scopes[-1].append(path)
+    else:
+        _WRITTEN.append((spark, path))
     return path
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
+def materialize(df: DataFrame, tag: str, outer: bool = False) -> DataFrame:
     """Cuts the lineage with a table in the shared folder: any executor can be lost later."""
-    spark, path = df.sparkSession, scratch_path(df.sparkSession, tag)
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, tag, outer)
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 

@@ -36,7 +36,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.llm import textkit as K
-from edgesketch.llm.common import materialize, partitions_for, table, text_slices
+from edgesketch.llm.common import materialize, partitions_for, scratch_scope, table, text_slices
 from edgesketch.llm.components import connected
 
 BINS = 64
@@ -441,12 +441,16 @@ def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int =
     spark = docs.sparkSession
     hot = ranking(docs, width)
     wide = materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets")
-    regions = connected(candidate_links(wide, percent, frequent, hot)).toDF("cid", "region")
-    sets = materialize(_region_sets(docs, wide.select("doc_id", "cid"), regions, width), "regions")
-    sets, found = _part_large(sets, percent, most_classes, most_shingles)
-    dealt = sets.repartition(partitions_for(spark), "region").sortWithinPartitions("region")
-    links = dealt.mapInArrow(_solve_sorted(percent), "a long, b long")
-    roots = connected(links if found is None else links.union(found))
+    with scratch_scope(spark):
+        regions = connected(candidate_links(wide, percent, frequent, hot)).toDF("cid", "region")
+        regions = materialize(regions, "region-names", outer=True)
+    with scratch_scope(spark):
+        sets = materialize(_region_sets(docs, wide.select("doc_id", "cid"), regions, width), "regions")
+        sets, found = _part_large(sets, percent, most_classes, most_shingles)
+        dealt = sets.repartition(partitions_for(spark), "region").sortWithinPartitions("region")
+        links = dealt.mapInArrow(_solve_sorted(percent), "a long, b long")
+        links = materialize(links if found is None else links.union(found), "found-links", outer=True)
+    roots = connected(links)
     least = wide.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"))
     named = least.join(roots.toDF("cid", "root"), "cid", "left").select("cid", "least", F.coalesce("root", "cid").alias("root"))
     component = named.groupBy("root").agg(F.min("least").alias("component_id"))
@@ -460,7 +464,8 @@ def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
 
     Rows that repeat a doc_id are copies of one document; one of them stays.
     """
-    found = materialize(classes(docs, width, percent), "near-duplicates")
+    with scratch_scope(docs.sparkSession):
+        found = materialize(classes(docs, width, percent), "near-duplicates", outer=True)
     lost = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_id")).distinct()
     twice = materialize(found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("_id")), "repeated-ids")
     own = F.col("doc_id").cast("long")

@@ -33,7 +33,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.llm import textkit as K
-from edgesketch.llm.common import materialize, partitions_for, table, text_slices
+from edgesketch.llm.common import materialize, partitions_for, scratch_scope, table, text_slices
 
 LENGTH = 400
 #: Different surroundings of one gram that a task sorts.
@@ -408,7 +408,7 @@ def cuts(texts: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
 
     A character of which bytes go is not in the text; the digest is of the bytes that are left.
     """
-    hits, spans = _spans_of(texts, length, most_surroundings)
+    spark = texts.sparkSession
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -421,7 +421,9 @@ def cuts(texts: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
                 kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())])))
                 yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["did", "n_removed", "n_spans", "kept_sha256", "kept_text", "runs"])
 
-    return hits.select("did", "text").join(spans, "did").mapInArrow(look, CUTS)
+    with scratch_scope(spark):
+        hits, spans = _spans_of(texts, length, most_surroundings)
+        return materialize(hits.select("did", "text").join(spans, "did").mapInArrow(look, CUTS), "cuts", outer=True)
 
 
 _EMPTY = hashlib.sha256(b"").hexdigest()
