@@ -268,7 +268,7 @@ def _cut_sql(edges: str, cut_rows: str, k: int) -> str:
 WITH e AS ({edges}), c AS ({cut_rows}), ids AS (SELECT DISTINCT cut_id FROM c),
 n AS (SELECT ids.cut_id, count(*) FILTER ((a.vertex IS NULL) <> (b.vertex IS NULL)) AS n FROM ids CROSS JOIN e
       LEFT JOIN c a ON a.cut_id = ids.cut_id AND a.vertex = e.u LEFT JOIN c b ON b.cut_id = ids.cut_id AND b.vertex = e.v GROUP BY ids.cut_id)
-SELECT cut_id::BIGINT AS cut_id, CASE WHEN n < {k} THEN n END::BIGINT AS w, n >= {k} AS unbounded FROM n"""
+SELECT cut_id::BIGINT AS cut_id, CASE WHEN n < {k} THEN n ELSE -1 END::BIGINT AS w, n >= {k} AS unbounded FROM n"""
 
 
 _CUTS = {
@@ -291,7 +291,7 @@ def _cut_query(which: str, k: int):
             raise RuntimeError("incomplete certificate")
         graphs.views(spark, sf_dir, rows)
         cut = spark.sql(rows).selectExpr("cast(cut_id as long) cut_id", "cast(vertex as long) vertex")
-        return cuts.cut_values(made, cut, k)
+        return cuts.cut_values(made, cut, k).withColumn("w", F.coalesce("w", F.lit(-1).cast("long")))  # -1: unbounded
 
     return run
 
@@ -383,10 +383,10 @@ WITH k AS ({buckets.pair31_oracle(graphs.oracle("page_links"), _SMALL)}),
 g AS (SELECT *, level >= 0 AND xe <> 0 AND (xe >> 32) < (xe & 4294967295) AND (xe & 4294967295) < {_SMALL.v_count}
       AND xc = (({_A} * (xe >> 32)) % 2147483647 + ({_B} * (xe & 4294967295)) % 2147483647 + {_C}) % 2147483647 + 1 AS good FROM k),
 r AS (SELECT *, row_number() OVER (PARTITION BY vertex, sampler ORDER BY level DESC, col) AS k FROM g WHERE good)
-SELECT w.vertex, w.sampler, CASE WHEN r.xe IS NULL THEN 'failed' ELSE 'edge' END AS status, r.xe AS eid
+SELECT w.vertex, w.sampler, CASE WHEN r.xe IS NULL THEN 'failed' ELSE 'edge' END AS status, coalesce(r.xe, 0) AS eid
 FROM (SELECT vertex, sampler FROM k WHERE level = -1) w LEFT JOIN r ON r.vertex = w.vertex AND r.sampler = w.sampler AND r.k = 1""")
 def _(spark, sf_dir):
-    return buckets.decode(_small_buckets(spark, sf_dir), _SMALL).drop("copy")
+    return buckets.decode(_small_buckets(spark, sf_dir), _SMALL).drop("copy").withColumn("eid", F.coalesce("eid", F.lit(0).cast("long")))
 
 
 @query("handshake", "SELECT 0::BIGINT AS ids, 0::BIGINT AS checks")

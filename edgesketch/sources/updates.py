@@ -7,7 +7,10 @@ from pyspark.sql import functions as F
 
 from edgesketch.schemas import edge_id
 
-_NO_TIME = F.lit(None).cast("timestamp")
+
+def _no_time() -> Column:
+    return F.lit(None).cast("timestamp").alias("ts")
+
 
 
 def canonical(edges: DataFrame) -> DataFrame:
@@ -29,7 +32,7 @@ def _numbered(df: DataFrame, *order: Column) -> DataFrame:
 def from_edges(edges: DataFrame) -> DataFrame:
     """Each distinct edge inserted once, in order of its ends."""
     once = canonical(edges.select("u", "v")).distinct()
-    return once.select(edge_id(F.col("u"), F.col("v")).alias("seq"), "u", "v", F.lit(1).cast("tinyint").alias("delta"), _NO_TIME.alias("ts"))
+    return once.select(edge_id(F.col("u"), F.col("v")).alias("seq"), "u", "v", F.lit(1).cast("tinyint").alias("delta"), _no_time())
 
 
 def toggle(occurrences: DataFrame, *order: str) -> DataFrame:
@@ -37,7 +40,7 @@ def toggle(occurrences: DataFrame, *order: str) -> DataFrame:
     rows = canonical(occurrences)
     nth = F.row_number().over(Window.partitionBy("u", "v").orderBy(*order))
     made = rows.withColumn("delta", F.when(nth % 2 == 1, 1).otherwise(-1).cast("tinyint"))
-    return made.select(F.col(order[0]).cast("long").alias("seq"), "u", "v", "delta", _NO_TIME.alias("ts"))
+    return made.select(F.col(order[0]).cast("long").alias("seq"), "u", "v", "delta", _no_time())
 
 
 def churn(edges: DataFrame, repeats: int = 7, seed: int = 1) -> DataFrame:
@@ -47,7 +50,7 @@ def churn(edges: DataFrame, repeats: int = 7, seed: int = 1) -> DataFrame:
     # the k-th slot of an edge lies in the k-th stretch of the sequence, shuffled within it
     made = once.select("u", "v", F.explode(F.sequence(F.lit(0), F.lit(slots - 1))).alias("k"))
     spot = F.pmod(F.xxhash64(F.lit(seed), "u", "v", "k"), F.lit(1 << 40))
-    return made.select((F.col("k").cast("long") * F.lit(1 << 40) + spot).alias("seq"), "u", "v", F.when(F.col("k") % 2 == 0, 1).otherwise(-1).cast("tinyint").alias("delta"), _NO_TIME.alias("ts"))
+    return made.select((F.col("k").cast("long") * F.lit(1 << 40) + spot).alias("seq"), "u", "v", F.when(F.col("k") % 2 == 0, 1).otherwise(-1).cast("tinyint").alias("delta"), _no_time())
 
 
 def returns(occurrences: DataFrame) -> DataFrame:
@@ -59,7 +62,7 @@ def returns(occurrences: DataFrame) -> DataFrame:
     upto = Window.partitionBy("u", "v").orderBy("t").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     held = steps.withColumn("n", F.sum("d").over(upto)).withColumn("was", F.col("n") - F.col("d"))
     moved = held.where((F.col("n") > 0) != (F.col("was") > 0))
-    return moved.select(F.col("t").cast("long").alias("seq"), "u", "v", F.when(F.col("n") > 0, 1).otherwise(-1).cast("tinyint").alias("delta"), _NO_TIME.alias("ts"))
+    return moved.select(F.col("t").cast("long").alias("seq"), "u", "v", F.when(F.col("n") > 0, 1).otherwise(-1).cast("tinyint").alias("delta"), _no_time())
 
 
 def expiring(events: DataFrame, days: int = 7) -> DataFrame:
