@@ -38,6 +38,8 @@ from edgesketch.llm.common import materialize, partitions_for, scratch_scope, ta
 LENGTH = 400
 #: Different surroundings of one gram that a task sorts.
 MOST_SURROUNDINGS = 20_000
+#: A gram with more anchors is frequent; at most so many frequent grams are broadcast, the rest is dealt like any.
+HOT_ANCHORS, HOT_GRAMS = 2_000, 50_000
 #: Bytes that the multikey quicksort orders by, at most.
 SHALLOW = 32
 
@@ -323,8 +325,11 @@ def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tup
     named = docs_texts.where(F.octet_length("text") >= length)
     anchors = materialize(anchor_rows(named, length), "anchors")
     anchors = anchors.distinct()  # equal texts bring equal rows
-    again = anchors.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("key")
-    places = anchors.join(again, "key").groupBy("did").agg(F.collect_list(F.struct("at", "key")).alias("places"))
+    again = materialize(anchors.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "grams")
+    # the most frequent grams, a bounded number, meet their anchors where these lie; only the rest is dealt by gram
+    hot = F.broadcast(again.where(F.col("n") > HOT_ANCHORS).orderBy(F.desc("n"), "key").limit(HOT_GRAMS).select("key"))
+    cold = anchors.join(hot, "key", "left_anti").join(again.select("key"), "key")
+    places = anchors.join(hot, "key").union(cold).groupBy("did").agg(F.collect_list(F.struct("at", "key")).alias("places"))
     # one row for each text: equal texts meet as one after the filter by places
     met = named.select("did", "text").join(places, "did").groupBy("did").agg(F.first("text").alias("text"), F.first("places").alias("places"))
     hits = materialize(met, "hits")
