@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import tempfile
 import uuid
 
@@ -27,14 +28,19 @@ def shared_dir(spark: SparkSession) -> str:
     return own
 
 
+def delete_path(spark: SparkSession, path: str) -> None:
+    where = spark._jvm.org.apache.hadoop.fs.Path(path)
+    where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+
+
 _WRITTEN: list[tuple[SparkSession, str]] = []
+_SCOPES: list[list[str]] = []
 
 
 def _sweep() -> None:
     for spark, path in _WRITTEN:
         try:
-            where = spark._jvm.org.apache.hadoop.fs.Path(path)
-            where.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(where, True)
+            delete_path(spark, path)
         except Exception:  # noqa: BLE001 - the session may be gone at exit
             return
 
@@ -42,16 +48,32 @@ def _sweep() -> None:
 atexit.register(_sweep)
 
 
-def scratch_path(spark: SparkSession, tag: str) -> str:
+@contextlib.contextmanager
+def scratch_scope(spark: SparkSession):
+    """Scratch tables made inside go when it ends, but for those made with ``outer``."""
+    _SCOPES.append([])
+    try:
+        yield
+    finally:
+        for path in _SCOPES.pop():
+            delete_path(spark, path)
+
+
+def scratch_path(spark: SparkSession, tag: str, outer: bool = False) -> str:
+    """A fresh path in the shared folder, removed with its scope, else when this process ends."""
     path = f"{shared_dir(spark)}/edgesketch/{tag}-{uuid.uuid4().hex}"
-    _WRITTEN.append((spark, path))
+    scopes = _SCOPES[:-1] if outer else _SCOPES
+    if scopes:
+        scopes[-1].append(path)
+    else:
+        _WRITTEN.append((spark, path))
     return path
 
 
-def materialize(df: DataFrame, tag: str) -> DataFrame:
-    """Cuts the lineage with a table that survives the loss of executors."""
-    spark, path = df.sparkSession, scratch_path(df.sparkSession, tag)
-    df.write.parquet(path)
+def materialize(df: DataFrame, tag: str, outer: bool = False) -> DataFrame:
+    """Cuts the lineage with a table in the shared folder: any executor can be lost later."""
+    spark, path = df.sparkSession, scratch_path(df.sparkSession, tag, outer)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -65,21 +87,24 @@ def star_components(edges: DataFrame, most_rounds: int = 60) -> tuple[DataFrame,
     The minimum per vertex is a partial aggregate, so a hub costs one row per task; the joins have a
     unique side, which AQE splits where the other is skewed.
     """
-    now = materialize(edges.where("u <> v").select(F.least("u", "v").alias("lo"), F.greatest("u", "v").alias("hi")).distinct(), "stars")
-    last, rounds = None, 0
-    while rounds < most_rounds:
-        rounds += 1
-        both = now.select(F.col("lo").alias("x"), F.col("hi").alias("y")).union(now.select("hi", "lo"))
-        least = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
-        large = both.where("y > x").join(least, "x").select(F.col("m").alias("lo"), F.col("y").alias("hi")).distinct()
-        least = large.groupBy("hi").agg(F.min("lo").alias("m"))
-        small = large.join(least, "hi").select(F.explode(F.array("lo", "hi")).alias("x"), "m").where("x <> m")
-        now = materialize(small.select(F.least("x", "m").alias("lo"), F.greatest("x", "m").alias("hi")).distinct(), "stars")
-        told = now.agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("lo", "hi")).alias("x")).first()
-        if tuple(told) == last:
-            break
-        last = tuple(told)
-    else:
-        raise RuntimeError("star contraction did not settle")
+    with scratch_scope(edges.sparkSession):
+        now = materialize(edges.where("u <> v").select(F.least("u", "v").alias("lo"), F.greatest("u", "v").alias("hi")).distinct(), "stars")
+        last, rounds = None, 0
+        while rounds < most_rounds:
+            rounds += 1
+            both = now.select(F.col("lo").alias("x"), F.col("hi").alias("y")).union(now.select("hi", "lo"))
+            least = both.groupBy("x").agg(F.min("y").alias("m")).select("x", F.least("x", "m").alias("m"))
+            large = both.where("y > x").join(least, "x").select(F.col("m").alias("lo"), F.col("y").alias("hi")).distinct()
+            # small star: a vertex's smaller neighbours, and itself, meet at the least of them
+            least = large.groupBy("hi").agg(F.min("lo").alias("m"))
+            small = large.join(least, "hi").select(F.explode(F.array("lo", "hi")).alias("x"), "m").where("x <> m")
+            now = materialize(small.select(F.least("x", "m").alias("lo"), F.greatest("x", "m").alias("hi")).distinct(), "stars")
+            told = now.agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("lo", "hi")).alias("x")).first()
+            if tuple(told) == last:
+                break
+            last = tuple(told)
+        else:
+            raise RuntimeError("star contraction did not settle")
+        now = materialize(now, "stars", outer=True)
     roots = now.select(F.col("hi").alias("vertex"), F.col("lo").alias("component"))
     return roots.union(now.select("lo", "lo").distinct()), rounds
