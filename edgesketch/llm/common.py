@@ -2,83 +2,13 @@
 
 from __future__ import annotations
 
-import atexit
-import contextlib
-import os
-import tempfile
-import uuid
-
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
+from edgesketch.tables import delete_path, materialize, scratch_path, scratch_scope, shared_dir, table
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    """One of the given tables, opened by Spark only, so that any store works."""
-    return spark.read.parquet(f"{sf_dir}/{name}.parquet")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a private one only where none is set."""
-    told = spark.conf.get("spark.checkpoint.dir", None)
-    if told:
-        return told.rstrip("/")
-    set_before = spark.sparkContext._jsc.sc().getCheckpointDir()
-    if set_before.isDefined():
-        return set_before.get().rstrip("/")
-    own = "file://" + tempfile.mkdtemp(prefix="edgesketch-")
-    spark.sparkContext.setCheckpointDir(own)
-    return own
-
-
-def delete_path(spark: SparkSession, path: str) -> None:
-    jvm, sc = spark._jvm, spark.sparkContext
-    where = jvm.org.apache.hadoop.fs.Path(path)
-    where.getFileSystem(sc._jsc.hadoopConfiguration()).delete(where, True)
-
-
-_WRITTEN: list[tuple[SparkSession, str]] = []
-_SCOPES: list[list[str]] = []
-
-
-def _sweep() -> None:
-    for spark, path in _WRITTEN:
-        try:
-            delete_path(spark, path)
-        except Exception:  # noqa: BLE001 - the session may be gone at exit
-            return
-
-
-atexit.register(_sweep)
-
-
-@contextlib.contextmanager
-def scratch_scope(spark: SparkSession):
-    """Scratch tables made inside go when it ends, but for those made with ``outer``."""
-    _SCOPES.append([])
-    try:
-        yield
-    finally:
-        for path in _SCOPES.pop():
-            delete_path(spark, path)
-
-
-def scratch_path(spark: SparkSession, tag: str, outer: bool = False) -> str:
-    """A fresh path in the shared folder, removed with its scope, else when this process ends."""
-    path = f"{shared_dir(spark)}/edgesketch/{tag}-{uuid.uuid4().hex}"
-    scopes = _SCOPES[:-1] if outer else _SCOPES
-    if scopes:
-        scopes[-1].append(path)
-    else:
-        _WRITTEN.append((spark, path))
-    return path
-
-
-def materialize(df: DataFrame, tag: str, outer: bool = False) -> DataFrame:
-    """Cuts the lineage with a table in the shared folder: any executor can be lost later."""
-    spark, path = df.sparkSession, scratch_path(df.sparkSession, tag, outer)
-    df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+__all__ = ["ascii_lower", "delete_path", "materialize", "partitions_for", "scratch_path", "scratch_scope", "shared_dir", "table", "text_slices"]
 
 
 def text_slices(batch: pa.RecordBatch, column: str, most_bytes: int = 2 << 20):
@@ -106,6 +36,3 @@ def ascii_lower(column):
 def partitions_for(spark: SparkSession) -> int:
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), spark.sparkContext.defaultParallelism)
 
-
-def own_processes() -> int:
-    return os.cpu_count() or 1

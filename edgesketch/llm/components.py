@@ -1,38 +1,13 @@
-"""Connected components of link tables by alternating star contraction, all in DataFrames."""
+"""Connected components of link tables."""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 
-from edgesketch.llm.common import materialize, scratch_scope
+from edgesketch.tables import star_components
 
 
-def connected(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """(node, root) for every node of (a, b) links; root is the least node it is connected with.
-
-    Each round points the larger neighbours of a node at the least one it knows, then the smaller
-    ones too. The minimum per node is a partial aggregate, so a hub with very many links costs one
-    row per task. Every round is cut with a table in the shared folder.
-    """
-    spark = edges.sparkSession
-    with scratch_scope(spark):
-        now = materialize(edges.where("a <> b").select(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).distinct(), "links")
-        last = None
-        for _ in range(most_rounds):
-            both = now.select(F.col("lo").alias("u"), F.col("hi").alias("v")).union(now.select("hi", "lo"))
-            least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-            large = both.where("v > u").join(least, "u").select(F.col("m").alias("lo"), F.col("v").alias("hi")).distinct()
-            # small star: a node's smaller neighbours, and itself, meet at the least of them
-            least = large.groupBy("hi").agg(F.min("lo").alias("m"))
-            small = large.join(least, "hi").select(F.explode(F.array(F.col("lo"), F.col("hi"))).alias("x"), "m").where("x <> m")
-            now = materialize(small.select(F.least("x", "m").alias("lo"), F.greatest("x", "m").alias("hi")).distinct(), "links")
-            told = now.agg(F.count(F.lit(1)).alias("n"), F.bit_xor(F.xxhash64("lo", "hi")).alias("x")).first()
-            if tuple(told) == last:
-                break
-            last = tuple(told)
-        else:
-            raise RuntimeError("star contraction did not settle")
-        now = materialize(now, "stars", outer=True)
-    roots = now.select(F.col("hi").alias("node"), F.col("lo").alias("root"))
-    return roots.union(now.select("lo", "lo").distinct())
+def connected(edges: DataFrame) -> DataFrame:
+    """(node, root) for every node of (a, b) links; root is the least node it is connected with."""
+    stars, _ = star_components(edges.select("a", "b").toDF("u", "v"))
+    return stars.toDF("node", "root")
