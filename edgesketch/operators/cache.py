@@ -8,6 +8,7 @@ answer the sketch is contracted from its vertices.
 
 from __future__ import annotations
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -80,13 +81,11 @@ class ForestCache:
 
 def _thin(edges: DataFrame) -> DataFrame:
     """A spanning forest of few edges: a union-find over them where they are few, else rounds of stars."""
-    import pandas as pd
-
     spark = edges.sparkSession
     edges = materialize(edges, "thin")
     if edges.count() > 2_000_000:
         return boruvka(edges.select("u", "v"))
-    rows = edges.toPandas()  # bounded by the count above
+    rows = edges.toArrow()  # bounded by the count above
     parent: dict[int, int] = {}
 
     def find(x):
@@ -96,12 +95,14 @@ def _thin(edges: DataFrame) -> DataFrame:
         return x
 
     keep = []
-    for u, v, r in rows.itertuples(index=False):
+    for u, v, r in zip(*(rows[k].to_pylist() for k in ("u", "v", "round"))):
         a, b = find(u), find(v)
         if a != b:
             parent[max(a, b)] = min(a, b)
             keep.append((u, v, r))
-    return spark.createDataFrame(pd.DataFrame(keep, columns=["u", "v", "round"]), FOREST) if keep else spark.createDataFrame([], FOREST)
+    if not keep:
+        return spark.createDataFrame([], FOREST)
+    return spark.createDataFrame(pa.table([pa.array(c, t) for c, t in zip(zip(*keep), (pa.int64(), pa.int64(), pa.int32()))], names=["u", "v", "round"]))
 
 
 def boruvka(edges: DataFrame) -> DataFrame:

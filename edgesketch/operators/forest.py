@@ -16,14 +16,13 @@ from collections.abc import Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import EDGE, EMPTY, FAILED, SamplerKernel
 from edgesketch.operators.sketch import GraphSketch, xor_bodies
-from edgesketch.schemas import FOREST, LABELS, endpoints_of
+from edgesketch.schemas import FOREST, endpoints_of
 from edgesketch.tables import materialize, star_components
 
 DRIVER_LIMIT = 1_000_000
@@ -113,11 +112,10 @@ DECODED = "component long, status int, eid long, whole long"
 
 def _on_driver(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, copy: int, remove: DataFrame | None) -> ForestResult:
     spark, params = sketch.spark, sketch.params
-    given = base.toPandas().sort_values("vertex")  # bounded by driver_limit
-    vertex = given["vertex"].to_numpy()
-    index = {}
-    start = np.searchsorted(vertex, given["component"].to_numpy())
-    known = (start < len(vertex)) & (vertex[np.minimum(start, len(vertex) - 1)] == given["component"].to_numpy()) if len(vertex) else np.zeros(0, bool)
+    given = base.toArrow().sort_by("vertex")  # bounded by driver_limit
+    vertex, named = given["vertex"].to_numpy(), given["component"].to_numpy()
+    start = np.searchsorted(vertex, named)
+    known = (start < len(vertex)) & (vertex[np.minimum(start, len(vertex) - 1)] == named) if len(vertex) else np.zeros(0, bool)
     if not known.all():
         raise ValueError("a seed component must be named by one of its vertices")
     uf = UnionFind(len(vertex))
@@ -140,7 +138,7 @@ def _on_driver(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, c
         flags = np.zeros(len(vertex), bool)
         flags[list(live)] = True
         told = spark.sparkContext.broadcast((vertex, roots, flags))
-        decoded = _decode_round(_bodies(sketch, copy, r, remove), told, params).toPandas()
+        decoded = _decode_round(_bodies(sketch, copy, r, remove), told, params).toArrow()
         told.unpersist()
         seen = np.searchsorted(vertex, decoded["component"].to_numpy())
         status, eid, whole = (decoded[c].to_numpy() for c in ("status", "eid", "whole"))
@@ -170,8 +168,8 @@ def _on_driver(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, c
         r += 1
     roots = uf.roots()
     open_ones = sorted(set(np.unique(roots).tolist()) - done) if len(vertex) else []
-    labels = spark.createDataFrame(pd.DataFrame({"vertex": vertex, "component": vertex[roots] if len(vertex) else vertex}), LABELS) if len(vertex) else base
-    made = spark.createDataFrame(pd.DataFrame(forest, columns=["u", "v", "round"]), FOREST) if forest else spark.createDataFrame([], FOREST)
+    labels = spark.createDataFrame(pa.table({"vertex": vertex, "component": vertex[roots]})) if len(vertex) else base
+    made = spark.createDataFrame(pa.table([pa.array(c, t) for c, t in zip(zip(*forest), (pa.int64(), pa.int64(), pa.int32()))], names=["u", "v", "round"])) if forest else spark.createDataFrame([], FOREST)
     return ForestResult(made, labels, not open_ones, rounds, [int(vertex[i]) for i in open_ones], stats)
 
 
