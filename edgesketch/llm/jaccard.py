@@ -111,8 +111,9 @@ def ranking(docs: DataFrame, width: int, seen: int = RANKED, entries: int = RANK
             yield told()
 
     counted = _docs(docs).mapInArrow(count, "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where(F.col("n") >= seen)
-    top = counted.orderBy(F.desc("n"), "h").limit(entries).toPandas()  # bounded by ``entries``
-    h, n = top["h"].to_numpy(np.int64).view(np.uint64), top["n"].to_numpy(np.int64)
+    top = counted.orderBy(F.desc("n"), "h").limit(entries).toArrow()  # bounded by ``entries``
+    h, n = (top[k].to_numpy().astype(np.int64) for k in ("h", "n"))
+    h = h.view(np.uint64)
     order = np.argsort(h)
     return h[order], n[order]
 
@@ -228,7 +229,7 @@ def candidate_links(wide: DataFrame, percent: int, frequent: int, hot) -> DataFr
     classes = materialize(classes, "classes")
     rows = classes.select("cid", "n", "prefix").mapInArrow(_spread, "h long, cid long, n int")
     known, counts = hot
-    often = spark.createDataFrame([(int(x),) for x in known[counts >= frequent].view(np.int64)], "h long")
+    often = spark.createDataFrame(pa.table({"h": known[counts >= frequent].view(np.int64)}))
     marked = rows.join(F.broadcast(often.withColumn("hot", F.lit(True))), "h", "left")
     marked = materialize(marked, "pivots")
     # frequent shingles: a centre for each by partial aggregates, then ties to it
