@@ -467,14 +467,14 @@ def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     """
     with scratch_scope(docs.sparkSession):
         found = materialize(classes(docs, width, percent), "near-duplicates", outer=True)
-    lost = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("_id")).distinct()
-    twice = materialize(found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("_id")), "repeated-ids")
+    lost = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__es_id")).distinct()
+    twice = materialize(found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("__es_id")), "repeated-ids")
     own = F.col("doc_id").cast("long")
-    kept = docs.join(lost, own.eqNullSafe(F.col("_id")), "left_anti")
+    kept = docs.join(lost, own.eqNullSafe(F.col("__es_id")), "left_anti")
     if twice.isEmpty():
         return kept
-    once = kept.join(twice, own.eqNullSafe(F.col("_id")), "left_anti")
-    return once.unionByName(kept.join(twice, own.eqNullSafe(F.col("_id")), "left_semi").dropDuplicates(["doc_id"]))
+    once = kept.join(twice, own.eqNullSafe(F.col("__es_id")), "left_anti")
+    return once.unionByName(kept.join(twice, own.eqNullSafe(F.col("__es_id")), "left_semi").dropDuplicates(["doc_id"]))
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -124,18 +124,18 @@ FIGURES = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_rep
 
 def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST_LEFT, left_percent: int = LEFT_PERCENT) -> DataFrame:
     """The documents that stay, with all their columns, their text without the lines above the limit."""
-    verdicts = judge(docs, line_limit, least_left, left_percent).select(F.col("doc_id").alias("_id"), F.col("host").alias("_host"), F.col("sig").alias("_sig"), "cut", "kept")
+    verdicts = judge(docs, line_limit, least_left, left_percent).select(F.col("doc_id").alias("__es_id"), F.col("host").alias("__es_host"), F.col("sig").alias("__es_sig"), F.col("cut").alias("__es_cut"), F.col("kept").alias("__es_kept"))
     # written before it is filtered: a filter pushed below the figures would make a text's words for each window
-    told = materialize(verdicts, "verdicts").where("kept").drop("kept").distinct()
+    told = materialize(verdicts, "verdicts").where("__es_kept").drop("__es_kept").distinct()
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    own = docs.withColumn("_s", F.xxhash64(text))
-    met = own.join(told, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & F.col("source").cast("string").eqNullSafe(F.col("_host")) & (F.col("_s") == F.col("_sig")))
+    own = docs.withColumn("__es_s", F.xxhash64(text))
+    met = own.join(told, F.col("doc_id").cast("long").eqNullSafe(F.col("__es_id")) & F.col("source").cast("string").eqNullSafe(F.col("__es_host")) & (F.col("__es_s") == F.col("__es_sig")))
     # one zipped array, made once for a text: a column that only a lambda names would be made for each line
     pairs = F.zip_with(_lines(F.col("text")), F.transform(_normal_lines(F.col("text")), lambda x: F.xxhash64(x)), lambda x, h: F.struct(x.alias("x"), h.alias("h")))
-    left = F.filter(pairs, lambda s: ~F.array_contains(F.col("cut"), s["h"]))
-    met = met.withColumn("text", F.when(F.col("cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda s: s["x"]), "\n")))
+    left = F.filter(pairs, lambda s: ~F.array_contains(F.col("__es_cut"), s["h"]))
+    met = met.withColumn("text", F.when(F.col("__es_cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda s: s["x"]), "\n")))
     if "n_chars" in docs.columns:
-        met = met.withColumn("n_chars", F.when(F.col("cut").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
+        met = met.withColumn("n_chars", F.when(F.col("__es_cut").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
     return met.select(*docs.columns)
 
 

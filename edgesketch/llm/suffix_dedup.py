@@ -457,18 +457,18 @@ def apply(docs: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
     A document that had a text and loses all of it is dropped.
     """
     texts = _texts(docs)
-    own = docs.withColumn("_did", F.conv(F.substring(F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256), 1, 15), 16, 10).cast("long"))
-    twice = texts.groupBy("did").agg(F.count(F.lit(1)).alias("_copies")).where("_copies > 1")
-    found = own.join(twice, F.col("_did") == twice["did"], "left").drop("did")
-    cuts_ = cuts(texts, length, most_surroundings, with_text=True).select(F.col("did").alias("_d"), "kept_text")
-    found = found.join(cuts_, F.col("_did") == F.col("_d"), "left")
-    gone = (F.col("_copies") > 1) & (F.octet_length("text") >= length)
-    text = F.when(gone, F.lit("")).otherwise(F.coalesce("kept_text", "text"))
-    changed = gone | F.col("kept_text").isNotNull()
-    out = found.withColumn("_new", text).where(~F.coalesce(changed & (F.length("_new") == 0), F.lit(False)))
+    own = docs.withColumn("__es_did", F.conv(F.substring(F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256), 1, 15), 16, 10).cast("long"))
+    twice = texts.groupBy(F.col("did").alias("__es_twice")).agg(F.count(F.lit(1)).alias("__es_copies")).where("__es_copies > 1")
+    found = own.join(twice, F.col("__es_did") == F.col("__es_twice"), "left")
+    cuts_ = cuts(texts, length, most_surroundings, with_text=True).select(F.col("did").alias("__es_d"), F.col("kept_text").alias("__es_kept"))
+    found = found.join(cuts_, F.col("__es_did") == F.col("__es_d"), "left")
+    gone = (F.col("__es_copies") > 1) & (F.octet_length("text") >= length)
+    text = F.when(gone, F.lit("")).otherwise(F.coalesce("__es_kept", "text"))
+    changed = gone | F.col("__es_kept").isNotNull()
+    out = found.withColumn("__es_new", text).where(~F.coalesce(changed & (F.length("__es_new") == 0), F.lit(False)))
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.coalesce(changed, F.lit(False)), F.length("_new").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
-    return out.withColumn("text", F.col("_new")).select(*docs.columns)
+        out = out.withColumn("n_chars", F.when(F.coalesce(changed, F.lit(False)), F.length("__es_new").cast(docs.schema["n_chars"].dataType)).otherwise(F.col("n_chars")))
+    return out.withColumn("text", F.col("__es_new")).select(*docs.columns)
 
 
 def query(spark, sf_dir: str) -> DataFrame:

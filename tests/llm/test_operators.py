@@ -35,8 +35,9 @@ def fixture(seed=1):
 
 
 def frame(spark, rows, source=lambda i: f"src{i % 3}"):
-    data = [(i, t, "en", source(i), len(t) if t is not None else None, "extra") for i, t in rows]
-    return spark.createDataFrame(data, "doc_id long, text string, lang string, source string, n_chars long, spans string").repartition(3)
+    data = [(i, t, "en", source(i), len(t) if t is not None else None, "extra", 1, "x", None, 2) for i, t in rows]
+    clashing = "spans string, cut int, kept string, did long, component_id int"
+    return spark.createDataFrame(data, "doc_id long, text string, lang string, source string, n_chars long, " + clashing).repartition(3)
 
 
 @pytest.fixture(scope="module")
