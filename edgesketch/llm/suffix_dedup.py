@@ -323,8 +323,7 @@ def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tup
     spark = docs_texts.sparkSession
     gram = gram_of(length)
     named = docs_texts.where(F.octet_length("text") >= length)
-    anchors = materialize(anchor_rows(named, length), "anchors")
-    anchors = anchors.distinct()  # equal texts bring equal rows
+    anchors = materialize(anchor_rows(named, length).distinct(), "anchors")  # equal texts bring equal rows
     again = materialize(anchors.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "grams")
     # the most frequent grams, a bounded number, meet their anchors where these lie; only the rest is dealt by gram
     hot = F.broadcast(again.where(F.col("n") > HOT_ANCHORS).orderBy(F.desc("n"), "key").limit(HOT_GRAMS).select("key"))
