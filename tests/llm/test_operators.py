@@ -353,6 +353,16 @@ def test_html_extraction(spark):
     assert html.unescape("&copy;") == "©"
 
 
+def test_html_undeclared_text_beside_a_container(spark):
+    menu = "<div>home news sport weather shop travel food style</div>"
+    page = "<body>{}<article><p>teaser {}</p></article><p>the story of page {} stands {} words away from its card</p></body>"
+    rows = [(i, "http://one.host/", page.format(menu, i, i, i * 7)) for i in range(5)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(3)
+    got = {r.page_id: r.text.split("\n") for r in html_text.extract(df).collect()}
+    for i in range(5):
+        assert [x for x in got[i] if x] == [f"teaser {i}", f"the story of page {i} stands {i * 7} words away from its card"]
+
+
 def test_sorted_suffixes():
     rng = random.Random(7)
     page = np.sort(np.array([rng.randint(0, 5) for _ in range(200)]))
