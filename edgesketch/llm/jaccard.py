@@ -14,8 +14,8 @@ A document's set are the hashes of its distinct word shingles; equal sets are on
 3. What is tied together by 2 is a region. Its sets are fetched once, and the region is joined
    exactly and recursively: some members become pivots, a class goes to its nearest pivot's Voronoi
    cell, and to that of any other pivot q with (d(x, q) - d(x, p)) / 2 <= r, cells are joined alike.
-   A region too large for a task is split the same way between tasks first, and what does not
-   shrink is joined in pairs of blocks.
+   A region too large for a task is split the same way between tasks first; what a turn does not
+   shrink is joined in pairs of blocks at once, without a copy for each cell.
 
 Links found are checked on the full sets in whole numbers: 100 * |A and B| >= percent * |A or B|.
 
@@ -56,6 +56,8 @@ RANKING_ENTRIES = 1 << 20
 #: Classes and shingles of a region that one task joins.
 REGION_CLASSES, REGION_SHINGLES = 20_000, 6_000_000
 PIVOTS, LEAF = 8, 200
+#: Bytes of sets that come to the driver as pivots of large regions.
+PIVOT_BYTES = 64 << 20
 
 
 def shingle_sets(column, width: int) -> list[np.ndarray]:
@@ -380,61 +382,84 @@ def _solve_sorted(percent: int):
     return look
 
 
+def _in_pairs_of_blocks(many: DataFrame, most_classes: int, most_shingles: int) -> DataFrame:
+    """The sets of regions of k classes and s shingles, so that any two of a region meet in a region of a bounded size."""
+    parts = F.ceil(F.greatest(F.col("k") / F.lit(most_classes / 2), F.col("s") / F.lit(most_shingles / 2))).cast("long")
+    block = F.pmod(F.xxhash64("cid"), parts)
+    with_each = F.transform(F.sequence(F.lit(0).cast("long"), parts - 1), lambda o: F.struct(F.least(block, o).alias("i"), F.greatest(block, o).alias("j")))
+    dealt = many.select(F.explode(with_each).alias("ij"), "region", "cid", "body")
+    return dealt.select(F.xxhash64("region", "ij.i", "ij.j").alias("region"), "cid", "body")
+
+
+def _pivots(many: DataFrame, turn: int, most_bytes: int = PIVOT_BYTES) -> dict[int, list]:
+    """Some sets of each region, at most 4096 and at most ``most_bytes`` of all regions."""
+    chance = F.lit(4.0 * PIVOTS) / F.col("k")
+    drawn = many.where(F.pmod(F.xxhash64("cid", F.lit(turn)), F.lit(1 << 30)) < chance * (1 << 30)).select("region", "cid", "body")
+    largest = drawn.agg(F.max(F.octet_length("body")).alias("n")).first().n
+    out: dict[int, list] = {}
+    for r in drawn.limit(min(4096, most_bytes // largest) if largest else 0).toLocalIterator():
+        out.setdefault(r.region, []).append((r.cid, np.frombuffer(bytes(r.body), np.uint64)))
+    return out
+
+
+CELLS = "region long, cid long, body binary, k long, s double, cells array<long>, links array<long>"
+
+
 def _part_large(sets: DataFrame, percent: int, most_classes: int, most_shingles: int, rounds: int = 6) -> tuple[DataFrame, DataFrame | None]:
-    """Splits regions that are too large for a task by pivots, between tasks; (sets, links found by it)."""
-    spark, links = sets.sparkSession, None
+    """Splits regions that are too large for a task by pivots, between tasks; (sets, links found by it).
+
+    A region that a turn does not split well (its largest cell keeps over 0.9 of the classes, or all
+    cells together over twice of them) is joined in pairs of blocks at once, and so is what is left
+    after ``rounds``, or once the rows are over four times those of the first turn. No copy is
+    written before that is known.
+    """
+    spark, links, settled, first = sets.sparkSession, None, None, None
     radius = 1 - percent / 100 + 1e-9
     for turn in range(rounds + 1):
         size = sets.groupBy("region").agg(F.count(F.lit(1)).alias("k"), F.sum(F.octet_length("body") / 8).alias("s"))
         large = materialize(size.where((F.col("k") > most_classes) | (F.col("s") > most_shingles)), "large")
-        if large.isEmpty():
-            return sets, links
-        marked = sets.join(F.broadcast(large), "region", "left")
-        if turn == rounds:
-            # what pivots do not part is joined in pairs of blocks, each of a bounded size
-            parts = F.ceil(F.greatest(F.col("k") / F.lit(most_classes / 2), F.col("s") / F.lit(most_shingles / 2))).cast("long")
-            block = F.pmod(F.xxhash64("cid"), parts)
-            with_each = F.transform(F.sequence(F.lit(0).cast("long"), parts - 1), lambda o: F.struct(F.least(block, o).alias("i"), F.greatest(block, o).alias("j")))
-            many = marked.where("k is not null").select(F.explode(with_each).alias("ij"), "region", "cid", "body")
-            many = many.select(F.xxhash64("region", "ij.i", "ij.j").alias("region"), "cid", "body")
-            return materialize(marked.where("k is null").select("region", "cid", "body").union(many), "blocks"), links
-        chance = F.lit(4.0 * PIVOTS) / F.col("k")
-        drawn = marked.where("k is not null").where(F.pmod(F.xxhash64("cid", F.lit(turn)), F.lit(1 << 30)) < chance * (1 << 30))
-        pivots: dict[int, list] = {}
-        for r in drawn.select("region", "cid", "body").limit(4096).toLocalIterator():
-            pivots.setdefault(r.region, []).append((r.cid, np.frombuffer(bytes(r.body), np.uint64)))
+        rows = large.agg(F.sum("k").alias("k")).first().k
+        small = sets.join(F.broadcast(large.select("region")), "region", "left_anti") if rows else sets
+        settled = small if settled is None else settled.unionByName(small)
+        if not rows:
+            return settled, links
+        first = first or rows
+        many = sets.join(F.broadcast(large), "region").select("region", "cid", "body", "k", "s")
+        pivots = _pivots(many, turn) if turn < rounds and rows <= 4 * first else {}
+        if not pivots:
+            return settled.unionByName(materialize(_in_pairs_of_blocks(many, most_classes, most_shingles), "blocks")), links
         told = spark.sparkContext.broadcast(pivots)
 
         def part(rows, told=told, turn=turn):
             for batch in (b.slice(i, 256) for b in rows for i in range(0, b.num_rows, 256)):
-                out, found = [], []
-                for region, cid, body, k in zip(*(batch.column(x).to_pylist() for x in ("region", "cid", "body", "k"))):
-                    own = told.value.get(region) if k is not None else None
-                    if not own:
-                        out.append((region, cid, body))
-                        continue
-                    a = np.frombuffer(body, np.uint64)
+                cells, links = [], []
+                for region, cid, body in zip(*(batch.column(x).to_pylist() for x in ("region", "cid", "body"))):
+                    own, a = told.value.get(region), np.frombuffer(body, np.uint64)
+                    cells.append([] if own else [region])
+                    links.append([])
                     d = []
-                    for other, b in own:
+                    for other, b in own or ():
                         both = len(np.intersect1d(a, b, assume_unique=True))
                         either = len(a) + len(b) - both
                         d.append(1 - both / either)
                         if 100 * both >= percent * either and other != cid:
-                            found.append((cid, other))
-                    near = min(d)
-                    for x, (other, _) in zip(d, own):
+                            links[-1].append(other)
+                    near = min(d, default=0)
+                    for x, (other, _) in zip(d, own or ()):
                         if x == near or (x - near) / 2 <= radius:
                             cell = hashlib.blake2b(f"{region} {other} {turn}".encode(), digest_size=8).digest()
-                            out.append((int.from_bytes(cell, "little", signed=True), cid, body))
-                rows_out = [(r, c, b, False) for r, c, b in out] + [(x, y, None, True) for x, y in found]
-                if rows_out:
-                    yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows_out), (pa.int64(), pa.int64(), pa.binary(), pa.bool_()))], names=["region", "cid", "body", "link"])
+                            cells[-1].append(int.from_bytes(cell, "little", signed=True))
+                yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(cells, pa.list_(pa.int64())), pa.array(links, pa.list_(pa.int64()))], names=[*batch.schema.names, "cells", "links"])
 
-        done = materialize(marked.select("region", "cid", "body", "k").mapInArrow(part, SETS + ", link boolean"), "cells")
-        more = done.where("link").select(F.col("region").alias("a"), F.col("cid").alias("b"))
+        done = materialize(many.mapInArrow(part, CELLS), "cells")
+        more = done.select(F.col("cid").alias("a"), F.explode("links").alias("b"))
         links = more if links is None else links.union(more)
-        sets = done.where("not link").select("region", "cid", "body")
-    return sets, links
+        cell = done.select("region", "k", F.explode("cells").alias("cell")).groupBy("region", "k", "cell").agg(F.count(F.lit(1)).alias("n"))
+        whole = cell.groupBy("region", "k").agg(F.sum("n").alias("n"), F.max("n").alias("top"))
+        stuck = materialize(whole.where((F.col("n") > 2 * F.col("k")) | (F.col("top") > 0.9 * F.col("k"))).select("region"), "stuck")
+        pairs = _in_pairs_of_blocks(done.join(F.broadcast(stuck), "region", "left_semi"), most_classes, most_shingles)
+        settled = settled.unionByName(materialize(pairs, "blocks"))
+        sets = materialize(done.join(F.broadcast(stuck), "region", "left_anti").select(F.explode("cells").alias("region"), "cid", "body"), "parted")
 
 
 def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int = FREQUENT, most_classes: int = REGION_CLASSES, most_shingles: int = REGION_SHINGLES) -> DataFrame:

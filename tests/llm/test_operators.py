@@ -440,6 +440,26 @@ def test_jaccard_keep_one_and_region(spark, docs):
     assert len({(a, b) for a, b in zip(comp, region.comp.tolist())}) == len(set(comp)) == len(set(region.comp.tolist()))
 
 
+@pytest.mark.parametrize("near", [False, True])
+def test_jaccard_large_region_that_pivots_do_not_part(spark, near):
+    # all at distance 1 of each other, or all near: every class is in every cell, so no turn may copy them
+    rng = np.random.default_rng(2)
+    base = rng.integers(0, 2**62, 40).astype(np.uint64)
+    sets = [np.unique(np.concatenate([base, [i]]).astype(np.uint64) if near else rng.integers(0, 2**62, 40).astype(np.uint64)) for i in range(60)]
+    rows = [(7, i, bytearray(s.tobytes())) for i, s in enumerate(sets)] + [(8, 100, bytearray(sets[0].tobytes()))]
+    parted, found = jaccard._part_large(spark.createDataFrame(rows, jaccard.SETS).repartition(3), 85, 20, 10**9, rounds=1)
+    got = parted.groupBy("region").count().collect()
+    assert sum(r["count"] for r in got) <= 1 + 60 * 6 and max(r["count"] for r in got) < 40  # six blocks, two in a region
+    together = {(a, b) for r in parted.groupBy("region").agg(F.collect_set("cid").alias("c")).collect() for a in r.c for b in r.c}
+    assert all((i, j) in together for i in range(60) for j in range(60)) and (100, 100) in together
+    assert found is None or found.isEmpty() != near
+
+
+def test_jaccard_pivots_are_bounded_by_bytes(spark):
+    many = spark.createDataFrame([(1, i, bytearray(80), 4, 40.0) for i in range(4)], "region long, cid long, body binary, k long, s double")
+    assert len(jaccard._pivots(many, 0, 200)[1]) == 2 and jaccard._pivots(many, 0, 79) == {}
+
+
 def test_connected(spark):
     rng = random.Random(10)
     edges = [(rng.randrange(300), rng.randrange(300)) for _ in range(200)] + [(0, k) for k in range(300, 400)] + [(k, k + 1) for k in range(500, 560)]
