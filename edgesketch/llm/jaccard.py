@@ -87,8 +87,18 @@ def prefix_length(n: int, percent: int) -> int:
     return n + (-percent * n // 100) + 1
 
 
+def _row():
+    """A hash of a row's doc_id and text: rows may share a doc_id, or have none."""
+    return F.xxhash64(F.col("doc_id").cast("long"), F.col("text").cast("string"))
+
+
 def _docs(docs: DataFrame) -> DataFrame:
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), _row().alias("row"), F.col("text").cast("string").alias("text"))
+
+
+def _least(row: str, doc_id: str):
+    """The row of least doc_id; the least row where all doc_ids are null."""
+    return F.coalesce(F.min_by(row, doc_id), F.min(row))
 
 
 def ranking(docs: DataFrame, width: int, seen: int = RANKED, entries: int = RANKING_ENTRIES) -> tuple[np.ndarray, np.ndarray]:
@@ -120,7 +130,7 @@ def ranking(docs: DataFrame, width: int, seen: int = RANKED, entries: int = RANK
     return h[order], n[order]
 
 
-WIDE = "doc_id long, n long, cid long, prefix binary, bins binary"
+WIDE = "doc_id long, row long, n long, cid long, prefix binary, bins binary"
 
 
 def prefixes(docs: DataFrame, width: int, percent: int, ranked) -> DataFrame:
@@ -145,8 +155,8 @@ def prefixes(docs: DataFrame, width: int, percent: int, ranked) -> DataFrame:
                     top = (own >> np.uint64(65 - b.bit_length())).astype(np.int64)
                     bins.append(np.minimum(np.bincount(top, minlength=b), 65535).astype("<u2").tobytes())
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array(bins, pa.binary())],
-                    names=["doc_id", "n", "cid", "prefix", "bins"],
+                    [batch.column("doc_id"), batch.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array(bins, pa.binary())],
+                    names=["doc_id", "row", "n", "cid", "prefix", "bins"],
                 )
 
     return _docs(docs).mapInArrow(look, WIDE)
@@ -340,15 +350,16 @@ SETS = "region long, cid long, body binary"
 
 
 def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: int) -> DataFrame:
-    """The set of each class of a region, made anew from the text of one of its documents."""
-    one = wide.join(regions, "cid").groupBy("cid", "region").agg(F.min("doc_id").alias("doc_id"))
-    met = _docs(docs).join(one, "doc_id").select("region", "cid", "text")
+    """The set of each class of a region, made anew from the text of one of its rows."""
+    one = wide.join(regions, "cid").groupBy("cid", "region").agg(_least("row", "doc_id").alias("row"))
+    met = _docs(docs).join(one, "row").select("region", "cid", "text")
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()  # rows that are repeated give a class once a task
         for whole in batches:
             for batch in text_slices(whole, "text"):
                 sets = shingle_sets(batch.column("text"), width)
-                same = pa.array([class_id(s) == c for s, c in zip(sets, batch.column("cid").to_pylist())])
+                same = pa.array([c not in seen and class_id(s) == c and not seen.add(c) for s, c in zip(sets, batch.column("cid").to_pylist())], pa.bool_())
                 yield pa.RecordBatch.from_arrays([batch.column("region"), batch.column("cid"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["region", "cid", "body"]).filter(same)
 
     return met.mapInArrow(look, SETS)
@@ -462,8 +473,8 @@ def _part_large(sets: DataFrame, percent: int, most_classes: int, most_shingles:
         sets = materialize(done.join(F.broadcast(stuck), "region", "left_anti").select(F.explode("cells").alias("region"), "cid", "body"), "parted")
 
 
-def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int = FREQUENT, most_classes: int = REGION_CLASSES, most_shingles: int = REGION_SHINGLES) -> DataFrame:
-    """doc_id, n_shingles and component_id (the least doc_id reachable by links) of every document."""
+def _grouped(docs: DataFrame, width: int, percent: int, frequent: int = FREQUENT, most_classes: int = REGION_CLASSES, most_shingles: int = REGION_SHINGLES) -> DataFrame:
+    """doc_id, row and set size of every row, and of its component the least doc_id and the row that has it."""
     spark = docs.sparkSession
     hot = ranking(docs, width)
     wide = materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets")
@@ -471,35 +482,43 @@ def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int =
         regions = connected(candidate_links(wide, percent, frequent, hot)).toDF("cid", "region")
         regions = materialize(regions, "region-names", outer=True)
     with scratch_scope(spark):
-        sets = materialize(_region_sets(docs, wide.select("doc_id", "cid"), regions, width), "regions")
+        sets = materialize(_region_sets(docs, wide.select("doc_id", "row", "cid"), regions, width), "regions")
         sets, found = _part_large(sets, percent, most_classes, most_shingles)
         dealt = sets.repartition(partitions_for(spark), "region").sortWithinPartitions("region")
         links = dealt.mapInArrow(_solve_sorted(percent), "a long, b long")
         links = materialize(links if found is None else links.union(found), "found-links", outer=True)
     roots = connected(links)
-    least = wide.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"))
-    named = least.join(roots.toDF("cid", "root"), "cid", "left").select("cid", "least", F.coalesce("root", "cid").alias("root"))
-    component = named.groupBy("root").agg(F.min("least").alias("component_id"))
-    by_class = named.join(component, "root").select("cid", "component_id")
-    out = wide.select("doc_id", "n", F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(by_class, "cid", "left")
+    least = wide.where("n > 0").groupBy("cid").agg(F.min("doc_id").alias("least"), _least("row", "doc_id").alias("least_row"))
+    named = least.join(roots.toDF("cid", "root"), "cid", "left").select("cid", "least", "least_row", F.coalesce("root", "cid").alias("root"))
+    component = named.groupBy("root").agg(F.min("least").alias("component_id"), _least("least_row", "least").alias("first_row"))
+    by_class = named.join(component, "root").select("cid", "component_id", "first_row")
+    return wide.select("doc_id", "row", "n", F.when(F.col("n") > 0, F.col("cid")).alias("cid")).join(by_class, "cid", "left")
+
+
+def classes(docs: DataFrame, width: int = 5, percent: int = 80, frequent: int = FREQUENT, most_classes: int = REGION_CLASSES, most_shingles: int = REGION_SHINGLES) -> DataFrame:
+    """doc_id, n_shingles and component_id (the least doc_id reachable by links) of every document."""
+    out = _grouped(docs, width, percent, frequent, most_classes, most_shingles)
     return out.select("doc_id", F.col("n").alias("n_shingles"), F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
-    """The documents without near-duplicates: of each group of links the one of least doc_id stays.
+    """The documents without near-duplicates: of each group of links one row of the least doc_id stays.
 
-    Rows that repeat a doc_id are copies of one document; one of them stays.
+    Rows are told apart by doc_id and text, so a null or repeated doc_id alone drops nothing; of rows
+    that are equal in both, one stays.
     """
     with scratch_scope(docs.sparkSession):
-        found = materialize(classes(docs, width, percent), "near-duplicates", outer=True)
-    lost = found.where(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__es_id")).distinct()
-    twice = materialize(found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("doc_id").alias("__es_id")), "repeated-ids")
-    own = F.col("doc_id").cast("long")
-    kept = docs.join(lost, own.eqNullSafe(F.col("__es_id")), "left_anti")
-    if twice.isEmpty():
-        return kept
-    once = kept.join(twice, own.eqNullSafe(F.col("__es_id")), "left_anti")
-    return once.unionByName(kept.join(twice, own.eqNullSafe(F.col("__es_id")), "left_semi").dropDuplicates(["doc_id"]))
+        found = _grouped(docs, width, percent).select("doc_id", "row", (F.col("row") != F.col("first_row")).alias("lost"))
+        found = materialize(found, "near-duplicates", outer=True)
+    lost = found.where("lost").select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")).distinct()
+    twice = found.groupBy("doc_id", "row").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    twice = materialize(twice.select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")), "repeated-rows")
+    met = F.col("doc_id").cast("long").eqNullSafe(F.col("__es_id")) & (F.col("__es_row") == F.col("__es_lost"))
+    kept = docs.withColumn("__es_row", _row()).join(lost, met, "left_anti")
+    if not twice.isEmpty():
+        once = kept.join(twice, met, "left_anti")
+        kept = once.unionByName(kept.join(twice, met, "left_semi").dropDuplicates(["doc_id", "__es_row"]))
+    return kept.drop("__es_row")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

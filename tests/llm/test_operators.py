@@ -440,6 +440,18 @@ def test_jaccard_keep_one_and_region(spark, docs):
     assert len({(a, b) for a, b in zip(comp, region.comp.tolist())}) == len(set(comp)) == len(set(region.comp.tolist()))
 
 
+def test_jaccard_keep_one_decides_by_row(spark):
+    rng = random.Random(12)
+    a, b, c, d, e, p = (prose(rng, 60) for _ in range(6))
+    rows = [(1, a), (None, a), (None, b), (None, c), (None, c), (2, d), (2, e), (3, d + " tail"), (None, ""), (None, ""), (4, ""), (2, ""), (5, p), (5, "x " + p)]
+    q = prose(rng, 60)
+    rows += [(None, q), (None, q + " tail")]  # linked, without a doc_id in either
+    kept = [(r.doc_id, r.text) for r in jaccard.keep_one(frame(spark, rows, lambda i: "src")).collect()]
+    assert sum(t in (q, q + " tail") for _, t in kept) == 1 and sum(t in (p, "x " + p) for _, t in kept) == 1
+    rest = [(i, t) for i, t in kept if t not in (q, q + " tail", p, "x " + p)]
+    assert sorted(rest, key=str) == sorted([(1, a), (None, b), (None, c), (2, d), (2, e), (None, ""), (4, ""), (2, "")], key=str)
+
+
 @pytest.mark.parametrize("near", [False, True])
 def test_jaccard_large_region_that_pivots_do_not_part(spark, near):
     # all at distance 1 of each other, or all near: every class is in every cell, so no turn may copy them
