@@ -5,8 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from edgesketch.tables import star_components
+
 #: Vertices up to which a global minimum cut is searched on the driver.
-MIN_CUT_VERTICES = 5_000
+MIN_CUT_VERTICES = 200_000
 
 
 def crossing(edges: DataFrame, cuts: DataFrame) -> DataFrame:
@@ -71,19 +73,73 @@ def least_cut(edges, vertices=()) -> int:
     return best or 0
 
 
+def least_cut_to(k: int, edges, vertices=()) -> int:
+    """min(least cut, k): each maximum-adjacency order contracts all edges whose ends no cut below the best one can part.
+
+    When x has gained the weight q by the time an order takes v, v and x are q-connected; the last
+    vertex gains its whole degree, so each order contracts something.
+    """
+    import heapq
+
+    near = _adjacency((u, v) for u, v in edges if u != v)
+    for v in vertices:
+        near.setdefault(v, {})
+    if len(near) < 2:
+        return 0
+    best = k
+    while len(near) > 1:
+        best = min(best, min(sum(of.values()) for of in near.values()))
+        if best <= 0:
+            return 0
+        root = {v: v for v in near}
+
+        def find(x, root=root):
+            while root[x] != x:
+                root[x] = root[root[x]]
+                x = root[x]
+            return x
+
+        weight, seen, heap = dict.fromkeys(near, 0), set(), [(0, next(iter(near)))]
+        while heap:
+            w, v = heapq.heappop(heap)
+            if v in seen or -w != weight[v]:
+                continue
+            seen.add(v)
+            for x, n in near[v].items():
+                if x not in seen:
+                    weight[x] += n
+                    heapq.heappush(heap, (-weight[x], x))
+                    if weight[x] >= best:
+                        root[find(x)] = find(v)
+        if len(seen) < len(near):
+            return 0  # not connected
+        merged: dict[int, dict[int, int]] = {find(v): {} for v in near}
+        for v, of in near.items():
+            into = merged[find(v)]
+            for x, n in of.items():
+                if find(x) != find(v):
+                    into[find(x)] = into.get(find(x), 0) + n
+        near = merged
+    return best
+
+
 def min_cut(certificate: DataFrame, vertices: DataFrame, k: int) -> int:
     """min(w, k) of the global minimum cut; the certificate has at most k (V - 1) edges.
 
-    Beyond MIN_CUT_VERTICES the cheap exact cases are answered (not connected, a vertex of least
-    degree), and the value is an upper bound by single vertices.
+    Beyond MIN_CUT_VERTICES only what is exact is answered (not connected, or k = 1); else it raises.
     """
-    n = vertices.select("vertex").distinct().count()
+    named = vertices.select("vertex").distinct()
+    n = named.count()
     if n <= MIN_CUT_VERTICES:
-        rows = [(r.u, r.v) for r in certificate.select("u", "v").toLocalIterator()]
-        return min(k, least_cut(rows, [r.vertex for r in vertices.select("vertex").toLocalIterator()]))
-    ends = certificate.select(F.explode(F.array("u", "v")).alias("vertex")).groupBy("vertex").agg(F.count(F.lit(1)).alias("d"))
-    least = vertices.select("vertex").distinct().join(ends, "vertex", "left").agg(F.min(F.coalesce("d", F.lit(0))).alias("d")).first().d
-    return min(k, int(least or 0))
+        rows = ((r.u, r.v) for r in certificate.select("u", "v").toLocalIterator())
+        return least_cut_to(k, rows, [r.vertex for r in named.toLocalIterator()])
+    found = star_components(certificate.select("u", "v"))[0]
+    components = named.join(found, "vertex", "left").agg(F.countDistinct(F.coalesce("component", "vertex")).alias("n")).first().n
+    if components > 1:
+        return 0
+    if k <= 1:
+        return k
+    raise ValueError(f"a minimum cut up to {k} of {n} vertices is not searched beyond {MIN_CUT_VERTICES}")
 
 
 def is_edge_connected(certificate: DataFrame, vertices: DataFrame, j: int) -> bool:

@@ -174,6 +174,26 @@ def test_certificates_and_cuts(spark):
     assert cuts.least_cut([(0, 1), (2, 3)]) == 0
 
 
+def test_min_cut_of_many_vertices_and_beyond_the_driver(spark, monkeypatch):
+    rng = random.Random(3)
+    for _ in range(300):
+        n = rng.randint(2, 12)
+        e = [(a, b) for a in range(n) for b in range(a) for _ in range(rng.randint(1, 2)) if rng.random() < 0.6]
+        for k in (1, 2, 3, 50):
+            assert cuts.least_cut_to(k, e, range(n)) == min(k, cuts.least_cut(e, range(n)))
+    # two clusters of 3,000 vertices with degree six and more, joined by one edge or none
+    half = [(s + a, s + (a + d) % 3000) for s in (0, 3000) for a in range(3000) for d in (1, 2, 3)]
+    for across in (1, 0):
+        made = spark.createDataFrame(half + [(5, 3005)] * across, "u long, v long")
+        assert cuts.min_cut(made, spark.range(6000).toDF("vertex"), 3) == across
+        assert cuts.is_edge_connected(made, spark.range(6000).toDF("vertex"), 2) is False
+    monkeypatch.setattr(cuts, "MIN_CUT_VERTICES", 3)
+    path = spark.createDataFrame([(0, 1), (1, 2), (2, 3)], "u long, v long")
+    assert cuts.min_cut(path, spark.range(5).toDF("vertex"), 2) == 0 and cuts.min_cut(path, spark.range(4).toDF("vertex"), 1) == 1
+    with pytest.raises(ValueError):
+        cuts.min_cut(path, spark.range(4).toDF("vertex"), 2)
+
+
 def test_exact_baselines(spark):
     e = random_edges(40, 50, 8)
     df = frame(spark, e)
