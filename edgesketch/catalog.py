@@ -386,7 +386,9 @@ r AS (SELECT *, row_number() OVER (PARTITION BY vertex, sampler ORDER BY level D
 SELECT w.vertex, w.sampler, CASE WHEN r.xe IS NULL THEN 'failed' ELSE 'edge' END AS status, coalesce(r.xe, 0) AS eid
 FROM (SELECT vertex, sampler FROM k WHERE level = -1) w LEFT JOIN r ON r.vertex = w.vertex AND r.sampler = w.sampler AND r.k = 1""")
 def _(spark, sf_dir):
-    return buckets.decode(_small_buckets(spark, sf_dir), _SMALL).drop("copy").withColumn("eid", F.coalesce("eid", F.lit(0).cast("long")))
+    top = graphs.edges(spark, sf_dir, "page_links").agg(F.max(F.greatest("u", "v")).alias("top")).first().top
+    params = _SMALL.with_(v_count=max(_SMALL.v_count, (top or 0) + 1))  # vertices beyond the small count are vertices too
+    return buckets.decode(_small_buckets(spark, sf_dir), params).drop("copy").withColumn("eid", F.coalesce("eid", F.lit(0).cast("long")))
 
 
 @query("handshake", "SELECT 0::BIGINT AS ids, 0::BIGINT AS checks")
@@ -548,8 +550,9 @@ def _(spark, sf_dir):
 
 @query("epoch_range_join", "SELECT e.epoch::BIGINT AS epoch, count(*)::BIGINT AS updates FROM (SELECT k AS epoch, 700 * k AS lo, 700 * (k + 1) AS hi FROM range(0, 1000) t(k)) e JOIN events ON event_id >= lo AND event_id < hi GROUP BY e.epoch")
 def _(spark, sf_dir):
-    # a range join by bins: epochs and events meet on the bin that the range covers
-    epochs = spark.range(1000).select(F.col("id").alias("epoch"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 700).alias("hi"))
+    # a range join by bins: epochs and events meet on the bin that the range covers; epochs reach the last event
+    last = table(spark, sf_dir, "events").agg(F.max("event_id").alias("last")).first().last
+    epochs = spark.range(0 if last is None else last // 700 + 1).select(F.col("id").alias("epoch"), (F.col("id") * 700).alias("lo"), (F.col("id") * 700 + 700).alias("hi"))
     binned = epochs.withColumn("bin", F.explode(F.sequence(F.floor(F.col("lo") / 1000), F.floor((F.col("hi") - 1) / 1000))))
     ev = table(spark, sf_dir, "events").select("event_id", F.floor(F.col("event_id") / 1000).alias("bin"))
     return ev.join(binned, "bin").where("event_id >= lo AND event_id < hi").groupBy("epoch").agg(F.count(F.lit(1)).alias("updates"))

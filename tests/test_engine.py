@@ -194,6 +194,23 @@ def test_min_cut_of_many_vertices_and_beyond_the_driver(spark, monkeypatch):
         cuts.min_cut(path, spark.range(4).toDF("vertex"), 2)
 
 
+def test_epoch_range_join_reaches_the_last_event(spark, tmp_path):
+    from edgesketch import catalog
+
+    spark.createDataFrame([(0,), (699,), (700,), (700_005,)], "event_id long").write.parquet(f"{tmp_path}/events.parquet")
+    got = {r.epoch: r.updates for r in catalog.queries()["epoch_range_join"](spark, str(tmp_path)).collect()}
+    assert got == {0: 2, 1: 1, 1000: 1}
+
+
+def test_decode_pair31_of_many_vertices(spark, tmp_path):
+    from edgesketch import catalog
+
+    rows = [(i, "", '<a href="/only">x</a>' if i == 4999 else "") for i in range(5000)]
+    spark.createDataFrame(rows, "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    got = catalog.queries()["decode_pair31"](spark, str(tmp_path)).collect()
+    assert got and all(r.status == "edge" for r in got)
+
+
 def test_exact_baselines(spark):
     e = random_edges(40, 50, 8)
     df = frame(spark, e)
