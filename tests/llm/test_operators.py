@@ -2,6 +2,7 @@
 
 import hashlib
 import html
+import html.parser
 import random
 import re
 import struct
@@ -15,6 +16,7 @@ from edgesketch.llm import classifier, decontam, html_text, jaccard, packing, qu
 from edgesketch.llm import textkit as K
 from edgesketch.llm.components import connected
 
+GIVEN = "/root/testdata/sf0.01"
 WORDS = "the of and to in is that it was for on are with as his they at be this from".split()
 
 
@@ -336,7 +338,7 @@ def test_pre_tokens_equal_the_library(library):
 def test_html_extraction(spark):
     article = "<article><h1>A &amp; B</h1><p><b>One\n two<br>three<p>x &lt; y &#233;<script>var t='</p>'</script><div class='ad'>buy</div><section class=\"comments\"><p>nice!</p></section><ul><li>l1<li>l2</ul></article>"
     wrap = "<html><head><title>T</title><style>p{{}}</style></head><body><header>site</header><nav><ul><li>n</li></ul></nav><!-- <p>no</p> -->{}<footer>f &copy;</footer></body>"
-    expected = "A & B\nOne two three\nx < y é\nl1\nl2"
+    expected = "A & B\n\nOne two three\n\nx < y é\n\nl1\n\nl2"
     menu = "<div>home news sport weather shop travel food style</div>"
     unique = [f"<div>{menu}<p>unique words number {i} of this page {i * 7} stay</p></div>" for i in range(4)]
     rows = [(0, "http://a.b/x", wrap.format(article)), (1, "http://a.b/x", None), (2, None, ""), (3, "u", "plain  text &amp; more"), (4, "http://c.d/", "<p>un<script>x"), (5, "http://c.d/", "<main><p>m</p></main><p>out</p>")]
@@ -363,6 +365,74 @@ def test_html_undeclared_text_beside_a_container(spark):
         assert [x for x in got[i] if x] == [f"teaser {i}", f"the story of page {i} stands {i * 7} words away from its card"]
 
 
+class _Reader(html.parser.HTMLParser):
+    """An independent reader: the text of article elements, split where a block element starts or ends."""
+
+    BLOCK = "article p h1 h2 h3 h4 h5 h6 ul ol li div section header footer aside nav form table tr td th blockquote pre figure figcaption dl dt dd hr"
+    OUT = "script style nav aside footer form header"
+
+    def __init__(self):
+        super().__init__(convert_charrefs=True)
+        self.inside, self.out, self.parts, self.found = 0, [], [], []
+
+    def flush(self):
+        text = " ".join("".join(self.parts).split())
+        self.parts = []
+        if text and self.inside and not self.out:
+            self.found.append(text)
+
+    def handle_starttag(self, tag, attrs):
+        if tag in self.BLOCK.split():
+            self.flush()
+        if tag == "article":
+            self.inside += 1
+        elif self.inside and (tag in self.OUT.split() or self.out and tag == self.out[0] or not self.out and html_text.ASIDE_WORDS & set((dict(attrs).get("class") or "").split())):
+            self.out.append(tag)
+        elif tag == "br":
+            self.parts.append(" ")
+
+    def handle_endtag(self, tag):
+        if tag in self.BLOCK.split():
+            self.flush()
+        if self.out and tag == self.out[0]:
+            self.out.pop()
+        elif tag == "article":
+            self.inside -= 1
+
+    def handle_data(self, data):
+        if self.inside and not self.out:
+            self.parts.append(data)
+
+
+def test_html_of_the_given_pages_equals_an_independent_reader(spark):
+    pages = spark.read.parquet(GIVEN + "/pages.parquet")
+    got = {r.page_id: r for r in html_text.extract(pages).collect()}
+    assert len(got) == pages.count()
+    many = 0
+    for r in pages.collect():
+        reader = _Reader()
+        reader.feed(r.html or "")
+        reader.flush()
+        text = "\n\n".join(reader.found)
+        many += len(reader.found) > 1
+        assert (got[r.page_id].text, got[r.page_id].n_chars, got[r.page_id].url) == (text, len(text), r.url)
+    assert many > 100
+
+
+def test_html_rests_on_the_suffix_array(spark, monkeypatch):
+    menu = "<div>home news sport weather shop travel food style</div>"
+    rows = [(i, "http://one.host/", f"<body>{menu}<p>the story number {i} stands {i * 7} words away from its menu</p></body>") for i in range(4)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string")
+    assert all("home news" not in r.text for r in html_text.extract(df).collect())
+    monkeypatch.setattr(html_text, "repeated_runs", lambda parsed, run: spark.createDataFrame([], "host string, h long"))
+    assert all("home news" in r.text for r in html_text.extract(df).collect())
+
+
+def test_html_three_blocks(spark):
+    df = spark.createDataFrame([(1, "http://a.b/", "<article><p>one</p><p>two\n words</p><div>three</div></article>")], "page_id long, url string, html string")
+    assert html_text.extract(df).first().text == "one\n\ntwo words\n\nthree"
+
+
 def test_sorted_suffixes():
     rng = random.Random(7)
     page = np.sort(np.array([rng.randint(0, 5) for _ in range(200)]))
