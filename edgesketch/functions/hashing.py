@@ -9,12 +9,14 @@ from pyspark.sql import functions as F
 P31 = 2**31 - 1
 
 
-def mix64(x: np.ndarray, seed: int) -> np.ndarray:
-    """A 64-bit finaliser over x xor a spread seed."""
-    x = x ^ np.uint64((seed * 0x9E3779B97F4A7C15 + 0x632BE59BD9B4E019) & 0xFFFFFFFFFFFFFFFF)
-    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-    return x ^ (x >> np.uint64(31))
+def mix64(x: np.ndarray, seed: int, out: np.ndarray | None = None, spare: np.ndarray | None = None) -> np.ndarray:
+    """A 64-bit finaliser over x xor a spread seed; into ``out``, by way of ``spare``, if they are given."""
+    out = np.bitwise_xor(x, np.uint64((seed * 0x9E3779B97F4A7C15 + 0x632BE59BD9B4E019) & 0xFFFFFFFFFFFFFFFF), out=out)
+    spare = np.empty_like(out) if spare is None else spare
+    for shift, factor in ((30, 0xBF58476D1CE4E5B9), (27, 0x94D049BB133111EB)):
+        np.bitwise_xor(out, np.right_shift(out, np.uint64(shift), out=spare), out=out)
+        np.multiply(out, np.uint64(factor), out=out)
+    return np.bitwise_xor(out, np.right_shift(out, np.uint64(31), out=spare), out=out)
 
 
 def trailing_zeros(h: np.ndarray) -> np.ndarray:

@@ -15,7 +15,7 @@ from typing import Protocol
 
 import numpy as np
 
-from edgesketch.functions.hashing import mix64, trailing_zeros
+from edgesketch.functions.hashing import mix64
 
 EDGE, EMPTY, FAILED = 0, 1, 2
 STATUS = {EDGE: "edge", EMPTY: "empty", FAILED: "failed"}
@@ -34,6 +34,8 @@ class SketchParams:
     levels: int | None = None
     seed: int = 42
     hash_family: str = "mix64"
+    #: The number of the first copy: copy i of a larger sketch has the hashes of a sketch of one copy that starts at i.
+    first_copy: int = 0
 
     def __post_init__(self):
         if self.variant not in ("one_level", "nested") or self.hash_family not in ("mix64", "xxhash64", "pair31"):
@@ -69,13 +71,17 @@ class SketchParams:
         return math.ceil(alpha * self.vertex_bytes / 8)
 
     def key(self) -> tuple:
-        return (self.v_count, self.variant, self.copies, self.samplers, self.columns, self.levels, self.seed, self.hash_family)
+        return (self.v_count, self.variant, self.copies, self.samplers, self.columns, self.levels, self.seed, self.hash_family, self.first_copy)
 
     def with_(self, **changes) -> SketchParams:
         return replace(self, **changes)
 
     def column_seed(self, copy: int, sampler: int, col: int) -> int:
-        return ((self.seed * 1_000_003 + copy) * 1_000_003 + sampler) * 64 + col + 1
+        return ((self.seed * 1_000_003 + self.first_copy + copy) * 1_000_003 + sampler) * 64 + col + 1
+
+    def copy(self, i: int) -> SketchParams:
+        """The parameters of copy i alone."""
+        return self.with_(copies=1, first_copy=self.first_copy + i)
 
 
 class Kernel(Protocol):
@@ -90,6 +96,18 @@ def checksum(eids: np.ndarray, params: SketchParams) -> np.ndarray:
     return mix64(eids, params.seed ^ _CHECK_SEED)
 
 
+#: Ids that a kernel works on at once: small enough to stay in the processor's cache.
+BLOCK_IDS = 1 << 14
+
+
+def _runs_xor(x: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """The xor of each run of x, from the last places of the runs."""
+    upto = np.bitwise_xor.accumulate(x)[ends]
+    out = upto.copy()
+    out[1:] ^= upto[:-1]
+    return out
+
+
 class SamplerKernel:
     """The samplers of all copies of a vertex sketch; bodies are rows of uint64 words."""
 
@@ -102,31 +120,73 @@ class SamplerKernel:
         return np.zeros((n, self.width), np.uint64)
 
     def toggle(self, body: np.ndarray, group: np.ndarray, eids: np.ndarray) -> None:
-        """Xors every id into the buckets of its row ``group``."""
-        p, flat = self.params, body.reshape(-1)
+        """Xors every id into the buckets of its row ``group``, block by block of ids in the order of their rows."""
+        if not len(eids):
+            return
+        if (group[1:] < group[:-1]).any():
+            order = np.argsort(group, kind="stable")
+            group, eids = group[order], eids[order]
+        p = self.params
         check = checksum(eids, p)
-        row = group.astype(np.int64) * self.width
+        new = np.ones(len(group), bool)
+        np.not_equal(group[1:], group[:-1], out=new[1:])
+        heads = np.flatnonzero(new)
+        most = 65535 // (p.levels + 1)  # rows of a block, so that (row, level) sorts as 16 bits
+        at = k = 0
+        while at < len(eids):
+            stop = min(at + BLOCK_IDS, int(heads[k + most]) if k + most < len(heads) else len(eids))
+            self._block(body, group[at:stop], eids[at:stop], check[at:stop])
+            at = stop
+            k = int(np.searchsorted(heads, at, side="right")) - 1
+
+    def _block(self, body: np.ndarray, group: np.ndarray, eids: np.ndarray, check: np.ndarray) -> None:
+        p, n, flat = self.params, len(eids), body.reshape(-1)
+        new = np.empty(n, bool)
+        new[0] = False
+        np.not_equal(group[1:], group[:-1], out=new[1:])
+        heads = np.flatnonzero(new)
+        rows = group[np.concatenate([[0], heads])]
+        ends = np.append(heads - 1, n - 1)
+        body.reshape(len(body), -1, p.words)[rows, :, -1] ^= _runs_xor(check, ends)[:, None]
+        row = np.cumsum(new, dtype=np.uint16) * np.uint16(p.levels)
+        cell = (rows.astype(np.int64)[:, None] * self.width + 2 * np.arange(p.levels)).reshape(-1)
+        top, spare, low = np.uint8(p.levels), np.empty(n, np.uint64), np.empty(n, np.uint64)
         for copy in range(p.copies):
             for s in range(p.samplers):
-                base = row + (copy * p.samplers + s) * p.words
-                np.bitwise_xor.at(flat, base + p.words - 1, check)
                 for c in range(p.columns):
-                    level = np.minimum(trailing_zeros(mix64(eids, p.column_seed(copy, s, c))), p.levels - 1)
-                    first = base + 2 * c * p.levels
+                    first = (copy * p.samplers + s) * p.words + 2 * c * p.levels
+                    h = mix64(eids, p.column_seed(copy, s, c), low, spare)
+                    # the bits up to the lowest that is set: a level, and one
+                    np.subtract(h, np.uint64(1), out=spare)
+                    level = np.minimum(np.bitwise_count(np.bitwise_xor(h, spare, out=spare)), top)
                     if p.variant == "one_level":
-                        at = first + 2 * level
-                        np.bitwise_xor.at(flat, at, eids)
-                        np.bitwise_xor.at(flat, at + 1, check)
-                        self.examined += len(eids)
-                        self.written += len(eids)
+                        self._once(flat, cell, first, row + level - np.uint16(1), eids, check)
                     else:
-                        for k in range(p.levels):
-                            some = level >= k
-                            self.examined += len(eids)
-                            self.written += int(some.sum())
-                            at = first[some] + 2 * k
-                            np.bitwise_xor.at(flat, at, eids[some])
-                            np.bitwise_xor.at(flat, at + 1, check[some])
+                        self._nested(flat, cell, first, row, level, eids, check)
+
+    def _once(self, flat, cell, first, key, eids, check) -> None:
+        """One bucket of each id: runs of equal (row, level) are xored and written once."""
+        order = np.argsort(key, kind="stable")
+        key = key[order]
+        ends = np.append(np.flatnonzero(key[1:] != key[:-1]), len(key) - 1)
+        at = cell[key[ends]] + first
+        flat[at] ^= _runs_xor(eids[order], ends)
+        flat[at + 1] ^= _runs_xor(check[order], ends)
+        self.examined += len(eids)
+        self.written += len(eids)
+
+    def _nested(self, flat, cell, first, row, level, eids, check) -> None:
+        """All buckets up to the level of each id, level by level."""
+        for k in range(self.params.levels):
+            some = np.flatnonzero(level > k)
+            self.examined += len(eids)
+            self.written += len(some)
+            if len(some):
+                key = row[some]
+                ends = np.append(np.flatnonzero(key[1:] != key[:-1]), len(key) - 1)
+                at = cell[key[ends] + np.uint16(k)] + first
+                flat[at] ^= _runs_xor(eids[some], ends)
+                flat[at + 1] ^= _runs_xor(check[some], ends)
 
     def sketch(self, group: np.ndarray, eids: np.ndarray, n: int) -> np.ndarray:
         body = self.zeros(n)

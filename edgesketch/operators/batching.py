@@ -101,10 +101,21 @@ def route(ends: DataFrame, params: SketchParams, policy: BatchPolicy = BatchPoli
 
 
 def merge_routed(routed: DataFrame, params: SketchParams) -> DataFrame:
-    """Layout B rows: the one shuffle by vertex, then bodies xored and raw ids applied in a sorted stream."""
+    """(vertex, body) of all samplers: the one shuffle by vertex, then bodies xored and raw ids applied in a sorted stream."""
     n = parts(routed.sparkSession)
     dealt = routed.repartition(n, "vertex").sortWithinPartitions("vertex")
-    return dealt.mapInArrow(_reducer(params), "vertex long, body binary, copy int, sampler int")
+    return dealt.mapInArrow(_reducer(params), "vertex long, body binary")
+
+
+def body_words(column, words: int) -> np.ndarray:
+    """Rows of 64-bit words of a binary column without nulls whose cells are all of that size."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    if not len(column):
+        return np.zeros((0, words), np.uint64)
+    offsets = np.frombuffer(column.buffers()[1], np.int64 if pa.types.is_large_binary(column.type) else np.int32)
+    first = int(offsets[column.offset])
+    return np.frombuffer(column.buffers()[2], np.uint8)[first : first + len(column) * words * 8].view(np.uint64).reshape(len(column), words)
 
 
 def _reducer(params: SketchParams):
@@ -112,21 +123,14 @@ def _reducer(params: SketchParams):
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kernel = SamplerKernel(params)
-        names = ["vertex", "body", "copy", "sampler"]
         tail = None  # the last vertex's body, as more of its rows may come
 
         def emit(who, body):
             keep = body.any(axis=1)
-            who, body = who[keep], body[keep]
-            view = body.reshape(len(who), params.copies, params.samplers, params.words)
-            for c in range(params.copies):
-                for s in range(params.samplers):
-                    part = view[:, c, s]
-                    some = part[:, -1] != 0
-                    some |= part.any(axis=1)
-                    k = int(some.sum())
-                    if k:
-                        yield pa.RecordBatch.from_arrays([pa.array(who[some]), _binary_rows(part[some]), pa.array(np.full(k, c, np.int32)), pa.array(np.full(k, s, np.int32))], names=names)
+            who, body = (who, body) if keep.all() else (who[keep], body[keep])
+            step = max(1, (8 << 20) // params.vertex_bytes)
+            for at in range(0, len(who), step):
+                yield pa.RecordBatch.from_arrays([pa.array(who[at : at + step]), _binary_rows(body[at : at + step])], names=["vertex", "body"])
 
         for batch in batches:
             vertex = batch.column("vertex").to_numpy()

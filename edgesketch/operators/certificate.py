@@ -6,10 +6,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import SketchParams
-from edgesketch.operators.batching import BatchPolicy, merge_routed, route
+from edgesketch.operators.batching import BatchPolicy
 from edgesketch.operators.forest import spanning_forest
 from edgesketch.operators.sketch import GraphSketch
-from edgesketch.sources.updates import endpoints
 from edgesketch.tables import materialize
 
 
@@ -30,10 +29,7 @@ def peel(graph: GraphSketch, k: int | None = None, vertices: DataFrame | None =
     for i in range(k):
         remove = None
         if made is not None:
-            # all copies are sketched by the kernel; only copy i of the few forest edges is kept
-            ends = endpoints(made.select("u", "v"))
-            rows = merge_routed(route(ends, graph.params, BatchPolicy("raw")), graph.params)
-            remove = materialize(rows.where(F.col("copy") == i).select("sampler", "vertex", "body"), "removed")
+            remove = GraphSketch.build(made.select("u", "v"), graph.params.copy(i), BatchPolicy("raw"))
         found = spanning_forest(graph, vertices=vertices, copy=i, remove=remove)
         complete &= found.complete
         forest = materialize(found.forest.select("u", "v", F.lit(i).alias("forest_no")), "forest")

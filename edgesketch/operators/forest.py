@@ -21,6 +21,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import EDGE, EMPTY, FAILED, SamplerKernel
+from edgesketch.operators.batching import body_words
 from edgesketch.operators.sketch import GraphSketch, xor_bodies
 from edgesketch.schemas import FOREST, endpoints_of
 from edgesketch.tables import materialize, star_components
@@ -73,12 +74,12 @@ def vertices_of(sketch: GraphSketch, copy: int = 0) -> DataFrame:
     return sketch.sampler(copy, 0).select("vertex")
 
 
-def spanning_forest(sketch: GraphSketch, vertices: DataFrame | None = None, seed_labels: DataFrame | None = None, sealed: DataFrame | None = None, copy: int = 0, driver_limit: int = DRIVER_LIMIT, remove: DataFrame | None = None) -> ForestResult:
+def spanning_forest(sketch: GraphSketch, vertices: DataFrame | None = None, seed_labels: DataFrame | None = None, sealed: DataFrame | None = None, copy: int = 0, driver_limit: int = DRIVER_LIMIT, remove: GraphSketch | None = None) -> ForestResult:
     """The forest of the sketched graph.
 
     ``vertices``: the vertex set, isolated ones included; else the seeds, or those of the sketch.
     ``seed_labels``: (vertex, component) pieces known to be connected. ``sealed``: components of these
-    that are known to be whole. ``remove``: bodies (sampler, vertex, body) to xor in first.
+    that are known to be whole. ``remove``: a sketch of that one copy, to xor in first.
     """
     base = seed_labels if seed_labels is not None else (vertices if vertices is not None else vertices_of(sketch, copy)).select("vertex", F.col("vertex").alias("component"))
     base = materialize(base.select(F.col("vertex").cast("long"), F.col("component").cast("long")).distinct(), "labels")
@@ -88,19 +89,18 @@ def spanning_forest(sketch: GraphSketch, vertices: DataFrame | None = None, seed
     return _distributed(sketch, base, sealed, copy, remove)
 
 
-def _bodies(sketch: GraphSketch, copy: int, r: int, remove: DataFrame | None) -> DataFrame:
+def _bodies(sketch: GraphSketch, copy: int, r: int, remove: GraphSketch | None) -> DataFrame:
     rows = sketch.sampler(copy, r)
-    return rows if remove is None else rows.unionByName(remove.where(F.col("sampler") == r).select("vertex", "body"))
+    return rows if remove is None else rows.unionByName(remove.sampler(0, r))
 
 
 def _decoder(params):
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kernel = SamplerKernel(params)
         for batch in batches:
-            cells = batch.column("body").to_pylist()
-            if not cells:
+            if not batch.num_rows:
                 continue
-            body = np.frombuffer(b"".join(cells), np.uint64).reshape(len(cells), -1)
+            body = body_words(batch.column("body"), params.words)
             status, eid = kernel.decode(body)
             yield pa.RecordBatch.from_arrays([batch.column("component"), pa.array(status.astype(np.int32)), pa.array(eid.view(np.int64)), pa.array(body[:, -1].view(np.int64))], names=["component", "status", "eid", "whole"])
 
@@ -110,7 +110,7 @@ def _decoder(params):
 DECODED = "component long, status int, eid long, whole long"
 
 
-def _on_driver(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, copy: int, remove: DataFrame | None) -> ForestResult:
+def _on_driver(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, copy: int, remove: GraphSketch | None) -> ForestResult:
     spark, params = sketch.spark, sketch.params
     given = base.toArrow().sort_by("vertex")  # bounded by driver_limit
     vertex, named = given["vertex"].to_numpy(), given["component"].to_numpy()
@@ -189,7 +189,7 @@ def _decode_round(bodies: DataFrame, told, params) -> DataFrame:
     return xor_bodies(named, ["component"]).mapInArrow(_decoder(params), DECODED)
 
 
-def _distributed(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, copy: int, remove: DataFrame | None) -> ForestResult:
+def _distributed(sketch: GraphSketch, base: DataFrame, sealed: DataFrame | None, copy: int, remove: GraphSketch | None) -> ForestResult:
     """The same rounds with labels as a table; nothing that grows with the vertices comes to the driver."""
     params = sketch.params
     labels = base

@@ -8,7 +8,6 @@ from pyspark.sql import functions as F
 UPDATES = "seq long, u long, v long, delta tinyint, ts timestamp"
 EDGES = "u long, v long"
 BUCKETS = "copy int, vertex long, sampler int, col int, level int, xe long, xc long"
-SKETCH = "vertex long, body binary, copy int, sampler int"
 LABELS = "vertex long, component long"
 FOREST = "u long, v long, round int"
 PAIRS = "pair_id long, u long, v long"

@@ -10,8 +10,7 @@ from pyspark.sql import functions as F
 from edgesketch.functions.sampler import SketchParams
 from edgesketch.operators.batching import BatchPolicy, merge_routed, route
 from edgesketch.operators.cache import ForestCache
-from edgesketch.operators.sketch import GraphSketch, xor_bodies
-from edgesketch.schemas import SKETCH
+from edgesketch.operators.sketch import GraphSketch, read_bodies, write_bodies, xor_bodies
 from edgesketch.sources.updates import endpoints, live_edges
 
 
@@ -28,18 +27,17 @@ def ingest(stream: DataFrame, path: str, params: SketchParams, checkpoint: str,
 
     def sink(batch: DataFrame, batch_id: int) -> None:
         rows = merge_routed(route(endpoints(batch), params, policy), params)
-        rows.write.mode("overwrite").partitionBy("copy", "sampler").parquet(batch_path(path, batch_id))
+        write_bodies(rows, params, batch_path(path, batch_id), "overwrite")
 
     return stream.writeStream.foreachBatch(sink).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
 
 
 def sketched(spark: SparkSession, path: str, params: SketchParams, out: str, upto: int | None = None) -> GraphSketch:
     """The sketch of all batches so far, or of those up to a batch id."""
-    rows = spark.read.schema(SKETCH + ", batch long").parquet(path)
+    rows = read_bodies(spark, params, path, ", batch long")
     if upto is not None:
         rows = rows.where(F.col("batch") <= upto)
-    merged = xor_bodies(rows.select("copy", "sampler", "vertex", "body"), ["copy", "sampler", "vertex"])
-    return GraphSketch._write(spark, merged.select("vertex", "body", "copy", "sampler"), params, out, upto or 0)
+    return GraphSketch._write(spark, xor_bodies(rows.select("vertex", "body"), ["vertex"]), params, out, upto or 0)
 
 
 def gather(stream: DataFrame, params: SketchParams, groups: int = 64, alpha: float = 1.0, idle: str | None = None) -> DataFrame:
