@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import SketchParams
-from edgesketch.operators.batching import BatchPolicy, _binary_rows, body_words, merge_routed, route
+from edgesketch.operators.batching import BatchPolicy, _binary_rows, body_words, sketched_rows
 from edgesketch.sources.updates import endpoints
 from edgesketch.tables import parts, scratch_path
 
@@ -57,7 +57,7 @@ class GraphSketch:
     def build(cls, updates: DataFrame, params: SketchParams, policy: BatchPolicy = BatchPolicy(), path: str | None = None, epoch: int = 0) -> GraphSketch:
         """Sketches a stream in one pass with one shuffle."""
         spark = updates.sparkSession
-        rows = merge_routed(route(endpoints(updates), params, policy), params)
+        rows = sketched_rows(endpoints(updates), params, policy)
         return cls._write(spark, rows, params, path or scratch_path(spark, "sketch"), epoch)
 
     @classmethod

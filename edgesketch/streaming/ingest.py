@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import SketchParams
-from edgesketch.operators.batching import BatchPolicy, merge_routed, route
+from edgesketch.operators.batching import BatchPolicy, sketched_rows
 from edgesketch.operators.cache import ForestCache
 from edgesketch.operators.sketch import GraphSketch, read_bodies, write_bodies, xor_bodies
 from edgesketch.sources.updates import endpoints, live_edges
@@ -26,7 +26,7 @@ def ingest(stream: DataFrame, path: str, params: SketchParams, checkpoint: str,
     """
 
     def sink(batch: DataFrame, batch_id: int) -> None:
-        rows = merge_routed(route(endpoints(batch), params, policy), params)
+        rows = sketched_rows(endpoints(batch), params, policy)
         write_bodies(rows, params, batch_path(path, batch_id), "overwrite")
 
     return stream.writeStream.foreachBatch(sink).option("checkpointLocation", checkpoint).trigger(**(trigger or {"availableNow": True})).start()
