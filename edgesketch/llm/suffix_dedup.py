@@ -3,7 +3,7 @@
 A byte goes when some string of ``length`` bytes over it also starts anywhere else, in another
 document or the same; matches never cross documents, and all is judged on the input.
 
-1. Equal texts are one, told by SHA-256. A text that occurs twice goes whole if it is long enough.
+1. Equal texts are one, told by 128 bits of their SHA-256. A text that occurs twice goes whole if it is long enough.
 2. Of the suffixes of a text only those at *anchors* are kept: every window of ``length`` bytes
    appoints the start of its least-hashed ``gram`` (the first of ties), so equal windows appoint equal
    places and no repeat is lost. Anchors whose gram occurs nowhere else are dropped by a count.
@@ -93,11 +93,16 @@ def anchors_of_long(data: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarr
     return at, keys[first]
 
 
+def _tid(text):
+    """128 bits of the SHA-256 of a text, which name it."""
+    return F.unhex(F.substring(F.sha2(text, 256), 1, 32))
+
+
 def _texts(docs: DataFrame) -> DataFrame:
-    """doc_id, text, sha and did: 60 bits of it, which name equal texts."""
+    """doc_id, text, tid, and did: 60 bits for anchors only, where a text of equal bits adds places to look at and no verdict."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
-    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).withColumn("sha", F.sha2("text", 256))
-    return df.withColumn("did", F.conv(F.substring("sha", 1, 15), 16, 10).cast("long"))
+    df = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text")).withColumn("tid", _tid("text"))
+    return df.withColumn("did", F.conv(F.substring(F.hex("tid"), 1, 15), 16, 10).cast("long"))
 
 
 def anchor_rows(texts: DataFrame, length: int) -> DataFrame:
@@ -237,10 +242,6 @@ def reaches(lefts: list[bytes], rights: list[bytes], length: int) -> list[tuple[
     ``lefts`` are reversed: what stands before an anchor, from it on to the left.
     """
     m, most = len(rights), length - gram_of(length)
-    if m == 2:
-        r = min(common_prefix(rights[0], rights[1]), length)
-        left = min(common_prefix(lefts[0], lefts[1]), most)
-        return [(left, r)] * 2 if left + r >= length else [None, None]
     right, ro, rl = _sorted_distinct(rights)
     before, lo, ll = _sorted_distinct(lefts)
     if m <= 64:
@@ -268,7 +269,7 @@ def reaches(lefts: list[bytes], rights: list[bytes], length: int) -> list[tuple[
 
 
 def _sort_task(length: int):
-    """Over surroundings sorted by key: (key, cx, left, right) of those with windows that occur again."""
+    """Over surroundings sorted by key: (key, cx, cy, left, right) of those with windows that occur again."""
 
     shallow = min(SHALLOW, gram_of(length)) // 8 * 8  # not deeper than what a group surely shares
 
@@ -277,20 +278,20 @@ def _sort_task(length: int):
 
         def told(block: list[tuple]):
             # surroundings that occur twice are windows that occur again, all over
-            out = [(key, cx, len(left), len(right)) for key, cx, n, left, right in block if n > 1]
-            suffixes = [b[4] for b in block]
+            out = [(key, cx, cy, len(left), len(right)) for key, cx, cy, n, left, right in block if n > 1]
+            suffixes = [b[5] for b in block]
             for group in shallow_groups(suffixes, shallow):
                 if len(group) < 2:
                     continue
-                for i, reach in zip(group, reaches([block[i][3][::-1] for i in group], [suffixes[i] for i in group], length)):
-                    if reach is not None and block[i][2] == 1:
-                        out.append((block[i][0], block[i][1], *reach))
+                for i, reach in zip(group, reaches([block[i][4][::-1] for i in group], [suffixes[i] for i in group], length)):
+                    if reach is not None and block[i][3] == 1:
+                        out.append((*block[i][:3], *reach))
             if out:
-                return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int32(), pa.int32()))], names=["key", "cx", "l", "r"])
+                return pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32()))], names=["key", "cx", "cy", "l", "r"])
             return None
 
         for batch in rows:
-            held += zip(*(batch.column(k).to_pylist() for k in ("key", "cx", "n", "before", "after")))
+            held += zip(*(batch.column(k).to_pylist() for k in ("key", "cx", "cy", "n", "before", "after")))
             if len(held) > 20_000:
                 last = held[-1][0]
                 cut = next((i for i in range(len(held) - 1, -1, -1) if held[i][0] != last), -1) + 1
@@ -309,19 +310,73 @@ def _by_digest(rows: DataFrame, length: int) -> DataFrame:
     most = length - gram_of(length)
     left = F.explode(F.sequence(F.greatest(F.lit(0), F.lit(length) - F.octet_length("after")), F.least(F.octet_length("before"), F.lit(most))))
     fits = F.octet_length("before") + F.octet_length("after") >= length
-    one = rows.where(fits).select("key", "cx", "n", "before", "after", left.alias("left"))
+    one = rows.where(fits).select("key", "cx", "cy", "n", "before", "after", left.alias("left"))
     whole = F.concat("before", "after")
     window = F.substr(whole, F.octet_length("before") - F.col("left") + 1, F.lit(length))
-    one = one.select("key", "cx", "n", "left", F.md5(window).alias("w"))
+    one = one.select("key", "cx", "cy", "n", "left", F.md5(window).alias("w"))
     again = one.groupBy("key", "left", "w").agg(F.sum("n").alias("m")).where("m > 1").drop("m")
-    met = one.join(again, ["key", "left", "w"]).groupBy("key", "cx").agg(F.max("left").cast("int").alias("l"), (F.lit(length) - F.min("left")).cast("int").alias("r"))
-    return met.select("key", "cx", "l", "r")
+    met = one.join(again, ["key", "left", "w"]).groupBy("key", "cx", "cy").agg(F.max("left").cast("int").alias("l"), (F.lit(length) - F.min("left")).cast("int").alias("r"))
+    return met.select("key", "cx", "cy", "l", "r")
+
+
+HITS = "tid binary, text string, at array<int>, key array<long>, cx array<long>, cy array<long>"
+
+
+def _named_hits(length: int):
+    """Texts with their anchors in order, and of each two hashes that name what surrounds it."""
+    before = length - gram_of(length)
+
+    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in text_slices(whole, "text", 1 << 20):
+                data, offsets = K.raw(batch.column("text"))
+                own = batch.column("places")
+                own = own.combine_chunks() if isinstance(own, pa.ChunkedArray) else own
+                n = np.diff(own.offsets.to_numpy())
+                at, key = (own.flatten().field(k).to_numpy().astype(np.int64) for k in ("at", "key"))
+                text = np.repeat(np.arange(len(n)), n)
+                size = np.diff(offsets)[text]
+                good = at < size  # a place of another text whose 60 bits are equal may lie outside
+                text, at, key, size = text[good], at[good], key[good], size[good]
+                a, b = offsets[text] + np.maximum(0, at - before), offsets[text] + np.minimum(size, at + length)
+                side = np.minimum(at, before).astype(np.uint64)
+                names = [K.mix(K.span_hash(K.prefix_sums(data, codes), a, b) + side).view(np.int64) for codes in (K.BYTE_CODE, K.SECOND_CODE)]
+                edge = np.searchsorted(text, np.arange(len(n) + 1)).astype(np.int32)
+                lists = [pa.ListArray.from_arrays(pa.array(edge), pa.array(x)) for x in (at.astype(np.int32), key, *names)]
+                yield pa.RecordBatch.from_arrays([batch.column("tid"), batch.column("text"), *lists], names=["tid", "text", "at", "key", "cx", "cy"])
+
+    return look
+
+
+def _surroundings(length: int):
+    """(key, cx, cy, before, after) of every anchor: slices of the texts, cut by their offsets."""
+    before = length - gram_of(length)
+
+    def cells(data: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.Array:
+        n = b - a
+        ends = np.cumsum(n)
+        index = np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(a - (ends - n), n)
+        return pa.BinaryArray.from_buffers(pa.binary(), len(a), [None, pa.py_buffer(np.append(0, ends).astype(np.int32)), pa.py_buffer(data[index])])
+
+    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for batch in text_slices(whole, "text", 1 << 20):
+                data, offsets = K.raw(batch.column("text"))
+                n = np.diff(batch.column("at").offsets.to_numpy())
+                at, key, cx, cy = (batch.column(k).flatten().to_numpy() for k in ("at", "key", "cx", "cy"))
+                text = np.repeat(np.arange(len(n)), n)
+                p = offsets[text] + at
+                a, b = np.maximum(offsets[text], p - before), np.minimum(offsets[text + 1], p + length)
+                for i in range(0, len(p), 10_000):
+                    some = slice(i, i + 10_000)
+                    yield pa.RecordBatch.from_arrays([pa.array(key[some]), pa.array(cx[some]), pa.array(cy[some]), cells(data, a[some], p[some]), cells(data, p[some], b[some])], names=["key", "cx", "cy", "before", "after"])
+
+    return look
 
 
 def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tuple[DataFrame, DataFrame]:
-    """(texts that have repeated grams, (did, spans) of those with something to remove)."""
+    """(texts that have repeated grams, (tid, spans) of those with something to remove)."""
     spark = docs_texts.sparkSession
-    gram = gram_of(length)
     named = docs_texts.where(F.octet_length("text") >= length)
     anchors = materialize(anchor_rows(named, length).distinct(), "anchors")  # equal texts bring equal rows
     again = materialize(anchors.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "grams")
@@ -330,25 +385,10 @@ def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tup
     cold = anchors.join(hot, "key", "left_anti").join(again.select("key"), "key")
     places = anchors.join(hot, "key").union(cold).groupBy("did").agg(F.collect_list(F.struct("at", "key")).alias("places"))
     # one row for each text: equal texts meet as one after the filter by places
-    met = named.select("did", "text").join(places, "did").groupBy("did").agg(F.first("text").alias("text"), F.first("places").alias("places"))
-    hits = materialize(met, "hits")
-
-    def surround(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for batch in text_slices(whole, "text", 1 << 20):
-                out = []
-                for did, text, own in zip(*(batch.column(k).to_pylist() for k in ("did", "text", "places"))):
-                    body = text.encode()
-                    for p in own:
-                        before, after = body[max(0, p["at"] - (length - gram)) : p["at"]], body[p["at"] : p["at"] + length]
-                        cx = int.from_bytes(hashlib.blake2b(len(before).to_bytes(4, "little") + before + after, digest_size=8).digest(), "little", signed=True)
-                        out.append((p["key"], cx, did, p["at"], before, after))
-                if out:
-                    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.binary(), pa.binary())
-                    yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["key", "cx", "did", "at", "before", "after"])
-
-    around = hits.mapInArrow(surround, "key long, cx long, did long, at int, before binary, after binary")
-    distinct = materialize(around.groupBy("key", "cx").agg(F.count(F.lit(1)).alias("n"), F.first("before").alias("before"), F.first("after").alias("after")), "surroundings")
+    met = named.select("tid", "did", "text").join(places, "did").groupBy("tid").agg(F.first("text").alias("text"), F.first("places").alias("places"))
+    hits = materialize(met.mapInArrow(_named_hits(length), HITS), "hits")
+    around = hits.select("text", "at", "key", "cx", "cy").mapInArrow(_surroundings(length), "key long, cx long, cy long, before binary, after binary")
+    distinct = materialize(around.groupBy("key", "cx", "cy").agg(F.count(F.lit(1)).alias("n"), F.first("before").alias("before"), F.first("after").alias("after")), "surroundings")
     large = distinct.groupBy("key").agg(F.count(F.lit(1)).alias("k")).where(F.col("k") > most_surroundings).select("key")
     large = materialize(large, "large-grams")
     if large.isEmpty():
@@ -357,34 +397,14 @@ def _spans_of(docs_texts: DataFrame, length: int, most_surroundings: int) -> tup
         small = distinct.join(large, "key", "left_anti")
         verdicts = _by_digest(distinct.join(large, "key", "left_semi"), length)
     dealt = small.repartition(partitions_for(spark), "key").sortWithinPartitions("key")
-    sorted_ones = dealt.mapInArrow(_sort_task(length), "key long, cx long, l int, r int")
+    sorted_ones = dealt.mapInArrow(_sort_task(length), "key long, cx long, cy long, l int, r int")
     verdicts = sorted_ones if verdicts is None else sorted_ones.union(verdicts)
-    found = hits.mapInArrow(_places_only(length), "key long, cx long, did long, at int").join(verdicts, ["key", "cx"])
-    spans = found.groupBy("did").agg(F.collect_list(F.struct((F.col("at") - F.col("l")).alias("a"), (F.col("at") + F.col("r")).alias("b"))).alias("spans"))
+    places = hits.select("tid", F.explode(F.arrays_zip("at", "key", "cx", "cy")).alias("x")).select("tid", "x.*")
+    found = places.join(verdicts, ["key", "cx", "cy"])
+    spans = found.groupBy("tid").agg(F.collect_list(F.struct((F.col("at") - F.col("l")).alias("a"), (F.col("at") + F.col("r")).alias("b"))).alias("spans"))
     return hits, spans
 
 
-def _places_only(length: int):
-    """The (key, cx, did, at) of hits, without the bytes around them."""
-    gram = gram_of(length)
-
-    def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for batch in text_slices(whole, "text", 1 << 20):
-                out = []
-                for did, text, own in zip(*(batch.column(k).to_pylist() for k in ("did", "text", "places"))):
-                    body = text.encode()
-                    for p in own:
-                        before, after = body[max(0, p["at"] - (length - gram)) : p["at"]], body[p["at"] : p["at"] + length]
-                        cx = int.from_bytes(hashlib.blake2b(len(before).to_bytes(4, "little") + before + after, digest_size=8).digest(), "little", signed=True)
-                        out.append((p["key"], cx, did, p["at"]))
-                if out:
-                    kinds = (pa.int64(), pa.int64(), pa.int64(), pa.int32())
-                    yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["key", "cx", "did", "at"])
-
-    return look
-
-
 def merged(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
     """Maximal runs of overlapping or touching spans."""
     out: list[list[int]] = []
@@ -404,7 +424,7 @@ def cut(body: bytes, runs: list[tuple[int, int]]) -> bytes:
     return b"".join([*out, body[at:]])
 
 
-CUTS = "did long, n_removed long, n_spans long, kept_sha256 string, kept_text string, runs array<struct<a:int,b:int>>"
+CUTS = "tid binary, n_removed long, n_spans long, kept_sha256 string, kept_text string, runs array<struct<a:int,b:int>>"
 
 
 def cuts(texts: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_SURROUNDINGS, with_text: bool = False) -> DataFrame:
@@ -417,36 +437,40 @@ def cuts(texts: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             out = []
-            for did, text, own in zip(*(batch.column(k).to_pylist() for k in ("did", "text", "spans"))):
+            for tid, text, own in zip(*(batch.column(k).to_pylist() for k in ("tid", "text", "spans"))):
                 body, runs = text.encode(), merged([(s["a"], s["b"]) for s in own])
                 left = cut(body, runs)
-                out.append((did, len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest(), left.decode(errors="ignore") if with_text else None, [{"a": a, "b": b} for a, b in runs]))
+                out.append((tid, len(body) - len(left), len(runs), hashlib.sha256(left).hexdigest(), left.decode(errors="ignore") if with_text else None, [{"a": a, "b": b} for a, b in runs]))
             if out:
-                kinds = (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())])))
-                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["did", "n_removed", "n_spans", "kept_sha256", "kept_text", "runs"])
+                kinds = (pa.binary(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.list_(pa.struct([("a", pa.int32()), ("b", pa.int32())])))
+                yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["tid", "n_removed", "n_spans", "kept_sha256", "kept_text", "runs"])
 
     with scratch_scope(spark):
         hits, spans = _spans_of(texts, length, most_surroundings)
-        return materialize(hits.select("did", "text").join(spans, "did").mapInArrow(look, CUTS), "cuts", outer=True)
+        return materialize(hits.select("tid", "text").join(spans, "tid").mapInArrow(look, CUTS), "cuts", outer=True)
 
 
 _EMPTY = hashlib.sha256(b"").hexdigest()
 
 
 def spans(docs: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_SURROUNDINGS) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of every document, and its removed runs."""
+    """doc_id, n_bytes, n_removed, n_spans and kept_sha256 of every document, its removed runs, and the text that is left.
+
+    A character of which bytes go is not in the text; the digest is of all bytes that are left.
+    """
     texts = _texts(docs)
-    own = materialize(texts.select("doc_id", "did", "sha", F.octet_length("text").cast("long").alias("n_bytes")), "texts")
-    twice = own.groupBy("did").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")
-    found = own.join(twice, "did", "left").join(cuts(texts, length, most_surroundings).drop("kept_text"), "did", "left")
+    twice = texts.groupBy("tid").agg(F.count(F.lit(1)).alias("copies")).where("copies > 1")
+    found = texts.drop("did").join(twice, "tid", "left").join(cuts(texts, length, most_surroundings, with_text=True), "tid", "left")
+    found = found.withColumn("n_bytes", F.octet_length("text").cast("long"))
     gone = (F.col("copies") > 1) & (F.col("n_bytes") >= length)
     all_of_it = F.array(F.struct(F.lit(0).alias("a"), F.col("n_bytes").cast("int").alias("b")))
     return found.select(
         "doc_id", "n_bytes",
         F.when(gone, F.col("n_bytes")).otherwise(F.coalesce("n_removed", F.lit(0).cast("long"))).alias("n_removed"),
         F.when(gone, F.lit(1).cast("long")).otherwise(F.coalesce("n_spans", F.lit(0).cast("long"))).alias("n_spans"),
-        F.when(gone, F.lit(_EMPTY)).otherwise(F.coalesce("kept_sha256", "sha")).alias("kept_sha256"),
+        F.when(gone, F.lit(_EMPTY)).otherwise(F.coalesce("kept_sha256", F.sha2("text", 256))).alias("kept_sha256"),
         F.when(gone, all_of_it).otherwise(F.col("runs")).alias("runs"),
+        F.when(gone, F.lit("")).otherwise(F.coalesce("kept_text", "text")).alias("text"),
     )
 
 
@@ -456,11 +480,11 @@ def apply(docs: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
     A document that had a text and loses all of it is dropped.
     """
     texts = _texts(docs)
-    own = docs.withColumn("__es_did", F.conv(F.substring(F.sha2(F.coalesce(F.col("text").cast("string"), F.lit("")), 256), 1, 15), 16, 10).cast("long"))
-    twice = texts.groupBy(F.col("did").alias("__es_twice")).agg(F.count(F.lit(1)).alias("__es_copies")).where("__es_copies > 1")
-    found = own.join(twice, F.col("__es_did") == F.col("__es_twice"), "left")
-    cuts_ = cuts(texts, length, most_surroundings, with_text=True).select(F.col("did").alias("__es_d"), F.col("kept_text").alias("__es_kept"))
-    found = found.join(cuts_, F.col("__es_did") == F.col("__es_d"), "left")
+    own = docs.withColumn("__es_tid", _tid(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    twice = texts.groupBy(F.col("tid").alias("__es_twice")).agg(F.count(F.lit(1)).alias("__es_copies")).where("__es_copies > 1")
+    found = own.join(twice, F.col("__es_tid") == F.col("__es_twice"), "left")
+    cuts_ = cuts(texts, length, most_surroundings, with_text=True).select(F.col("tid").alias("__es_t"), F.col("kept_text").alias("__es_kept"))
+    found = found.join(cuts_, F.col("__es_tid") == F.col("__es_t"), "left")
     gone = (F.col("__es_copies") > 1) & (F.octet_length("text") >= length)
     text = F.when(gone, F.lit("")).otherwise(F.coalesce("__es_kept", "text"))
     changed = gone | F.col("__es_kept").isNotNull()
@@ -471,4 +495,4 @@ def apply(docs: DataFrame, length: int = LENGTH, most_surroundings: int = MOST_S
 
 
 def query(spark, sf_dir: str) -> DataFrame:
-    return spans(table(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    return spans(table(spark, sf_dir, "documents")).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "text")

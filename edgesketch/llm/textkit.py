@@ -10,8 +10,9 @@ import numpy as np
 import pyarrow as pa
 
 _RNG = np.random.default_rng(20240229)
-#: One random 64-bit number for each byte value, with A-Z equal to a-z in the folded table.
+#: One random 64-bit number for each byte value, and another where two independent hashes are taken.
 BYTE_CODE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
+SECOND_CODE = _RNG.integers(1, 2**63, 256, dtype=np.uint64) | np.uint64(1)
 FOLDED = np.arange(256, dtype=np.uint8)
 FOLDED[65:91] += 32
 _BASE = np.uint64(0x9E3779B97F4A7C15)
