@@ -1,7 +1,7 @@
 """N-gram Jaccard join in metric space: pivots, Voronoi regions, triangle-inequality windows.
 
 A document's set are the hashes of its distinct word shingles; equal sets are one class, told by a
-128-bit hash, and only classes are joined. The Jaccard distance d is a metric, so with a radius r:
+127-bit hash, and only classes are joined. The Jaccard distance d is a metric, so with a radius r:
 
 1. *Singleton pivots.* Each shingle is a pivot with the set of it alone; a class ranks them by
    nearness, ties by how rare they are, and is put to its first ``n - ceil(t n) + 1``. Two classes
@@ -12,8 +12,9 @@ A document's set are the hashes of its distinct word shingles; equal sets are on
    over the bins g never exceeds |A xor B|. In the region of a frequent shingle no pairs are made;
    its classes are tied to one centre.
 3. What is tied together by 2 is a region. Its sets are fetched once, and the region is joined
-   exactly and recursively: some members become pivots, a class goes to its nearest pivot's Voronoi
-   cell, and to that of any other pivot q with (d(x, q) - d(x, p)) / 2 <= r, cells are joined alike.
+   exactly and recursively, whatever its size: some members become pivots and are joined with all, any
+   other class goes to its nearest pivot's Voronoi cell, and to that of any other pivot q with
+   (d(x, q) - d(x, p)) / 2 <= r, and cells are joined alike.
    A region too large for a task is split the same way between tasks first; what a turn does not
    shrink is joined in pairs of blocks at once, without a copy for each cell.
 
@@ -55,7 +56,8 @@ RANKED = 6
 RANKING_ENTRIES = 1 << 20
 #: Classes and shingles of a region that one task joins.
 REGION_CLASSES, REGION_SHINGLES = 20_000, 6_000_000
-PIVOTS, LEAF = 8, 200
+#: Most pivots of a region.
+PIVOTS = 8
 #: Bytes of sets that come to the driver as pivots of large regions.
 PIVOT_BYTES = 64 << 20
 
@@ -78,9 +80,29 @@ def shingle_sets(column, width: int) -> list[np.ndarray]:
     return out
 
 
-def class_id(own: np.ndarray) -> int:
-    """A class's id: 63 bits of a cryptographic hash of its set, so ids don't depend on doc_ids."""
-    return int.from_bytes(hashlib.blake2b(own.tobytes(), digest_size=8).digest(), "little") >> 1
+def class_id(own: np.ndarray) -> tuple[int, int]:
+    """A class's id: 63 and 64 bits of a cryptographic hash of its set, so ids don't depend on doc_ids."""
+    told = hashlib.blake2b(own.tobytes(), digest_size=16).digest()
+    return int.from_bytes(told[:8], "little") >> 1, int.from_bytes(told[8:], "little", signed=True)
+
+
+#: Most ids of 63 bits that two classes may share; 10**10 documents expect about five.
+MOST_SHARED = 100_000
+
+
+def told_apart(wide: DataFrame) -> tuple[DataFrame, dict[tuple[int, int], int]]:
+    """Classes that share their first 63 bits get an id of all 127; (documents, the ids of those classes)."""
+    by = wide.where("n > 0").groupBy("cid").agg(F.min("cid2").alias("lo"), F.max("cid2").alias("hi"))
+    shared = [r.cid for r in by.where("lo <> hi").select("cid").limit(MOST_SHARED + 1).toLocalIterator()]
+    if len(shared) > MOST_SHARED:
+        raise RuntimeError("too many classes share an id")
+    if not shared:
+        return wide, {}
+    joint = F.xxhash64("cid", "cid2").bitwiseAND(F.lit((1 << 63) - 1))
+    parted = F.broadcast(wide.sparkSession.createDataFrame(pa.table({"cid": shared})).withColumn("parted", F.lit(True)))
+    marked = wide.join(parted, "cid", "left").withColumn("joint", F.when(F.col("parted"), joint).otherwise(F.col("cid")))
+    names = {(r.cid, r.cid2): r.joint for r in marked.where("parted and n > 0").select("cid", "cid2", "joint").distinct().toLocalIterator()}
+    return materialize(marked.withColumn("cid", F.col("joint")).select(*wide.columns), "told-apart"), names
 
 
 def prefix_length(n: int, percent: int) -> int:
@@ -130,7 +152,7 @@ def ranking(docs: DataFrame, width: int, seen: int = RANKED, entries: int = RANK
     return h[order], n[order]
 
 
-WIDE = "doc_id long, row long, n long, cid long, prefix binary, bins binary"
+WIDE = "doc_id long, row long, n long, cid long, cid2 long, prefix binary, bins binary"
 
 
 def prefixes(docs: DataFrame, width: int, percent: int, ranked) -> DataFrame:
@@ -154,9 +176,10 @@ def prefixes(docs: DataFrame, width: int, percent: int, ranked) -> DataFrame:
                     b = bins_for(n)
                     top = (own >> np.uint64(65 - b.bit_length())).astype(np.int64)
                     bins.append(np.minimum(np.bincount(top, minlength=b), 65535).astype("<u2").tobytes())
+                ids = np.array([class_id(s) for s in sets], np.int64).reshape(-1, 2)
                 yield pa.RecordBatch.from_arrays(
-                    [batch.column("doc_id"), batch.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array([class_id(s) for s in sets], pa.int64()), pa.array(prefix, pa.binary()), pa.array(bins, pa.binary())],
-                    names=["doc_id", "row", "n", "cid", "prefix", "bins"],
+                    [batch.column("doc_id"), batch.column("row"), pa.array([len(s) for s in sets], pa.int64()), pa.array(ids[:, 0]), pa.array(ids[:, 1]), pa.array(prefix, pa.binary()), pa.array(bins, pa.binary())],
+                    names=["doc_id", "row", "n", "cid", "cid2", "prefix", "bins"],
                 )
 
     return _docs(docs).mapInArrow(look, WIDE)
@@ -288,6 +311,8 @@ class Region:
         self.mark = np.zeros(self.top, bool)
         self.comp = np.arange(len(sets))
         self.links: list[tuple[int, int]] = []
+        #: Pivots taken, Voronoi cells joined, members that windows put into further cells, and members joined without pivots.
+        self.pivots = self.cells = self.windowed = self.flat_members = 0
 
     def own(self, k: int) -> np.ndarray:
         return self.flat[self.at[k] : self.at[k + 1]]
@@ -312,24 +337,35 @@ class Region:
                 self.comp[self.comp == self.comp[o]] = self.comp[k]
         return 1 - both / either
 
-    def solve(self, members: np.ndarray, depth: int = 0, across: np.ndarray | None = None) -> None:
+    def solve(self, members: np.ndarray, depth: int = 0) -> None:
+        """Some members become pivots; they are joined with all, and the rest cell by cell."""
         if len(members) < 2 or (self.comp[members] == self.comp[members[0]]).all():
             return
-        if len(members) <= LEAF or depth > 12:
+        if len(members) == 2:
+            self.join(int(members[0]), members[1:])
+            return
+        if depth > 12:
             return self.leaf(members)
-        pivots = members[np.unique(np.linspace(0, len(members) - 1, PIVOTS).astype(np.int64))]
-        d = np.stack([self.join(int(p), members) for p in pivots])
+        count = min(PIVOTS, max(2, int(len(members) ** 0.5)))
+        spots = np.unique(np.linspace(0, len(members) - 1, count).astype(np.int64))
+        d = np.stack([self.join(int(p), members) for p in members[spots]])
         home = d.argmin(axis=0)
         nearest = d[home, np.arange(len(members))]
-        cells = [members[(home == k) | ((d[k] - nearest) / 2 <= self.radius)] for k in range(len(pivots))]
-        cells = [c for k, c in enumerate(cells) if (home == k).any()]
-        if sum(map(len, cells)) > 2 * len(members) or max(map(len, cells)) > 0.9 * len(members):
-            return self.leaf(members)  # the pivots do not part these members
+        rest = np.ones(len(members), bool)
+        rest[spots] = False  # the pivots' links are known
+        inside = [((home == k) | ((d[k] - nearest) / 2 <= self.radius)) & rest for k in range(len(spots))]
+        cells = [members[i] for k, i in enumerate(inside) if (home[rest] == k).any()]
+        self.pivots += len(spots)
+        if len(members) > 24 and cells and (sum(map(len, cells)) > 2 * len(members) or max(map(len, cells)) > 0.9 * len(members)):
+            return self.leaf(members[rest])  # the pivots do not part these members
+        self.cells += len(cells)
+        self.windowed += sum(map(len, cells)) - int(rest.sum())
         for cell in cells:
             self.solve(cell, depth + 1)
 
     def leaf(self, members: np.ndarray) -> None:
         """By rising size, against earlier members that share one of the first shingles, rarest here first."""
+        self.flat_members += len(members)
         members = members[np.argsort(self.n[members], kind="stable")]
         often = np.bincount(np.concatenate([self.own(int(k)) for k in members]), minlength=self.top)
         lists: dict[int, list[int]] = {}
@@ -349,7 +385,7 @@ class Region:
 SETS = "region long, cid long, body binary"
 
 
-def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: int) -> DataFrame:
+def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: int, shared: dict[tuple[int, int], int] | None = None) -> DataFrame:
     """The set of each class of a region, made anew from the text of one of its rows."""
     one = wide.join(regions, "cid").groupBy("cid", "region").agg(_least("row", "doc_id").alias("row"))
     met = _docs(docs).join(one, "row").select("region", "cid", "text")
@@ -359,7 +395,8 @@ def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: in
         for whole in batches:
             for batch in text_slices(whole, "text"):
                 sets = shingle_sets(batch.column("text"), width)
-                same = pa.array([c not in seen and class_id(s) == c and not seen.add(c) for s, c in zip(sets, batch.column("cid").to_pylist())], pa.bool_())
+                ids = [(shared or {}).get(i, i[0]) for i in map(class_id, sets)]
+                same = pa.array([c not in seen and i == c and not seen.add(c) for i, c in zip(ids, batch.column("cid").to_pylist())], pa.bool_())
                 yield pa.RecordBatch.from_arrays([batch.column("region"), batch.column("cid"), pa.array([s.tobytes() for s in sets], pa.binary())], names=["region", "cid", "body"]).filter(same)
 
     return met.mapInArrow(look, SETS)
@@ -477,12 +514,12 @@ def _grouped(docs: DataFrame, width: int, percent: int, frequent: int = FREQUENT
     """doc_id, row and set size of every row, and of its component the least doc_id and the row that has it."""
     spark = docs.sparkSession
     hot = ranking(docs, width)
-    wide = materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets")
+    wide, shared = told_apart(materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets"))
     with scratch_scope(spark):
         regions = connected(candidate_links(wide, percent, frequent, hot)).toDF("cid", "region")
         regions = materialize(regions, "region-names", outer=True)
     with scratch_scope(spark):
-        sets = materialize(_region_sets(docs, wide.select("doc_id", "row", "cid"), regions, width), "regions")
+        sets = materialize(_region_sets(docs, wide.select("doc_id", "row", "cid"), regions, width, shared), "regions")
         sets, found = _part_large(sets, percent, most_classes, most_shingles)
         dealt = sets.repartition(partitions_for(spark), "region").sortWithinPartitions("region")
         links = dealt.mapInArrow(_solve_sorted(percent), "a long, b long")

@@ -9,6 +9,7 @@ import struct
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -522,6 +523,33 @@ def test_jaccard_keep_one_decides_by_row(spark):
     assert sorted(rest, key=str) == sorted([(1, a), (None, b), (None, c), (2, d), (2, e), (None, ""), (4, ""), (2, "")], key=str)
 
 
+def test_jaccard_classes_that_share_an_id(spark, monkeypatch):
+    rows = near_fixture()
+    real = jaccard.class_id
+    monkeypatch.setattr(jaccard, "class_id", lambda own: (real(own)[0] % 37, real(own)[1]))
+    sets = [jaccard.shingle_sets(pa.array([t], pa.string()), 4)[0] for _, t in rows]
+    data = [(i, i, len(s), *jaccard.class_id(s), None, None) for (i, _), s in zip(rows, sets)]
+    wide, names = jaccard.told_apart(spark.createDataFrame(data, jaccard.WIDE))
+    got = {r.doc_id: r.cid for r in wide.where("n > 0").collect()}
+    same = {}
+    for (i, _), s in zip(rows, sets):
+        if len(s):
+            assert same.setdefault(s.tobytes(), got[i]) == got[i]
+    assert len(set(same.values())) == len(same) and names
+
+
+def test_jaccard_links_come_from_cells():
+    rng = np.random.default_rng(4)
+    groups = [rng.integers(0, 2**62, 60).astype(np.uint64) for _ in range(6)]
+    sets = [np.unique(np.where(rng.random(60) < 0.05, rng.integers(0, 2**62, 60).astype(np.uint64), groups[i % 6])) for i in range(60)]
+    region = jaccard.Region(np.arange(60), sets, 85)
+    region.solve(np.arange(60))
+    assert region.pivots and region.cells and not region.flat_members
+    whole = jaccard.Region(np.arange(60), sets, 85)
+    whole.leaf(np.arange(60))
+    assert len({(a, b) for a, b in zip(region.comp.tolist(), whole.comp.tolist())}) == len(set(region.comp.tolist())) == len(set(whole.comp.tolist()))
+
+
 @pytest.mark.parametrize("near", [False, True])
 def test_jaccard_large_region_that_pivots_do_not_part(spark, near):
     # all at distance 1 of each other, or all near: every class is in every cell, so no turn may copy them
