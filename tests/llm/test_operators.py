@@ -540,8 +540,8 @@ def test_jaccard_classes_that_share_an_id(spark, monkeypatch):
 
 def test_jaccard_links_come_from_cells():
     rng = np.random.default_rng(4)
-    groups = [rng.integers(0, 2**62, 60).astype(np.uint64) for _ in range(6)]
-    sets = [np.unique(np.where(rng.random(60) < 0.05, rng.integers(0, 2**62, 60).astype(np.uint64), groups[i % 6])) for i in range(60)]
+    groups = [rng.integers(0, 2**62, 60).astype(np.uint64) for _ in range(3)]
+    sets = [np.unique(np.where(rng.random(60) < 0.05, rng.integers(0, 2**62, 60).astype(np.uint64), groups[i % 3])) for i in range(60)]
     region = jaccard.Region(np.arange(60), sets, 85)
     region.solve(np.arange(60))
     assert region.pivots and region.cells and not region.flat_members
