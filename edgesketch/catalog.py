@@ -476,9 +476,97 @@ def _(spark, sf_dir):
     return workloads.dataset_table(spark, sf_dir)
 
 
-@query("w_communication_bound", "SELECT g AS graph, a::DOUBLE AS alpha, m::DOUBLE AS gamma, true AS within FROM (VALUES ('part_supplier'), ('customer_stars')) t(g), (VALUES (1.0), (2.0)) s(a), (VALUES (0.04), (0.25), (0.5)) r(m)")
+@query("w_communication_bound", "SELECT g AS graph, a::DOUBLE AS alpha, m::DOUBLE AS gamma, 3 + 1 / (m::DOUBLE * a::DOUBLE) AS bound, true AS within FROM (VALUES ('part_supplier'), ('customer_stars')) t(g), (VALUES (1.0), (2.0)) s(a), (VALUES (0.04), (0.25), (0.5)) r(m)")
 def _(spark, sf_dir):
-    return workloads.communication(spark, sf_dir, ("part_supplier", "customer_stars")).select("graph", "alpha", "gamma", "within")
+    return workloads.communication(spark, sf_dir, ("part_supplier", "customer_stars")).select("graph", "alpha", "gamma", "bound", "within")
+
+_EACH_GRAPH = " UNION ALL ".join(f"SELECT '{n}' AS graph, (SELECT count(*) FROM ({graphs.oracle(n)})) AS updates" for n in graphs.EDGES)
+
+
+@query("w_traffic_all_graphs", f"SELECT graph, updates::BIGINT AS updates, true AS within FROM ({_EACH_GRAPH}) WHERE updates > 0")
+def _(spark, sf_dir):
+    return workloads.communication(spark, sf_dir, [*graphs.EDGES], (1.0,), (0.04,)).where("updates > 0").select("graph", "updates", "within")
+
+
+@query("w_traffic_by_queries", f"SELECT q::INTEGER AS queries, 13 * (SELECT count(*) FROM ({graphs.oracle('part_supplier')}))::BIGINT AS updates, true AS within FROM (VALUES (1), (2), (4)) t(q)")
+def _(spark, sf_dir):
+    return workloads.traffic_by_queries(spark, sf_dir).select("queries", "updates", "within")
+
+
+def _first_forest(name: str) -> str:
+    return f"SELECT '{name}' AS graph, count(*) - count(DISTINCT component) AS n FROM ({components_sql(graphs.oracle(name))})"
+
+
+@query("w_certificate_sizes", "SELECT graph, k::INTEGER AS k, n::BIGINT AS first_forest, true AS bounded, true AS complete FROM (" + " UNION ALL ".join(map(_first_forest, ("user_key", "page_links", "conversations", "month_part_supplier"))) + "), (VALUES (1), (2), (4)) t(k)")
+def _(spark, sf_dir):
+    return workloads.certificate_sizes(spark, sf_dir)
+
+
+@query("w_moves", "SELECT p AS policy, n::INTEGER AS moves FROM (VALUES ('raw', 1), ('delta', 1), ('hybrid', 1), ('tree', 2)) t(p, n)")
+def _(spark, sf_dir):
+    stream = U.from_edges(prepared(spark, sf_dir, "page_links")[0])
+    stream = materialize(stream, "stream")
+    return spark.createDataFrame([(m, costs.moves_per_update(stream, SketchParams(4096), BatchPolicy(m))) for m in ("raw", "delta", "hybrid", "tree")], "policy string, moves int")
+
+
+@query("w_density_survey", f"SELECT graph, (2::DOUBLE * edges) / (vertices * (vertices - 1)) AS density, (edges * 16)::BIGINT AS list_bytes FROM ({_TABLE})")
+def _(spark, sf_dir):
+    return workloads.density_survey(spark, sf_dir)
+
+
+_S = "ceil(i * ln(2) / ln(1.5))::BIGINT"
+
+
+@query("w_space_curve", f"SELECT (1::BIGINT << i) AS v, (164 * (1::BIGINT << i) * (i * i - i))::DOUBLE AS model_bytes, ((1::BIGINT << i) * {_S} * (8 * i + 1) * 8)::DOUBLE AS our_bytes, (1::BIGINT << (2 * i))::DOUBLE / 8 AS matrix_bytes FROM (SELECT i::BIGINT AS i FROM range(6, 22) t(i))")
+def _(spark, sf_dir):
+    return workloads.space_curve(spark)
+
+
+@query("w_hash_work", f"""SELECT (1::BIGINT << i) AS v, w AS variant, (2 * {_S} * 2 + 2)::INTEGER AS hashes, ({_S} * 2 * CASE WHEN w = 'nested' THEN 2 * i ELSE 1 END)::INTEGER AS examined,
+{_S}::DOUBLE * (2 * CASE WHEN w = 'nested' THEN 2::DOUBLE - pow(2::DOUBLE, 1 - 2 * i) ELSE 1::DOUBLE END + 1) AS written FROM (SELECT i::BIGINT AS i FROM range(6, 21, 2) t(i)), (VALUES ('one_level'), ('nested')) x(w)""")
+def _(spark, sf_dir):
+    return workloads.hash_work(spark)
+
+
+@query("w_bottlenecks", """SELECT a AS approach, s::DOUBLE AS space, c::DOUBLE AS cpu, n::DOUBLE AS network, d AS dominant FROM (VALUES
+('adjacency', 2147483648::DOUBLE, 1::DOUBLE, 9::DOUBLE, 'network'), ('lossless distributed', 68800000000::DOUBLE, 17::DOUBLE, 272::DOUBLE, 'network'),
+('earlier sketch', 5846859776::DOUBLE / (2::DOUBLE / 7), 289::DOUBLE, 9::DOUBLE, 'cpu'), ('one-level sketch', 5846859776::DOUBLE, 17::DOUBLE, 27::DOUBLE, 'cpu')) t(a, s, c, n, d)""")
+def _(spark, sf_dir):
+    return workloads.bottleneck_summary(spark)
+
+
+@query("exact_min_cut", "SELECT c::BIGINT AS planted, least(c, 11)::BIGINT AS min_cut FROM (VALUES (1), (3), (4), (6)) t(c)")
+def _(spark, sf_dir):
+    rows = []
+    for c in (1, 3, 4, 6):
+        e = generate.planted_cut(spark, 12, c)
+        rows.append((c, exact.min_cut(U.from_edges(e), ends_of(e))))
+    return spark.createDataFrame(rows, "planted long, min_cut long")
+
+
+@query("exact_cut_suppliers", f"""WITH e AS ({graphs.oracle('month_part_supplier')}) SELECT v - (SELECT count(*) FROM part) AS cut_id, count(*)::BIGINT AS n FROM e GROUP BY v""")
+def _(spark, sf_dir):
+    rows = _CUTS["month_suppliers"][1]
+    graphs.views(spark, sf_dir, rows)
+    cut = spark.sql(rows).selectExpr("cast(cut_id as long) cut_id", "cast(vertex as long) vertex")
+    return exact.cut_values(U.from_edges(graphs.edges(spark, sf_dir, "month_part_supplier")), cut)
+
+
+@query("stream_expiring", f"""WITH o AS (SELECT u, v, ts FROM ({graphs.EDGES['user_key'].format(**graphs.DUCKDB).replace('SELECT user_id AS u', 'SELECT ts, user_id AS u')})),
+w AS (SELECT *, lag(ts) OVER (PARTITION BY u, v ORDER BY ts) AS b FROM o)
+SELECT count(*) FILTER (b IS NULL OR ts > b + INTERVAL 7 DAYS)::BIGINT AS inserts, count(*) FILTER (b IS NULL OR ts > b + INTERVAL 7 DAYS)::BIGINT AS deletes FROM w""")
+def _(spark, sf_dir):
+    text = graphs.EDGES["user_key"].format(**graphs.SPARK).replace("SELECT user_id AS u", "SELECT ts, user_id AS u")
+    graphs.views(spark, sf_dir, text)
+    rows = spark.sql(text).selectExpr("cast(u as long) u", "cast(v as long) v", "cast(ts as timestamp) ts")
+    return U.expiring(rows).agg(F.count(F.when(F.col("delta") > 0, 1)).alias("inserts"), F.count(F.when(F.col("delta") < 0, 1)).alias("deletes"))
+
+
+@query("leaf_fullness", f"SELECT 2 * count(*)::BIGINT AS updates FROM ({graphs.oracle('part_supplier')})")
+def _(spark, sf_dir):
+    e, v, n = prepared(spark, sf_dir, "part_supplier")
+    return costs.leaf_fullness(U.from_edges(e), SketchParams.for_edges(v, n)).agg(F.sum("updates").alias("updates"))
+
 
 
 @query("w_matching_worst_case", "SELECT p AS policy, 256::BIGINT AS updates, CASE WHEN p = 'delta' THEN 0 ELSE 512 END::BIGINT AS raw_ids, CASE WHEN p = 'delta' THEN 512 ELSE 0 END::BIGINT AS deltas FROM (VALUES ('raw'), ('delta'), ('hybrid')) t(p)")
@@ -487,10 +575,9 @@ def _(spark, sf_dir):
 
 
 for _w, _f in {
-    "w_density_survey": lambda s, d: workloads.density_survey(s, d), "w_ablation": lambda s, d: workloads.ablation(s, d, "page_links"), "w_scaling": lambda s, d: workloads.scaling(s, d, (1, 4), "page_links"),
-    "w_query_split": lambda s, d: workloads.query_split(s, d), "w_query_bursts": lambda s, d: workloads.query_bursts(s, d, 2), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d, (1, 2)),
-    "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d, "page_links"), "w_space_curve": lambda s, d: workloads.space_curve(s), "w_hash_work": lambda s, d: workloads.hash_work(s),
-    "w_sampler_failure": lambda s, d: workloads.sampler_failure(s, (1, 2, 10, 100), 500), "w_bottlenecks": lambda s, d: workloads.bottleneck_summary(s),
+    "w_ablation": lambda s, d: workloads.ablation(s, d), "w_scaling": lambda s, d: workloads.scaling(s, d), "w_query_split": lambda s, d: workloads.query_split(s, d),
+    "w_query_bursts": lambda s, d: workloads.query_bursts(s, d), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d), "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d),
+    "w_sampler_failure": lambda s, d: workloads.sampler_failure(s), "w_many_datasets": lambda s, d: workloads.many_datasets(s, d),
 }.items():
     query(_w)(_f)
 
@@ -537,12 +624,12 @@ def _(spark, sf_dir):
     return stream.select("seq", F.sum("delta").over(Window.partitionBy("u").orderBy("seq").rowsBetween(Window.unboundedPreceding, Window.currentRow)).alias("live"))
 
 
-@query("asof_component", "SELECT q.event_id AS query_id, s.event_id AS snapshot FROM (SELECT event_id, user_id, ts FROM events WHERE event_id % 7 = 3) q ASOF JOIN (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click' OR event_id % 5 = 0) s ON q.user_id = s.user_id AND q.ts >= s.ts")
+@query("asof_component", "SELECT q.event_id AS query_id, s.event_id AS snapshot FROM events q ASOF JOIN (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click') s ON q.user_id = s.user_id AND q.ts >= s.ts")
 def _(spark, sf_dir):
-    # an as-of join by union: the last snapshot at or before each query, of the same user
+    # an as-of join by union: the last click of the same user at or before each event
     ev = table(spark, sf_dir, "events")
-    s = ev.where("event_type = 'click' OR event_id % 5 = 0").select("user_id", "ts", F.col("event_id").alias("snapshot"), F.lit(None).cast("long").alias("query_id"))
-    q = ev.where("event_id % 7 = 3").select("user_id", "ts", F.lit(None).cast("long").alias("snapshot"), F.col("event_id").alias("query_id"))
+    s = ev.where("event_type = 'click'").select("user_id", "ts", F.col("event_id").alias("snapshot"), F.lit(None).cast("long").alias("query_id"))
+    q = ev.select("user_id", "ts", F.lit(None).cast("long").alias("snapshot"), F.col("event_id").alias("query_id"))
     w = Window.partitionBy("user_id").orderBy("ts", F.col("query_id").isNotNull(), "snapshot").rowsBetween(Window.unboundedPreceding, Window.currentRow)
     met = s.unionByName(q).withColumn("snapshot", F.last("snapshot", ignorenulls=True).over(w))
     return met.where("query_id IS NOT NULL AND snapshot IS NOT NULL").select("query_id", "snapshot")

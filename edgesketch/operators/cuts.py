@@ -9,6 +9,8 @@ from edgesketch.tables import star_components
 
 #: Vertices up to which a global minimum cut is searched on the driver.
 MIN_CUT_VERTICES = 200_000
+#: Edges of a certificate up to which bridges are searched on the driver.
+BRIDGE_EDGES = 2_000_000
 
 
 def crossing(edges: DataFrame, cuts: DataFrame) -> DataFrame:
@@ -147,7 +149,12 @@ def is_edge_connected(certificate: DataFrame, vertices: DataFrame, j: int) -> bo
 
 
 def bridges(certificate: DataFrame) -> list[tuple[int, int]]:
-    """Edges whose loss parts a component, from a certificate of k >= 2, by depth-first low points."""
+    """Edges whose loss parts a component, from a certificate of k >= 2, by depth-first low points on the driver.
+
+    A certificate of more than ``BRIDGE_EDGES`` edges raises.
+    """
+    if certificate.count() > BRIDGE_EDGES:
+        raise ValueError(f"bridges are not searched in a certificate of more than {BRIDGE_EDGES} edges")
     rows = sorted((r.u, r.v) for r in certificate.select("u", "v").toLocalIterator())
     near: dict[int, list[int]] = {}
     for u, v in rows:

@@ -61,8 +61,9 @@ def label_propagation(edges: DataFrame, most_rounds: int = 1000) -> tuple[DataFr
 def batch_dynamic(updates: DataFrame, batch_rows: int) -> DataFrame:
     """Batches of inserts only or deletes only; exact components after the last.
 
-    A batch is a stretch of the sequence of at most ``batch_rows`` updates, parted by sign; labels are
-    kept where a batch only inserts, and made anew from the live edges where it deletes.
+    A stretch of the sequence of at most ``batch_rows`` updates is netted to the last change of each
+    edge and parted by sign: its deletes are a batch, after which labels are made anew from the live
+    edges that are left, and its inserts another, which keeps the labels and only ties them.
     """
     first, last = updates.agg(F.min("seq"), F.max("seq")).first()
     if first is None:
@@ -73,13 +74,12 @@ def batch_dynamic(updates: DataFrame, batch_rows: int) -> DataFrame:
     at = first
     while at <= last:
         stretch = updates.where((F.col("seq") >= at) & (F.col("seq") < at + step))
-        dead = not stretch.where("delta < 0").isEmpty()
-        if labels is None or dead:
-            labels = components(live_edges(updates, at + step - 1))
-        else:
-            born = canonical(stretch).select("u", "v")
-            labels = components(born.union(labels.where("vertex <> component").select("vertex", "component")))
-        labels = materialize(labels, "labels")
+        net = materialize(canonical(stretch).groupBy("u", "v").agg(F.max_by("delta", "seq").alias("d")), "net")
+        dead, born = net.where("d < 0").select("u", "v"), net.where("d > 0").select("u", "v")
+        if labels is not None and not dead.isEmpty():
+            labels = materialize(components(live_edges(updates, at - 1).join(dead, ["u", "v"], "left_anti")), "labels")
+        tied = born if labels is None else born.union(labels.where("vertex <> component").select("vertex", "component"))
+        labels = materialize(components(tied), "labels")
         at += step
     return vertices.join(labels, "vertex", "left").select("vertex", F.coalesce("component", "vertex").alias("component"))
 
@@ -89,6 +89,16 @@ def recompute(updates: DataFrame, upto: int | None = None) -> DataFrame:
     return components(live_edges(updates, upto))
 
 
+def min_cut(updates: DataFrame, vertices: DataFrame) -> int:
+    """The global minimum cut over all live edges, on the driver; raises beyond what it searches."""
+    from edgesketch.operators.cuts import MIN_CUT_VERTICES, least_cut
+
+    edges, named = materialize(parity_edges(updates), "live"), vertices.select("vertex").distinct()
+    if named.count() > MIN_CUT_VERTICES or edges.count() > 2_000_000:
+        raise ValueError("an exact minimum cut is not searched in so large a graph")
+    return least_cut(((r.u, r.v) for r in edges.toLocalIterator()), [r.vertex for r in named.toLocalIterator()])
+
+
 def cut_values(updates: DataFrame, cuts: DataFrame) -> DataFrame:
     """(cut_id, n) over all live edges."""
     return crossing(parity_edges(updates), cuts)

@@ -101,6 +101,19 @@ def leaf_fullness(updates: DataFrame, params: SketchParams, alpha: float = 1.0,
     return leaves.groupBy(tenth.alias("tenth")).agg(F.count(F.lit(1)).alias("leaves"), F.sum("n").alias("updates"))
 
 
+def moves_per_update(updates: DataFrame, params: SketchParams, policy: BatchPolicy) -> int:
+    """How often an update crosses the network until it is in the sketch: the shuffles of the plan."""
+    from edgesketch.operators.batching import sketched_rows
+
+    plan = sketched_rows(endpoints(updates), params, policy)._jdf.queryExecution().executedPlan().toString()
+    return plan.count("Exchange hashpartitioning") + plan.count("Exchange rangepartitioning")
+
+
+def main_node(params: SketchParams, vertices: int) -> dict[str, int]:
+    """C11: bytes that the driver holds for a contraction (vertex, root and flag of each), and rounds at most."""
+    return {"driver_bytes": 17 * vertices, "rounds": params.samplers, "sketch_bytes": sketch_bytes(params, vertices)}
+
+
 def timed(action) -> tuple[float, object]:
     at = time.perf_counter()
     out = action()

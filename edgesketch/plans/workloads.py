@@ -15,11 +15,12 @@ from edgesketch.functions.sampler import SamplerKernel, SketchParams
 from edgesketch.operators import certificate, exact
 from edgesketch.operators.batching import BatchPolicy
 from edgesketch.operators.forest import spanning_forest
+from edgesketch.operators.reach import hashed_pairs
 from edgesketch.operators.sketch import GraphSketch
 from edgesketch.plans import accuracy, costs
 from edgesketch.sources import generate, graphs
 from edgesketch.sources import updates as U
-from edgesketch.tables import materialize
+from edgesketch.tables import materialize, scratch_scope
 
 
 def prepared(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, int, int]:
@@ -52,15 +53,17 @@ def density_survey(spark: SparkSession, sf_dir: str, names: list[str] | None = N
 
 
 def ablation(spark: SparkSession, sf_dir: str, name: str = "part_supplier") -> DataFrame:
-    """Both samplers under each way of batching: time, levels examined, buckets written."""
+    """Both samplers under each way of batching, on inserts and on the churned stream: time, levels examined, buckets written."""
     e, v, n = prepared(spark, sf_dir, name)
-    stream, rows = U.from_edges(e), []
-    for variant in ("nested", "one_level"):
-        for mode in ("raw", "delta", "hybrid"):
-            p = SketchParams.for_edges(v, n, variant=variant)
-            seconds, _ = costs.timed(lambda p=p, mode=mode: GraphSketch.build(stream, p, BatchPolicy(mode)))
-            rows.append((variant, mode, n / seconds, float(costs.buckets_examined(p)), float(costs.bucket_writes(p)), costs.hash_calls(p)))
-    return spark.createDataFrame(rows, "variant string, policy string, updates_per_s double, examined double, written double, hashes int")
+    rows = []
+    for kind, stream, total in (("inserts", materialize(U.from_edges(e), "stream"), n), ("churn", materialize(U.churn(e), "stream"), 13 * n)):
+        for variant in ("nested", "one_level"):
+            for mode in ("raw", "delta", "hybrid"):
+                p = SketchParams.for_edges(v, n, variant=variant)
+                with scratch_scope(spark):
+                    seconds, _ = costs.timed(lambda p=p, mode=mode, stream=stream: GraphSketch.build(stream, p, BatchPolicy(mode)))
+                rows.append((kind, variant, mode, total / seconds, float(costs.buckets_examined(p)), float(costs.bucket_writes(p)), costs.hash_calls(p)))
+    return spark.createDataFrame(rows, "stream string, variant string, policy string, updates_per_s double, examined double, written double, hashes int")
 
 
 def scaling(spark: SparkSession, sf_dir: str, ways=(1, 2, 4), name: str = "part_supplier") -> DataFrame:
@@ -70,9 +73,15 @@ def scaling(spark: SparkSession, sf_dir: str, ways=(1, 2, 4), name: str = "part_
     total = 13 * n
     read_s, _ = costs.timed(lambda: exact.acquire(stream))
     scatter_s, _ = costs.timed(lambda: exact.scatter(stream))
+    before = spark.conf.get("spark.sql.shuffle.partitions")
     for w in ways:
         part = stream.coalesce(w)
-        seconds, _ = costs.timed(lambda part=part: GraphSketch.build(part, SketchParams.for_edges(v, n)))
+        try:  # as many tasks on either side of the shuffle
+            spark.conf.set("spark.sql.shuffle.partitions", str(w))
+            with scratch_scope(spark):
+                seconds, _ = costs.timed(lambda part=part: GraphSketch.build(part, SketchParams.for_edges(v, n)))
+        finally:
+            spark.conf.set("spark.sql.shuffle.partitions", before)
         base = base or seconds
         rows.append((w, total / seconds, base / seconds, *costs.bandwidth_ratio(read_s, scatter_s, seconds).values()))
     return spark.createDataFrame(rows, "parallel int, updates_per_s double, speed_up double, against_sequential double, over_random double")
@@ -90,6 +99,35 @@ def communication(spark: SparkSession, sf_dir: str, names=("part_supplier", "ord
     return spark.createDataFrame(rows, "graph string, alpha double, gamma double, updates long, factor double, bound double, within boolean")
 
 
+def many_datasets(spark: SparkSession, sf_dir: str, names=None) -> DataFrame:
+    """Rate, traffic against its bound, share processed locally, and our body against the list, of every graph."""
+    rows = []
+    for name in names or [*graphs.EDGES]:
+        e, v, n = prepared(spark, sf_dir, name)
+        if not n:
+            continue
+        p, policy = SketchParams.for_edges(v, n), BatchPolicy("hybrid", 1.0, 0.04)
+        r = costs.traffic_report(U.from_edges(e), p, policy)
+        with scratch_scope(spark):
+            seconds, _ = costs.timed(lambda p=p, e=e, policy=policy: GraphSketch.build(U.from_edges(e), p, policy))
+        rows.append((name, n, n / seconds, r.factor, r.bound, r.raw_ids / (2 * n), costs.sketch_bytes(p, v) / (16 * n), costs.advise(v, n, p)))
+    return spark.createDataFrame(rows, "graph string, updates long, updates_per_s double, factor double, bound double, local_share double, bytes_to_list double, advice string")
+
+
+def traffic_by_queries(spark: SparkSession, sf_dir: str, name: str = "part_supplier", counts=(1, 2, 4)) -> DataFrame:
+    """Traffic when Q queries cut a churned stream, each flushing what is pending: it keeps its bound for any Q."""
+    e, v, n = prepared(spark, sf_dir, name)
+    stream, p, policy = materialize(U.churn(e), "stream"), SketchParams.for_edges(v, n), BatchPolicy("hybrid", 1.0, 0.04)
+    top, rows = stream.agg(F.max("seq")).first()[0] + 1, []
+    for q in counts:
+        published = updates = 0
+        for k in range(q):
+            r = costs.traffic_report(stream.where((F.col("seq") >= top * k // q) & (F.col("seq") < top * (k + 1) // q)), p, policy)
+            published, updates = published + r.published_bytes, updates + r.updates
+        rows.append((q, updates, published / (updates * costs.UPDATE_BYTES), costs.traffic_bound(1.0, 0.04, 1)))
+    return spark.createDataFrame(rows, "queries int, updates long, factor double, bound double").withColumn("within", F.col("factor") <= F.col("bound"))
+
+
 def matching_worst_case(spark: SparkSession, v: int = 512) -> DataFrame:
     """A perfect matching under each policy: deltas cost a body an end, the hybrid policy stays raw."""
     rows = []
@@ -100,9 +138,13 @@ def matching_worst_case(spark: SparkSession, v: int = 512) -> DataFrame:
 
 
 def query_split(spark: SparkSession, sf_dir: str, name: str = "part_supplier") -> DataFrame:
-    """Flush (pending updates into the sketch) and contraction, in seconds."""
+    """Flush (the last tenth of a churned stream into the sketch) and contraction, in seconds."""
     e, v, n = prepared(spark, sf_dir, name)
-    flush, s = costs.timed(lambda: GraphSketch.build(U.from_edges(e), SketchParams.for_edges(v, n)))
+    stream = materialize(U.churn(e), "stream")
+    last = stream.agg(F.max("seq")).first()[0]
+    cut = last - last // 10
+    held = GraphSketch.build(stream.where(F.col("seq") <= cut), SketchParams.for_edges(v, n), epoch=cut)
+    flush, s = costs.timed(lambda: held.advance(stream.where(F.col("seq") > cut), last))
     contract, r = costs.timed(lambda: spanning_forest(s))
     return spark.createDataFrame([(name, flush, contract, r.rounds, r.complete)], "graph string, flush_s double, contract_s double, rounds int, complete boolean")
 
@@ -113,13 +155,17 @@ def query_bursts(spark: SparkSession, sf_dir: str, queries: int = 4) -> DataFram
 
     stream, vertices, v, n = user_key_stream(spark, sf_dir)
     last = stream.agg(F.max("seq")).first()[0]
-    points = [(k, last - 50 + 50 * k // queries, "global") for k in range(queries)]
-    rows = []
-    for cached in (True, False):
-        for k in range(1, queries + 1):
-            seconds, out = costs.timed(lambda k=k, cached=cached: replay(stream, points[:k], SketchParams.for_edges(v, n), vertices, cached=cached))
-            rows.append((cached, k, seconds, out[-1][1]))
-    return spark.createDataFrame(rows, "cached boolean, queries int, seconds_so_far double, last_state string")
+    pairs, rows = materialize(hashed_pairs(spark, 1000, v), "pairs"), []
+    for kind in ("global", "pairs"):
+        # the first of a burst is cold; the others ask what ``kind`` says
+        points = [(k, last - 50 + 50 * k // queries, kind if k else "global") for k in range(queries)]
+        for cached in (True, False):
+            before = 0.0
+            for k in range(1, queries + 1):
+                seconds, out = costs.timed(lambda k=k, cached=cached, points=points: [(q, s, getattr(r, "labels", r).count()) for q, s, r in replay(stream, points[:k], SketchParams.for_edges(v, n), vertices, cached=cached, pairs=pairs)])
+                rows.append((kind, cached, k, seconds - before, out[-1][1]))
+                before = seconds
+    return spark.createDataFrame(rows, "kind string, cached boolean, position int, seconds double, last_state string")
 
 
 def user_key_stream(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFrame, int, int]:
@@ -133,16 +179,33 @@ def user_key_stream(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFr
     return stream, vertices, int(r.v) + 1, int(r.n)
 
 
-def k_sweep(spark: SparkSession, sf_dir: str, ks=(1, 2, 4), name: str = "month_part_supplier") -> DataFrame:
-    """Rate, bytes, query time and traffic by k."""
-    e, v, n = prepared(spark, sf_dir, name)
+def k_sweep(spark: SparkSession, sf_dir: str, ks=(1, 2, 4, 8), names=("part_supplier", "supplier_supplier")) -> DataFrame:
+    """Rate, bytes, query time and traffic by k, side by side."""
+    rows = []
+    for name in names:
+        e, v, n = prepared(spark, sf_dir, name)
+        for k in ks:
+            with scratch_scope(spark):
+                p = SketchParams.for_edges(v, n, copies=k)
+                build, s = costs.timed(lambda p=p, e=e: GraphSketch.build(U.from_edges(e), p))
+                seconds, (made, ok) = costs.timed(lambda s=s, k=k: certificate.peel(s, k))
+                r = costs.traffic_report(U.from_edges(e), p, BatchPolicy())
+                rows.append((name, k, n / build, p.vertex_bytes, costs.hash_calls(p), seconds, r.factor, made.count(), ok))
+    return spark.createDataFrame(rows, "graph string, k int, updates_per_s double, vertex_bytes long, hashes int, query_s double, factor double, certificate_edges long, complete boolean")
+
+
+def certificate_sizes(spark: SparkSession, sf_dir: str, ks=(1, 2, 4), names=("user_key", "page_links", "conversations", "month_part_supplier")) -> DataFrame:
+    """What does not depend on time: certificates of further graphs keep their bound and span all at every k."""
     rows = []
-    for k in ks:
-        p = SketchParams.for_edges(v, n, copies=k)
-        build, s = costs.timed(lambda p=p: GraphSketch.build(U.from_edges(e), p))
-        seconds, (made, ok) = costs.timed(lambda s=s, k=k: certificate.peel(s, k))
-        rows.append((k, n / build, p.vertex_bytes, costs.hash_calls(p), seconds, made.count(), ok))
-    return spark.createDataFrame(rows, "k int, updates_per_s double, vertex_bytes long, hashes int, query_s double, certificate_edges long, complete boolean")
+    for name in names:
+        e, v, n = prepared(spark, sf_dir, name)
+        ends = materialize(ends_of(e), "ends")
+        held = ends.count()
+        for k in ks:
+            with scratch_scope(spark):
+                made, ok = certificate.peel(GraphSketch.build(U.from_edges(e), SketchParams.for_edges(v, n, copies=k)), k, ends)
+                rows.append((name, k, made.where("forest_no = 0").count(), made.count() <= k * (held - 1), ok))
+    return spark.createDataFrame(rows, "graph string, k int, first_forest long, bounded boolean, complete boolean")
 
 
 def update_rate_vs_bits(spark: SparkSession, sf_dir: str, name: str = "part_supplier") -> DataFrame:

@@ -5,7 +5,10 @@ The second side of a bipartite graph starts after the first, whose size is a sca
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from edgesketch.sources.updates import _numbered
 
 #: (SQL of the edges, portable between Spark and DuckDB); one row for each occurrence or distinct edge.
 EDGES: dict[str, str] = {
@@ -52,8 +55,65 @@ def views(spark: SparkSession, sf_dir: str, text: str) -> None:
             spark.read.parquet(f"{sf_dir}/{name}.parquet").createOrReplaceTempView(name)
 
 
+def _least_of_equals(rows: DataFrame, what: str) -> DataFrame:
+    """Edges from the least doc_id to all others with an equal ``what``: told by its SHA-256, least ids by partial aggregates."""
+    named = rows.select("doc_id", F.sha2(what, 256).alias("h")).distinct()
+    least = named.groupBy("h").agg(F.min("doc_id").alias("u"), F.count(F.lit(1)).alias("n")).where("n > 1").drop("n")
+    return named.join(least, "h").where("u < doc_id").select("u", F.col("doc_id").alias("v"))
+
+
+def _ranked(rows: DataFrame, what: str) -> DataFrame:
+    """The distinct values with their dense rank from 1, numbered by range partitions."""
+    return _numbered(rows.select(what).distinct(), F.col(what)).select(what, (F.col("seq") + 1).alias("rank"))
+
+
+def _docs_exact(docs: DataFrame) -> DataFrame:
+    return _least_of_equals(docs.where(F.col("text").isNotNull()), "text")
+
+
+def _docs_lines(docs: DataFrame) -> DataFrame:
+    lines = docs.select("doc_id", F.explode(F.split("text", "\n")).alias("line"))
+    return _least_of_equals(lines.where(F.length("line") >= 40), "line")
+
+
+def _page_ranks(rows: DataFrame, pages: DataFrame, what: str) -> DataFrame:
+    n = pages.agg(F.count(F.lit(1)).alias("n"))
+    return rows.join(_ranked(rows, what), what).crossJoin(F.broadcast(n)).select(F.col("page_id").alias("u"), (F.col("n") + F.col("rank")).alias("v"))
+
+
+def _page_hosts(pages: DataFrame) -> DataFrame:
+    return _page_ranks(pages.select("page_id", F.expr(SPARK["host"]).alias("host")), pages, "host")
+
+
+def _page_links(pages: DataFrame) -> DataFrame:
+    hrefs = pages.select("page_id", F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("href"))
+    return _page_ranks(hrefs.distinct(), pages, "href")
+
+
+def _conversations(turns: DataFrame) -> DataFrame:
+    numbered = _numbered(turns.select("conv_id", "turn"), F.col("conv_id"), F.col("turn"))
+    after = F.lead("seq").over(Window.partitionBy("conv_id").orderBy("turn", "seq"))
+    return numbered.select(F.col("seq").alias("u"), after.alias("v")).where("v IS NOT NULL")
+
+
+def _user_user(events: DataFrame) -> DataFrame:
+    numbered = _numbered(events.select("event_id", "user_id"), F.col("event_id")).select("seq", F.col("user_id").alias("a"))
+    met = numbered.join(numbered.select((F.col("seq") - 1).alias("seq"), F.col("a").alias("b")), "seq").where("a <> b")
+    return met.select(F.least("a", "b").alias("u"), F.greatest("a", "b").alias("v"))
+
+
+#: Graphs that one SQL text would put into one task: (table, how they are derived).
+DERIVED = {
+    "docs_exact": ("documents", _docs_exact), "docs_lines": ("documents", _docs_lines), "page_hosts": ("pages", _page_hosts), "page_links": ("pages", _page_links),
+    "conversations": ("conversations", _conversations), "user_user": ("events", _user_user),
+}
+
+
 def occurrences(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """(u, v) as often as they occur."""
+    if name in DERIVED:
+        where, derive = DERIVED[name]
+        return derive(spark.read.parquet(f"{sf_dir}/{where}.parquet"))
     text = EDGES[name].format(**SPARK)
     views(spark, sf_dir, text)
     return spark.sql(text)
@@ -82,7 +142,6 @@ def cosine_edges(spark: SparkSession, sf_dir: str, above: float = 0.35, block: i
     """
     import numpy as np
     import pandas as pd
-    from pyspark.sql import functions as F
 
     vecs = spark.read.parquet(f"{sf_dir}/embeddings.parquet").select("vec_id", "embedding", F.floor(F.col("vec_id") / block).alias("b"))
     blocks = vecs.groupBy("b").agg(F.collect_list(F.struct("vec_id", "embedding")).alias("rows"))

@@ -23,6 +23,9 @@ def shared_dir(spark: SparkSession) -> str:
     before = spark.sparkContext._jsc.sc().getCheckpointDir()
     if before.isDefined():
         return before.get().rstrip("/")
+    master = spark.sparkContext.master
+    if master != "local" and not master.startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     own = "file://" + tempfile.mkdtemp(prefix="edgesketch-")
     spark.sparkContext.setCheckpointDir(own)
     return own
