@@ -576,7 +576,7 @@ def _(spark, sf_dir):
 
 for _w, _f in {
     "w_ablation": lambda s, d: workloads.ablation(s, d), "w_scaling": lambda s, d: workloads.scaling(s, d), "w_query_split": lambda s, d: workloads.query_split(s, d),
-    "w_query_bursts": lambda s, d: workloads.query_bursts(s, d), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d), "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d),
+    "w_query_bursts": lambda s, d: workloads.query_bursts(s, d, 3), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d), "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d),
     "w_sampler_failure": lambda s, d: workloads.sampler_failure(s), "w_many_datasets": lambda s, d: workloads.many_datasets(s, d),
 }.items():
     query(_w)(_f)

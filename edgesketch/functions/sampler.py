@@ -18,6 +18,7 @@ import numpy as np
 from edgesketch.functions.hashing import mix64
 
 EDGE, EMPTY, FAILED = 0, 1, 2
+UPDATE_BYTES = 9  # two 4-byte ids and a sign
 STATUS = {EDGE: "edge", EMPTY: "empty", FAILED: "failed"}
 _CHECK_SEED = 0x5EED
 
@@ -67,8 +68,12 @@ class SketchParams:
         return self.copies * self.samplers * self.body_bytes
 
     def capacity(self, alpha: float = 1.0) -> int:
-        """Updates of a full vertex batch: alpha times the vertex sketch, at 8 bytes an update."""
-        return math.ceil(alpha * self.vertex_bytes / 8)
+        """Updates of a full vertex batch: alpha times the vertex sketch.
+
+        An update is in the batches of both its ends, so each counts half of its bytes; with more of
+        them, deltas of batches that are just full enough would pass the communication bound.
+        """
+        return math.ceil(alpha * self.vertex_bytes / (UPDATE_BYTES / 2))
 
     def key(self) -> tuple:
         return (self.v_count, self.variant, self.copies, self.samplers, self.columns, self.levels, self.seed, self.hash_family, self.first_copy)

@@ -9,11 +9,10 @@ from dataclasses import dataclass
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from edgesketch.functions.sampler import SketchParams
+from edgesketch.functions.sampler import UPDATE_BYTES, SketchParams
 from edgesketch.operators.batching import BatchPolicy, route, traffic
 from edgesketch.sources.updates import endpoints
 
-UPDATE_BYTES = 9  # two 4-byte ids and a sign
 #: Fixed values of the published space model: bytes for each vertex and for each earlier sampler, and their ratio.
 MODEL_BYTES, EARLIER_SAMPLER_BYTES, SPACE_RATIO = 164, 56, 2 / 7
 

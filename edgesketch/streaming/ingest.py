@@ -75,11 +75,11 @@ def gather(stream: DataFrame, params: SketchParams, groups: int = 64, alpha: flo
     return ends.groupBy("g").transformWithStateInPandas(Gather(), "vertex long, eids array<long>", "Append", "None")
 
 
-def replay(updates: DataFrame, query_points: list[tuple[int, int, str]], params: SketchParams, vertices: DataFrame, policy: BatchPolicy = BatchPolicy(), cached: bool = True, pairs: DataFrame | None = None) -> list[tuple[int, str, object]]:
+def replay(updates: DataFrame, query_points: list[tuple[int, int, str]], params: SketchParams, vertices: DataFrame, policy: BatchPolicy = BatchPolicy(), cached: bool = True, pairs: DataFrame | None = None, told: Callable[[int, object], None] | None = None) -> list[tuple[int, str, object]]:
     """Queries between updates, each over the committed prefix: (query_id, state, result) in order.
 
     ``query_points``: (query_id, at_seq, kind), kind ``global`` or ``pairs``. The sketch advances only
-    when an answer needs it; the cache answers the rest of a burst.
+    when an answer needs it; the cache answers the rest of a burst. ``told`` is called after each answer.
     """
     sketch: GraphSketch | None = None
     done = -1
@@ -113,6 +113,8 @@ def replay(updates: DataFrame, query_points: list[tuple[int, int, str]], params:
             result = cache.query(at(seq), window, seq)
             at_cached = seq
         out.append((query_id, cache.last_state, result))
+        if told is not None:
+            told(query_id, result)
     return out
 
 
