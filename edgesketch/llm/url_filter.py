@@ -63,22 +63,28 @@ SITE_RULES = (
     SiteRule("org", "/es/", "block"),
 )
 
+def branches(name: str, before: str, words: tuple[str, ...], after: str, more: tuple[str, ...] = ()) -> list[Pattern]:
+    """One pattern for each literal of an alternation, so that each is indexed by a token of its own."""
+    return [Pattern(f"{name}: {w}", before + w + after, (w, *more)) for w in words]
+
+
 #: Urls that hold no article: sign-in, baskets, feeds, trackers and the like.
 PATTERNS = (
     Pattern("login script", r"/wp-login\.php(?:[?#]|$)", ("wp", "login", "php")),
     Pattern("admin area", r"/wp-admin(?:/|$)", ("wp", "admin")),
-    Pattern("sign in", r"/(?:account|user|users|member)/(?:login|signin|register)\b", ()),
-    Pattern("basket", r"/(?:cart|basket|checkout)(?:/|\?|$)", ()),
-    Pattern("feed", r"/(?:rss|feed|atom)(?:\.xml)?/?(?:\?|$)", ()),
-    Pattern("ad server", r"://(?:ad|ads|adserver|doubleclick)\d*\.", ()),
-    Pattern("tracker", r"/(?:pixel|beacon|collect)\.gif(?:\?|$)", ("gif",)),
-    Pattern("gambling host", r"://[^/?#]*\b(?:casino|poker|slots)\b", ()),
-    Pattern("adult host", r"://[^/?#]*\bporn\b", ("porn",)),
-    Pattern("adult host xxx", r"://[^/?#]*\bxxx\b", ("xxx",)),
-    Pattern("archive file", r"\.(?:zip|rar|exe|dmg|iso)(?:\?|$)", ()),
-    Pattern("print view", r"[?&]print=(?:1|true|yes)(?:&|$)", ("print",)),
+    *(p for w in ("account", "user", "users", "member") for p in branches(f"sign in to {w}", rf"/{w}/", ("login", "signin", "register"), r"\b", (w,))),
+    *branches("basket", "/", ("cart", "basket", "checkout"), r"(?:/|\?|$)"),
+    *branches("feed", "/", ("rss", "feed", "atom"), r"(?:\.xml)?/?(?:\?|$)"),
+    *branches("ad server", "://", ("ad", "ads", "adserver", "doubleclick"), r"\."),
+    # digits make one token with the word, so this one has none
+    Pattern("numbered ad server", r"://(?:ad|ads|adserver|doubleclick)\d+\.", ()),
+    *branches("tracker", "/", ("pixel", "beacon", "collect"), r"\.gif(?:\?|$)", ("gif",)),
+    *branches("gambling host", r"://[^/?#]*\b", ("casino", "poker", "slots"), r"\b"),
+    *branches("adult host", r"://[^/?#]*\b", ("porn", "xxx"), r"\b"),
+    *branches("archive file", r"\.", ("zip", "rar", "exe", "dmg", "iso"), r"(?:\?|$)"),
+    *branches("print view", "[?&]print=", ("1", "true", "yes"), "(?:&|$)", ("print",)),
     Pattern("reply form", r"[?&]replytocom=\d+", ("replytocom",)),
-    Pattern("session id", r"[?&;](?:phpsessid|jsessionid)=[0-9a-f]{16,}", ()),
+    *branches("session id", "[?&;]", ("phpsessid", "jsessionid"), "=[0-9a-f]{16,}"),
 )
 
 
