@@ -228,7 +228,7 @@ def _(spark, sf_dir):
     return _told(cache.reachable(hashed_pairs(spark, N_PAIRS, v), stream.where((F.col("seq") > half) & (F.col("seq") <= to)), build(to), to))
 
 
-def _replay_sql(points: list[tuple[int, str]]) -> str:
+def _replay_labels_sql(points: list[tuple[int, str]]) -> str:
     text = graphs.EDGES["user_key"].format(**graphs.DUCKDB).replace("SELECT user_id AS u", "SELECT event_id, user_id AS u")
     values = ", ".join(f"({k}, {at})" for k, at in points)
     return f"""
@@ -239,7 +239,11 @@ cc(query_id, vertex, component) USING KEY (query_id, vertex) AS (
   SELECT query_id, x, x FROM q, verts
   UNION SELECT c.query_id, b.v, min(c.component) FROM cc c JOIN b ON b.u = c.vertex AND b.query_id = c.query_id
         JOIN recurring.cc r ON r.vertex = b.v AND r.query_id = b.query_id WHERE c.component < r.component GROUP BY c.query_id, b.v)
-SELECT query_id::BIGINT AS query_id, count(DISTINCT component)::BIGINT AS components FROM cc GROUP BY query_id"""
+SELECT query_id::BIGINT AS query_id, vertex::BIGINT AS vertex, component::BIGINT AS component FROM cc"""
+
+
+def _replay_sql(points: list[tuple[int, str]]) -> str:
+    return f"SELECT query_id, count(DISTINCT component)::BIGINT AS components FROM ({_replay_labels_sql(points)}) GROUP BY query_id"
 
 
 def _replay(spark, sf_dir, points):
@@ -260,6 +264,42 @@ def _(spark, sf_dir):
     return _replay(spark, sf_dir, [(k, lambda last, k=k: last // 3 + 10 * k) for k in range(5)])
 
 
+_KIND_POINTS = [(1, f"{_LAST} // 3", "global"), (2, f"{_LAST} // 2", "cut"), (3, f"{_LAST} // 2 + 10", "kconn"), (4, _LAST, "cut")]
+
+
+def _kinds_sql() -> str:
+    """Components, forest edges of a certificate and the cut of each user, below 3."""
+    text = graphs.EDGES["user_key"].format(**graphs.DUCKDB).replace("SELECT user_id AS u", "SELECT event_id, user_id AS u")
+    points = ", ".join(f"({k}, {at})" for k, at, kind in _KIND_POINTS if kind == "cut")
+    wide = _replay_sql([(k, at) for k, at, kind in _KIND_POINTS if kind != "cut"])
+    return f"""
+WITH o AS MATERIALIZED ({text}), q(query_id, upto) AS (VALUES {points}),
+e AS (SELECT query_id, u, v FROM q JOIN o ON o.event_id <= q.upto GROUP BY query_id, u, v HAVING count(*) % 2 = 1),
+c AS (SELECT q.query_id, x, count(e.u) AS n FROM q CROSS JOIN (SELECT DISTINCT u AS x FROM o) LEFT JOIN e ON e.query_id = q.query_id AND e.u = x GROUP BY q.query_id, x)
+SELECT query_id, -1::BIGINT AS id, CASE WHEN query_id = 1 THEN components ELSE (SELECT count(*) FROM (SELECT u FROM o UNION SELECT v FROM o)) - components END::BIGINT AS value FROM ({wide})
+UNION ALL SELECT query_id::BIGINT, x::BIGINT, CASE WHEN n < 3 THEN n ELSE -1 END::BIGINT FROM c"""
+
+
+@query("replay_kinds", _kinds_sql())
+def _(spark, sf_dir):
+    stream, vertices, v, n = user_key_stream(spark, sf_dir)
+    last = table(spark, sf_dir, "events").agg(F.max("event_id")).first()[0]
+    at = {1: last // 3, 2: last // 2, 3: last // 2 + 10, 4: last}
+    users = stream.select(F.col("u").alias("cut_id"), F.col("u").alias("vertex")).distinct()
+    out = ingest.replay(stream, [(k, at[k], kind) for k, _, kind in _KIND_POINTS], SketchParams.for_edges(v, n, copies=3), vertices, cut_rows=users)
+    made = None
+    for (k, _, kind), (_, _, result) in zip(_KIND_POINTS, out):
+        if kind == "cut":
+            one = result.select(F.col("cut_id").alias("id"), F.coalesce("w", F.lit(-1)).cast("long").alias("value"))
+        elif kind == "kconn":
+            one = result.where("forest_no = 0").agg(F.lit(-1).cast("long").alias("id"), F.count(F.lit(1)).alias("value"))
+        else:
+            one = answered(result).agg(F.lit(-1).cast("long").alias("id"), F.countDistinct("component").alias("value"))
+        one = one.withColumn("query_id", F.lit(k).cast("long"))
+        made = one if made is None else made.unionByName(one)
+    return made
+
+
 # ---------------------------------------------------------------- cuts and certificates
 
 
@@ -380,7 +420,7 @@ _A, _B, _C = buckets.pair31_factors(buckets.CHECK_INDEX + _SMALL.seed)
 
 @query("decode_pair31", f"""
 WITH k AS ({buckets.pair31_oracle(graphs.oracle("page_links"), _SMALL)}),
-g AS (SELECT *, level >= 0 AND xe <> 0 AND (xe >> 32) < (xe & 4294967295) AND (xe & 4294967295) < {_SMALL.v_count}
+g AS (SELECT *, level >= 0 AND xe <> 0 AND (xe >> 32) < (xe & 4294967295) AND (xe & 4294967295) < greatest({_SMALL.v_count}, (SELECT max(v) + 1 FROM ({graphs.oracle("page_links")})))
       AND xc = (({_A} * (xe >> 32)) % 2147483647 + ({_B} * (xe & 4294967295)) % 2147483647 + {_C}) % 2147483647 + 1 AS good FROM k),
 r AS (SELECT *, row_number() OVER (PARTITION BY vertex, sampler ORDER BY level DESC, col) AS k FROM g WHERE good)
 SELECT w.vertex, w.sampler, CASE WHEN r.xe IS NULL THEN 'failed' ELSE 'edge' END AS status, coalesce(r.xe, 0) AS eid
@@ -528,6 +568,35 @@ def _(spark, sf_dir):
     return workloads.hash_work(spark)
 
 
+@query("w_k_laws", f"""SELECT (1::BIGINT << i) AS v, k::INTEGER AS k, (k * {_S} * (8 * i + 1) * 8)::BIGINT AS vertex_bytes, (k * 2 * {_S} * 2 + 2)::INTEGER AS hashes,
+(k * {_S} * 2)::INTEGER AS examined FROM (SELECT i::BIGINT AS i FROM range(6, 21, 2) t(i)), (VALUES (1), (2), (4), (8)) x(k)""")
+def _(spark, sf_dir):
+    rows = [(1 << i, k, p.vertex_bytes, costs.hash_calls(p), costs.buckets_examined(p)) for i in range(6, 21, 2) for k in (1, 2, 4, 8) for p in [SketchParams(1 << i, copies=k)]]
+    return spark.createDataFrame(rows, "v long, k int, vertex_bytes long, hashes int, examined int")
+
+
+@query("sampler_bytes", """SELECT w AS variant, i::INTEGER AS log_n, j::INTEGER AS log_inverse_delta, (56::DOUBLE * j) * i * CASE WHEN w = 'nested' THEN 1::DOUBLE ELSE 2::DOUBLE / 7 END AS bytes
+FROM (VALUES ('nested'), ('one_level')) t(w), range(10, 41, 10) a(i), range(2, 11, 4) b(j)""")
+def _(spark, sf_dir):
+    rows = [(w, i, j, float(costs.sampler_bytes(w, 2.0**i, 2.0**-j))) for w in ("nested", "one_level") for i in range(10, 41, 10) for j in range(2, 11, 4)]
+    return spark.createDataFrame(rows, "variant string, log_n int, log_inverse_delta int, bytes double")
+
+
+@query("sampler_levels", "SELECT e::BIGINT AS most_edges, least(62, ceil(log2(e)) + 2)::INTEGER AS levels, (2 * (2 * least(62, ceil(log2(e)) + 2) * 2 + 1) * 4)::BIGINT AS body_bytes FROM (SELECT (1::BIGINT << i) + 1 AS e FROM range(4, 40, 5) t(i))")
+def _(spark, sf_dir):
+    made = [SketchParams.for_edges(1 << 20, (1 << i) + 1) for i in range(4, 40, 5)]
+    return spark.createDataFrame([((1 << i) + 1, p.levels, p.body_bytes) for i, p in zip(range(4, 40, 5), made)], "most_edges long, levels int, body_bytes long")
+
+
+@query("sketch_currentness", "SELECT e::BIGINT AS epoch, a::BIGINT AS at_seq, a <= e AS is_current FROM (VALUES (10), (20)) t(e), (VALUES (5), (10), (11), (20), (21)) s(a)")
+def _(spark, sf_dir):
+    e, v, n = prepared(spark, sf_dir, "page_links")
+    stream = U.from_edges(e)
+    first = GraphSketch.build(stream.where("u % 2 = 0"), SketchParams.for_edges(v, n), epoch=10)
+    both = first.advance(stream.where("u % 2 = 1"), 20)
+    return spark.createDataFrame([(s.epoch, a, s.is_current(a)) for s in (first, both) for a in (5, 10, 11, 20, 21)], "epoch long, at_seq long, is_current boolean")
+
+
 @query("w_bottlenecks", """SELECT a AS approach, s::DOUBLE AS space, c::DOUBLE AS cpu, n::DOUBLE AS network, d AS dominant FROM (VALUES
 ('adjacency', 2147483648::DOUBLE, 1::DOUBLE, 9::DOUBLE, 'network'), ('lossless distributed', 68800000000::DOUBLE, 17::DOUBLE, 272::DOUBLE, 'network'),
 ('earlier sketch', 5846859776::DOUBLE / (2::DOUBLE / 7), 289::DOUBLE, 9::DOUBLE, 'cpu'), ('one-level sketch', 5846859776::DOUBLE, 17::DOUBLE, 27::DOUBLE, 'cpu')) t(a, s, c, n, d)""")
@@ -577,7 +646,7 @@ def _(spark, sf_dir):
 for _w, _f in {
     "w_ablation": lambda s, d: workloads.ablation(s, d), "w_scaling": lambda s, d: workloads.scaling(s, d), "w_query_split": lambda s, d: workloads.query_split(s, d),
     "w_query_bursts": lambda s, d: workloads.query_bursts(s, d, 3), "w_k_sweep": lambda s, d: workloads.k_sweep(s, d), "w_update_rate": lambda s, d: workloads.update_rate_vs_bits(s, d),
-    "w_sampler_failure": lambda s, d: workloads.sampler_failure(s), "w_many_datasets": lambda s, d: workloads.many_datasets(s, d),
+    "w_sampler_failure": lambda s, d: workloads.sampler_failure(s), "w_many_datasets": lambda s, d: workloads.many_datasets(s, d), "w_measured_bottlenecks": lambda s, d: workloads.measured_bottlenecks(s, d),
 }.items():
     query(_w)(_f)
 
@@ -590,11 +659,16 @@ def _(spark, sf_dir):
     return graphs.edges(spark, sf_dir, "supplier_supplier")
 
 
-@query("rollup_density", "SELECT n_regionkey AS region, c_mktsegment AS segment, count(DISTINCT c_custkey)::BIGINT AS customers, count(*)::BIGINT AS orders FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)")
+@query("rollup_density", f"""WITH e AS ({graphs.oracle('customer_supplier')}), d AS (SELECT u, count(*) AS n FROM e GROUP BY u)
+SELECT n_regionkey AS region, c_mktsegment AS segment, count(*)::BIGINT AS customers, coalesce(sum(n), 0)::BIGINT AS edges, coalesce(sum(n), 0)::DOUBLE / (count(*) * (SELECT count(*) FROM supplier)) AS density
+FROM customer JOIN nation ON c_nationkey = n_nationkey LEFT JOIN d ON u = c_custkey GROUP BY ROLLUP (n_regionkey, c_mktsegment)""")
 def _(spark, sf_dir):
-    o, c, n = (table(spark, sf_dir, t) for t in ("orders", "customer", "nation"))
-    met = o.join(c, o.o_custkey == c.c_custkey).join(F.broadcast(n), c.c_nationkey == n.n_nationkey)
-    return met.rollup(F.col("n_regionkey").alias("region"), F.col("c_mktsegment").alias("segment")).agg(F.countDistinct("c_custkey").alias("customers"), F.count(F.lit(1)).alias("orders"))
+    # the share of all pairs of a customer and a supplier that are edges; degrees are summed before they meet the customers
+    c, n, s = (table(spark, sf_dir, t) for t in ("customer", "nation", "supplier"))
+    degree = graphs.edges(spark, sf_dir, "customer_supplier").groupBy("u").agg(F.count(F.lit(1)).alias("n"))
+    met = c.join(F.broadcast(n), c.c_nationkey == n.n_nationkey).join(degree, F.col("u") == F.col("c_custkey"), "left")
+    told = met.rollup(F.col("n_regionkey").alias("region"), F.col("c_mktsegment").alias("segment")).agg(F.count(F.lit(1)).alias("customers"), F.coalesce(F.sum("n"), F.lit(0)).cast("long").alias("edges"))
+    return told.withColumn("density", F.col("edges").cast("double") / (F.col("customers") * s.count()))
 
 
 @query("cube_updates", "SELECT l_returnflag AS flag, year(l_shipdate)::INTEGER AS y, count(*)::BIGINT AS n FROM lineitem GROUP BY CUBE (l_returnflag, year(l_shipdate))")
@@ -624,18 +698,31 @@ def _(spark, sf_dir):
     return stream.select("seq", F.sum("delta").over(Window.partitionBy("u").orderBy("seq").rowsBetween(Window.unboundedPreceding, Window.currentRow)).alias("live"))
 
 
-@query("asof_component", "SELECT q.event_id AS query_id, s.event_id AS snapshot FROM events q ASOF JOIN (SELECT event_id, user_id, ts FROM events WHERE event_type = 'click') s ON q.user_id = s.user_id AND q.ts >= s.ts")
-def _(spark, sf_dir):
-    # an as-of join by union: the last click of the same user at or before each event
-    ev = table(spark, sf_dir, "events")
-    s = ev.where("event_type = 'click'").select("user_id", "ts", F.col("event_id").alias("snapshot"), F.lit(None).cast("long").alias("query_id"))
-    q = ev.select("user_id", "ts", F.lit(None).cast("long").alias("snapshot"), F.col("event_id").alias("query_id"))
-    w = Window.partitionBy("user_id").orderBy("ts", F.col("query_id").isNotNull(), "snapshot").rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    met = s.unionByName(q).withColumn("snapshot", F.last("snapshot", ignorenulls=True).over(w))
-    return met.where("query_id IS NOT NULL AND snapshot IS NOT NULL").select("query_id", "snapshot")
+_SNAPSHOTS = [(k, f"{_LAST} * {k} // 4") for k in (1, 2, 3)]
 
 
-@query("epoch_range_join", "SELECT e.epoch::BIGINT AS epoch, count(*)::BIGINT AS updates FROM (SELECT k AS epoch, 700 * k AS lo, 700 * (k + 1) AS hi FROM range(0, 1000) t(k)) e JOIN events ON event_id >= lo AND event_id < hi GROUP BY e.epoch")
+@query("asof_component", f"""WITH s(query_id, upto) AS (VALUES {', '.join(f'({k}, {at})' for k, at in _SNAPSHOTS)})
+SELECT a.event_id AS query_id, a.upto::BIGINT AS snapshot, l.component FROM (SELECT event_id, user_id, s.query_id, s.upto FROM events ASOF JOIN s ON event_id >= s.upto) a
+JOIN ({_replay_labels_sql(_SNAPSHOTS)}) l ON l.query_id = a.query_id AND l.vertex = a.user_id""")
+def _(spark, sf_dir):
+    # an as-of join: the snapshot at or before an event is found among the few snapshots in its row, then both meet on
+    # (snapshot, vertex); a window by user would put a hot user's events into one task
+    stream, vertices, v, n = user_key_stream(spark, sf_dir)
+    ev = table(spark, sf_dir, "events").select("event_id", "user_id")
+    last = ev.agg(F.max("event_id")).first()[0]
+    points = {k: last * k // 4 for k in (1, 2, 3)}
+    out = ingest.replay(stream, [(k, at, "global") for k, at in points.items()], SketchParams.for_edges(v, n), vertices)
+    labels = None
+    for k, _, result in out:
+        one = answered(result).select("vertex", "component", F.lit(points[k]).cast("long").alias("snapshot"))
+        labels = one if labels is None else labels.unionByName(one)
+    at = F.array(*[F.lit(x).cast("long") for x in points.values()])
+    seen = ev.withColumn("snapshot", F.array_max(F.filter(at, lambda x: x <= F.col("event_id")))).where("snapshot IS NOT NULL")
+    met = seen.join(labels.withColumnRenamed("vertex", "user_id"), ["snapshot", "user_id"])
+    return met.select(F.col("event_id").alias("query_id"), "snapshot", "component")
+
+
+@query("epoch_range_join", "SELECT (event_id // 700)::BIGINT AS epoch, count(*)::BIGINT AS updates FROM events WHERE event_id >= 0 GROUP BY 1")
 def _(spark, sf_dir):
     # a range join by bins: epochs and events meet on the bin that the range covers; epochs reach the last event
     last = table(spark, sf_dir, "events").agg(F.max("event_id").alias("last")).first().last

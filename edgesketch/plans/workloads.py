@@ -18,15 +18,15 @@ from edgesketch.operators.batching import BatchPolicy
 from edgesketch.operators.forest import spanning_forest
 from edgesketch.operators.reach import hashed_pairs
 from edgesketch.operators.sketch import GraphSketch
-from edgesketch.plans import accuracy, costs
+from edgesketch.plans import accuracy, costs, tasks
 from edgesketch.sources import generate, graphs
 from edgesketch.sources import updates as U
 from edgesketch.tables import materialize, scratch_scope
 
 
 def prepared(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, int, int]:
-    """(edges in the shared folder, V bound, E) of a named graph."""
-    e = materialize(graphs.edges(spark, sf_dir, name), "graph")
+    """(edges in the shared folder, V bound, E) of a named graph, or of the two cliques of ``planted_cut``."""
+    e = materialize(generate.planted_cut(spark, 64, 6) if name == "planted_cut" else graphs.edges(spark, sf_dir, name), "graph")
     r = e.agg(F.max("v").alias("v"), F.count(F.lit(1)).alias("n")).first()
     return e, int(r.v or 0) + 1, int(r.n)
 
@@ -184,7 +184,7 @@ def user_key_stream(spark: SparkSession, sf_dir: str) -> tuple[DataFrame, DataFr
     return stream, vertices, int(r.v) + 1, int(r.n)
 
 
-def k_sweep(spark: SparkSession, sf_dir: str, ks=(1, 2, 4, 8), names=("part_supplier", "supplier_supplier")) -> DataFrame:
+def k_sweep(spark: SparkSession, sf_dir: str, ks=(1, 2, 4, 8), names=("part_supplier", "supplier_supplier", "planted_cut")) -> DataFrame:
     """Rate, bytes, query time and traffic by k, side by side."""
     rows = []
     for name in names:
@@ -256,6 +256,27 @@ def bottleneck_summary(spark: SparkSession, v: int = 1 << 17, e: int = 4_300_000
     return spark.createDataFrame(rows, "approach string, space double, cpu double, network double, dominant string")
 
 
+def measured_bottlenecks(spark: SparkSession, sf_dir: str, name: str = "part_supplier") -> DataFrame:
+    """What each approach's tasks did on a churned stream: time, JVM share, bytes shuffled against the stream's, and what dominates."""
+    e, v, n = prepared(spark, sf_dir, name)
+    stream, total = materialize(U.churn(e), "stream"), 13 * n
+    ways = {
+        "read": lambda: exact.acquire(stream), "scatter": lambda: exact.scatter(stream),
+        "bit matrix": lambda: exact.adjacency_bits(stream, v).write.format("noop").mode("overwrite").save(),
+        "adjacency list": lambda: exact.adjacency_list(stream).write.format("noop").mode("overwrite").save(),
+        "star components": lambda: exact.components(e).write.format("noop").mode("overwrite").save(),
+        "nested raw": lambda: GraphSketch.build(stream, SketchParams.for_edges(v, n, variant="nested"), BatchPolicy("raw")),
+        "one-level raw": lambda: GraphSketch.build(stream, SketchParams.for_edges(v, n), BatchPolicy("raw")),
+        "one-level hybrid": lambda: GraphSketch.build(stream, SketchParams.for_edges(v, n)),
+    }
+    rows = []
+    for approach, run in ways.items():
+        with scratch_scope(spark), tasks.measured(spark) as r:
+            run()
+        rows.append((approach, r.seconds, r.tasks, r.run_s, r.jvm_share, r.shuffle_written, r.shuffle_written / (total * costs.UPDATE_BYTES), r.spilled, r.dominant))
+    return spark.createDataFrame(rows, "approach string, seconds double, tasks int, task_s double, jvm_share double, shuffled_bytes long, shuffled_to_stream double, spilled_bytes long, dominant string")
+
+
 def counted_work(n: int = 1000, v: int = 4096) -> dict[str, tuple[float, float]]:
     """Levels examined and buckets written for each update by the kernels themselves."""
     import numpy as np

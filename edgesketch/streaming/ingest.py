@@ -8,10 +8,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import SketchParams
+from edgesketch.operators import certificate, cuts
 from edgesketch.operators.batching import BatchPolicy, sketched_rows
 from edgesketch.operators.cache import ForestCache
 from edgesketch.operators.sketch import GraphSketch, read_bodies, write_bodies, xor_bodies
 from edgesketch.sources.updates import endpoints, live_edges
+from edgesketch.tables import materialize
+
+QUERY_KINDS = ("global", "pairs", "kconn", "cut")
 
 
 def batch_path(path: str, batch_id: int) -> str:
@@ -75,44 +79,68 @@ def gather(stream: DataFrame, params: SketchParams, groups: int = 64, alpha: flo
     return ends.groupBy("g").transformWithStateInPandas(Gather(), "vertex long, eids array<long>", "Append", "None")
 
 
-def replay(updates: DataFrame, query_points: list[tuple[int, int, str]], params: SketchParams, vertices: DataFrame, policy: BatchPolicy = BatchPolicy(), cached: bool = True, pairs: DataFrame | None = None, told: Callable[[int, object], None] | None = None) -> list[tuple[int, str, object]]:
+def replay(updates: DataFrame, query_points: list[tuple[int, int, str]], params: SketchParams, vertices: DataFrame, policy: BatchPolicy = BatchPolicy(), cached: bool = True, pairs: DataFrame | None = None, told: Callable[[int, object], None] | None = None, cut_rows: DataFrame | None = None) -> list[tuple[int, str, object]]:
     """Queries between updates, each over the committed prefix: (query_id, state, result) in order.
 
-    ``query_points``: (query_id, at_seq, kind), kind ``global`` or ``pairs``. The sketch advances only
-    when an answer needs it; the cache answers the rest of a burst. ``told`` is called after each answer.
+    ``query_points``: (query_id, at_seq, kind). A kind is ``global`` (a forest), ``pairs`` (reachability of
+    ``pairs``), ``kconn`` (a certificate of as many forests as the sketch has copies) or ``cut`` (the values
+    of ``cut_rows`` in such a certificate). The sketch advances only when an answer needs it; the forest
+    cache answers the rest of a burst, and a certificate holds until an update follows it. An incomplete
+    certificate raises. ``told`` is called after each answer.
     """
+    for _, _, kind in query_points:
+        if kind not in QUERY_KINDS or kind == "pairs" and pairs is None or kind == "cut" and cut_rows is None:
+            raise ValueError(f"a query of kind {kind} is unknown or lacks its rows")
     sketch: GraphSketch | None = None
     done = -1
     cache = ForestCache(vertices)
     at_cached = -1
+    peeled: tuple[int, DataFrame] | None = None
     out = []
 
+    def between(after: int, upto: int) -> DataFrame:
+        return updates.where((F.col("seq") > after) & (F.col("seq") <= upto))
+
     def at(seq: int) -> Callable[[], GraphSketch]:
         def build() -> GraphSketch:
             nonlocal sketch, done
-            window = updates.where((F.col("seq") > done) & (F.col("seq") <= seq))
             if sketch is None:
-                sketch = GraphSketch.build(window, params, policy, epoch=seq)
+                sketch = GraphSketch.build(between(done, seq), params, policy, epoch=seq)
             elif seq > done:
-                sketch = sketch.advance(window, seq, policy)
+                sketch = sketch.advance(between(done, seq), seq, policy)
             done = max(done, seq)
             return sketch
 
         return build
 
+    def certified(seq: int) -> tuple[str, DataFrame]:
+        nonlocal peeled
+        state = "exact"
+        if peeled is None or not cached or not between(peeled[0], seq).isEmpty():
+            state = "cold"
+            made, complete = certificate.peel(at(seq)(), params.copies, vertices)
+            if not complete:
+                raise RuntimeError(f"the certificate at {seq} is incomplete")
+            peeled = seq, materialize(made, "certificate")
+        return state, peeled[1]
+
     for query_id, seq, kind in sorted(query_points, key=lambda q: (q[1], q[0])):
         if not cached:
             cache = ForestCache(vertices)
             at_cached = -1
-        window = updates.where((F.col("seq") > at_cached) & (F.col("seq") <= seq))
-        if kind == "pairs" and pairs is not None:
+        if kind in ("kconn", "cut"):
+            state, result = certified(seq)
+            if kind == "cut":
+                result = cuts.cut_values(result, cut_rows, params.copies)
+        elif kind == "pairs":
             held = cache.at_seq
-            result = cache.reachable(pairs, window, at(seq), seq)
+            result = cache.reachable(pairs, between(at_cached, seq), at(seq), seq)
             at_cached = seq if cache.at_seq != held else at_cached
+            state = cache.last_state
         else:
-            result = cache.query(at(seq), window, seq)
-            at_cached = seq
-        out.append((query_id, cache.last_state, result))
+            result = cache.query(at(seq), between(at_cached, seq), seq)
+            at_cached, state = seq, cache.last_state
+        out.append((query_id, state, result))
         if told is not None:
             told(query_id, result)
     return out
