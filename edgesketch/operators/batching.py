@@ -102,33 +102,24 @@ def route(ends: DataFrame, params: SketchParams, policy: BatchPolicy = BatchPoli
     return ends.mapInArrow(work, ROUTED)
 
 
-def merge_routed(routed: DataFrame, params: SketchParams, raw_only: bool = False) -> DataFrame:
+def merge_routed(routed: DataFrame, params: SketchParams, mode: str = "hybrid") -> DataFrame:
     """(vertex, body) of all samplers: the one shuffle by vertex, then bodies xored and raw ids applied in a sorted stream.
 
-    Where all rows are raw, equal ones cancel in pairs by an aggregate that keeps that partitioning,
-    so that repeated updates of an edge never leave the JVM.
+    Equal rows cancel in pairs by an aggregate that keeps that partitioning, so that repeated updates of
+    an edge are neither sorted nor leave the JVM. Deltas are keys of it too: two equal bodies cancel like
+    two equal ids. A stream of deltas alone has too few equal rows for it to pay.
     """
-    n = parts(routed.sparkSession)
-    if raw_only:
-        dealt = routed.select("vertex", "eid").repartition(n, "vertex").groupBy("vertex", "eid").agg(F.count(F.lit(1)).alias("n")).where("n % 2 = 1")
-        dealt = dealt.select("vertex", "eid", F.lit(None).cast("binary").alias("body")).sortWithinPartitions("vertex")
-    else:
-        dealt = routed.select("vertex", "eid", "body").repartition(n, "vertex").sortWithinPartitions("vertex", "eid")
-    return dealt.mapInArrow(_reducer(params), "vertex long, body binary")
+    dealt = routed.select("vertex", "eid", "body").repartition(parts(routed.sparkSession), "vertex")
+    if mode in ("raw", "tree"):
+        dealt = dealt.groupBy("vertex", "eid").agg(F.count(F.lit(1)).alias("n")).where("n % 2 = 1").select("vertex", "eid", F.lit(None).cast("binary").alias("body"))
+    elif mode == "hybrid":
+        dealt = dealt.groupBy("vertex", "eid", "body").agg(F.count(F.lit(1)).alias("n")).where("n % 2 = 1").select("vertex", "eid", "body")
+    return dealt.sortWithinPartitions("vertex").mapInArrow(_reducer(params), "vertex long, body binary")
 
 
 def sketched_rows(ends: DataFrame, params: SketchParams, policy: BatchPolicy = BatchPolicy()) -> DataFrame:
     """(vertex, body) of endpoint rows under a policy."""
-    return merge_routed(route(ends, params, policy), params, policy.mode in ("raw", "tree"))
-
-
-def _odd_ones(group: np.ndarray, eid: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of equal (group, eid), which lie side by side, cancel in pairs over GF(2)."""
-    new = np.ones(len(eid), bool)
-    new[1:] = (eid[1:] != eid[:-1]) | (group[1:] != group[:-1])
-    head = np.flatnonzero(new)
-    head = head[np.diff(np.append(head, len(eid))) % 2 == 1]
-    return group[head], eid[head]
+    return merge_routed(route(ends, params, policy), params, policy.mode)
 
 
 def body_words(column, words: int) -> np.ndarray:
@@ -175,8 +166,7 @@ def _reducer(params: SketchParams):
                     tail = None
                 raw = eid[a:b] >= 0
                 if raw.any():
-                    rows, ids = _odd_ones(group[raw], eid[a:b][raw])
-                    kernel.toggle(body, rows, ids.view(np.uint64))
+                    kernel.toggle(body, group[raw], eid[a:b][raw].view(np.uint64))
                 for k in np.flatnonzero(~raw).tolist():
                     body[group[k]] ^= np.frombuffer(cells[a + k].as_buffer(), np.uint64)
                 tail = (int(some[-1]), body[-1].copy())

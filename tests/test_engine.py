@@ -11,7 +11,7 @@ from edgesketch.operators.batching import BatchPolicy, route
 from edgesketch.operators.forest import spanning_forest
 from edgesketch.operators.reach import reachable
 from edgesketch.operators.sketch import GraphSketch
-from edgesketch.plans import accuracy, costs, workloads
+from edgesketch.plans import accuracy, costs, tasks, workloads
 from edgesketch.sources import generate
 from edgesketch.sources import io as files
 from edgesketch.sources import updates as U
@@ -158,6 +158,44 @@ def test_random_replays_with_deletions(spark):
         assert labels(r) == truth(net, range(14))
 
 
+def test_replay_answers_certificates_and_cuts(spark):
+    # a ring of ten and a chord; an edge of the ring goes and comes back
+    ring = [(i, i, i + 1, 1) for i in range(9)] + [(9, 0, 9, 1), (10, 2, 7, 1)]
+    stream = spark.createDataFrame([*ring, (11, 0, 1, -1), (12, 0, 1, 1)], "seq long, u long, v long, delta tinyint")
+    vertices = spark.range(10).toDF("vertex")
+    single = vertices.select(F.col("vertex").alias("cut_id"), "vertex")
+    points = [(0, 10, "cut"), (1, 10, "kconn"), (2, 11, "cut"), (3, 11, "global"), (4, 12, "kconn")]
+    for cached in (True, False):
+        out = ingest.replay(stream, points, SketchParams(10, copies=3), vertices, cached=cached, cut_rows=single)
+        degrees = {r.cut_id: None if r.unbounded else r.w for r in out[0][2].collect()}
+        assert degrees == {i: None if i in (2, 7) else 2 for i in range(10)}
+        assert {r.cut_id: r.w for r in out[2][2].collect()} == {**degrees, 0: 1, 1: 1}
+        assert [cuts.min_cut(out[k][2], vertices, 3) for k in (1, 4)] == [2, 2]
+        assert labels(out[3][2]) == dict.fromkeys(range(10), 0)
+        assert [s for _, s, _ in out] == (["cold", "exact", "cold", "cold", "cold"] if cached else ["cold"] * 5)
+    for kind in ("cut", "pairs", "other"):
+        with pytest.raises(ValueError):
+            ingest.replay(stream, [(0, 1, kind)], SketchParams(10), vertices)
+
+
+def test_task_measures(spark):
+    stream = U.from_edges(frame(spark, random_edges(400, 60, 3))).repartition(4)
+    with tasks.measured(spark) as read:
+        spark.range(1000, numPartitions=2).write.format("noop").mode("overwrite").save()
+    assert read.tasks == 2 and read.shuffle_written == 0 and read.seconds > 0
+    with tasks.measured(spark) as sent:
+        exact.scatter(stream)
+    assert sent.shuffle_written > 0 and 0 < sent.jvm_share and sent.dominant in ("jvm", "python and reading", "shuffle")
+
+
+def test_deltas_and_ids_that_come_twice_cancel(spark):
+    hub = [(k, 0, k % 50 + 1, 1) for k in range(400)] + [(400 + k, k + 1, 60, 1) for k in range(8)]
+    stream = spark.createDataFrame(hub, "seq long, u long, v long, delta tinyint").coalesce(1)
+    p = SketchParams(64)
+    bodies = {m: {r.vertex: bytes(r.body) for r in GraphSketch.build(stream, p, BatchPolicy(m, 1.0, 0.04)).bodies.collect()} for m in ("raw", "delta", "hybrid")}
+    assert bodies["raw"] == bodies["delta"] == bodies["hybrid"] and set(bodies["raw"]) == {*range(1, 9), 60}
+
+
 def test_certificates_and_cuts(spark):
     for across in (1, 2, 3):
         e = generate.planted_cut(spark, 6, across)
