@@ -151,14 +151,17 @@ def train(texts: list[str], labels: list[int], dimensions: int = DIMENSIONS, epo
 
 
 def training_rows(docs: DataFrame, labels: DataFrame, column: str = "quality", train_rows: int = TRAIN_ROWS) -> tuple[list[str], list[int]]:
-    """At most ``train_rows`` whole texts of each class, of rows that are not held out."""
-    usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(column).cast("int").alias("y")).where(F.col("y").isin(0, 1) & ~held_out(F.col("doc_id"))).dropDuplicates(["doc_id"])
+    """At most ``train_rows`` whole texts of each class, of rows that are not held out.
+
+    A doc_id with several labels or texts takes the least of each, so that the model depends on no order of rows.
+    """
+    usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(column).cast("int").alias("y")).where(F.col("y").isin(0, 1) & ~held_out(F.col("doc_id"))).groupBy("doc_id").agg(F.min("y").alias("y"))
     drawn = [usable.where(F.col("y") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(train_rows) for y in (0, 1)]
     chosen = [(r.doc_id, r.y) for part in drawn for r in part.collect()]  # bounded by train_rows
     if not chosen:
         return [], []
     small = docs.sparkSession.createDataFrame(chosen, "doc_id long, y int")
-    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(small), "doc_id").dropDuplicates(["doc_id"])
+    found = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(small), "doc_id").groupBy("doc_id", "y").agg(F.min("text").alias("text"))
     got = sorted((r.doc_id, r.y, r.text or "") for r in found.toLocalIterator())
     return [t for _, _, t in got], [y for _, y, _ in got]
 
@@ -169,7 +172,7 @@ def held_out(doc_id):
 
 
 def classify(docs: DataFrame, labels: DataFrame, column: str = "quality", threshold: float = THRESHOLD, train_rows: int = TRAIN_ROWS) -> DataFrame:
-    """doc_id, held_out, score and predicted of every document."""
+    """doc_id, held_out, score and predicted of every row; equal texts score alike, repeated rows stay."""
     model = docs.sparkSession.sparkContext.broadcast(train(*training_rows(docs, labels, column, train_rows)))
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -92,7 +92,7 @@ def unpack_ids(payload: bytes, at: list[int], n_ids: int, planes: str = "byte",
 
 
 def write(docs: DataFrame, path: str, vocabulary: str | None = None, end_id: int = END_ID, planes: str = "byte", block_ids: int = BLOCK_IDS, segment_ids: int = SEGMENT_IDS) -> None:
-    """Writes the ids of all documents in ascending doc_id order."""
+    """Writes the ids of all documents in ascending doc_id order: null ids first, rows of one id by a hash of their text, repeated rows each."""
     spark = docs.sparkSession
     source = vocabulary or vocabulary_path()
     proven = spark.sparkContext.broadcast(_proof(source))

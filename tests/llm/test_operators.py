@@ -305,6 +305,28 @@ def test_token_files_round_trip(spark, docs, library, planes, tmp_path):
     assert (one == token_files.unpack_ids(r.payload, r.plane_at, r.n_ids, planes, 100)[: len(one)]).all()
 
 
+def test_repeated_rows_and_empty_tables(spark, library, tmp_path):
+    rows = fixture()[:6]
+    rows += rows[:4] + [(2, "another text under the same id"), (None, "no id"), (None, None)]
+    twice = frame(spark, rows, lambda i: "src")
+    key = lambda x: (x is not None, x or 0)
+    size = lambda t: len(library.encode(t or "", add_special_tokens=False).ids)
+    token_files.write(twice, str(tmp_path / "twice"), segment_ids=50)
+    got = sorted(((r.doc_id, r.start, r.n_tokens) for r in token_files.digests(spark, str(tmp_path / "twice")).collect()), key=lambda r: r[1])
+    assert [d for d, _, _ in got] == sorted((d for d, _ in rows), key=key)
+    assert [a for _, a, _ in got] == [0, *np.cumsum([n for _, _, n in got])[:-1].tolist()]
+    assert sorted(n for _, _, n in got) == sorted(size(t) + 1 for _, t in rows)
+    counted = [(r.doc_id, r.n_tokens) for r in tokens.token_counts(twice).collect()]
+    assert sorted(counted, key=str) == sorted(((d, size(t)) for d, t in rows), key=str)
+    bench = spark.createDataFrame([(0, rows[1][1]), (0, rows[1][1])], "item_id long, text string")
+    hits = [(r.doc_id, r.n_items) for r in decontam.scan(twice, bench).collect()]
+    assert len(hits) == len(rows) and hits.count((1, 1)) == 2 and sum(n for _, n in hits) == 2
+    packed = packing.pack(packing.token_sizes(twice), (64, 128, 256))
+    assert packed.agg(F.sum("length")).first()[0] == packing.token_sizes(twice).agg(F.sum("n_tokens")).first()[0]
+    token_files.write(empty(spark), str(tmp_path / "none"))
+    assert token_files.digests(spark, str(tmp_path / "none")).isEmpty()
+
+
 def test_planes():
     ids = np.array([0, 1, 50256, 2**32 - 1, 7] * 31, "<u4")
     for planes in ("byte", "bit"):
@@ -611,6 +633,14 @@ def test_classifier(spark):
     assert classifier.classify(empty(spark), labels).isEmpty()
 
 
+def test_classifier_of_repeated_ids(spark):
+    rng = random.Random(13)
+    rows = [(i, prose(rng, 20) if i % 2 else "spam " * 20) for i in range(40)] + [(i, prose(rng, 20)) for i in range(10)] + [(3, None)]
+    labels = [(i, i % 2, "en") for i in range(40)] + [(i, 1 - i % 2, "en") for i in range(5)]
+    told = lambda r, n: sorted((x.doc_id, x.score) for x in classifier.classify(frame(spark, r), spark.createDataFrame(n, "doc_id long, quality int, lang string")).collect())
+    assert told(rows, labels) == told(rows[::-1], labels[::-1]) and len(told(rows, labels)) == len(rows)
+
+
 # ---------------------------------------------------------------- kernels and the pipeline
 
 
@@ -656,3 +686,11 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     assert item not in seen[3][53].text and all(seen[3][d].text == r.text for d, r in seen[2].items() if d != 53)
     assert {r.doc_id for r in P.run(spark, str(tmp_path)).collect()} == set(seen[3]) == set(seen[4])
     assert docs.agg(F.sum("length")).first()[0] == packing.token_sizes(spark.read.parquet(str(tmp_path / "s3"))).agg(F.sum("n_tokens")).first()[0]
+
+
+def test_pipeline_of_empty_tables(spark, tmp_path):
+    import corpus_pipeline as P
+
+    frame(spark, []).write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
+    assert P.run(spark, str(tmp_path)).isEmpty()
