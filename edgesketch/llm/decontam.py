@@ -2,9 +2,10 @@
 
 Words are ``[^\\x00-\\x2F\\x3A-\\x60\\x7B-\\x7F]+`` of the text with A-Z lower-cased. A window is
 ``width`` consecutive words of an item; an item of fewer words, but not none, is one window. The
-windows of the items are hashed and broadcast in blocks of a fixed byte size; every token window of
-every document is looked up in the set (NumPy over the whole Arrow batch), each hit is verified
-against the item's words, and the verified spans mark the words to remove.
+windows of the items are hashed and broadcast in blocks of a fixed byte size, one pass over the
+documents for each block; every token window of every document is looked up in the set (NumPy over
+the whole Arrow batch), each hit is verified against the item's words, and the verified spans mark
+the words to remove.
 
 Defined results: a null or empty text has no words and no hits; an item without words has no
 window; repeated item ids count once; repeated document rows give one row each; an empty table gives
@@ -19,127 +20,173 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, LongType, StringType, StructType
 
 from edgesketch.llm import textkit as K
-from edgesketch.llm.common import table, text_slices
+from edgesketch.llm.common import materialize, table, text_slices
 
 WIDTH = 10
 #: Bytes of item text in one broadcast block; a larger benchmark takes more blocks, one pass each.
-BLOCK_BYTES = 32 << 20
+BLOCK_BYTES = 8 << 20
 
 
 class WindowSet:
-    """Sorted window hashes of a block of items, with the items and the words of each window."""
+    """The windows of a block of items by rising hash, with where their words lie in one body of words."""
 
     def __init__(self, items: list[tuple[object, str | None]], width: int = WIDTH):
-        rows: list[tuple[int, int, bytes, str]] = []
         data, offsets = K.raw(pa.array([t or "" for _, t in items], pa.large_string()))
         starts, ends, first = K.words(data, offsets, K.ALNUM)
         folded = K.FOLDED[data]
         hashes = K.span_hash(K.prefix_sums(folded), starts, ends)
-        by_length = {n: K.window_hash(hashes, n) for n in range(1, width + 1)}
-        for k, (item, _) in enumerate(items):
-            a, b = int(first[k]), int(first[k + 1])
-            n = min(width, b - a)
-            for i in range(a, b - n + 1 if n else a):
-                words = b" ".join(folded[starts[j] : ends[j]].tobytes() for j in range(i, i + n))
-                rows.append((n, int(by_length[n][i]), words, str(item)))
-        self.width = width
-        self.sets: dict[int, np.ndarray] = {}
-        self.items: dict[tuple[int, bytes], set[str]] = {}
-        for n in sorted({r[0] for r in rows}):
-            self.sets[n] = np.unique(np.array([r[1] for r in rows if r[0] == n], np.uint64))
-        for n, _, words, item in rows:
-            self.items.setdefault((n, words), set()).add(item)
+        self.ids = [str(item) for item, _ in items]
+        self.body = b" ".join(folded[s:e].tobytes() for s, e in zip(starts.tolist(), ends.tolist()))
+        to = np.cumsum(ends - starts + 1) - 1
+        counts = np.diff(first)
+        #: for each length of window: hashes, first byte, byte after the last, and number of the item
+        self.sets: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
         # a 2**20-bit first test of the top bits keeps the sorted look-up for the few that pass it
-        self.gate = {}
-        for n, s in self.sets.items():
-            gate = np.zeros(1 << 20, bool)
-            gate[(s >> np.uint64(44)).astype(np.int64)] = True
-            self.gate[n] = gate
-
-    def find(self, column) -> tuple[np.ndarray, np.ndarray, np.ndarray, list, list[set[str]], tuple]:
-        """(first word of each text, hit starts, hit lengths, spans of words, items of each text)."""
+        self.gate: dict[int, np.ndarray] = {}
+        for n in np.unique(np.minimum(counts[counts > 0], width)).tolist():
+            if n < width:
+                item = np.flatnonzero(counts == n)
+                at = first[item]
+            else:
+                at = np.arange(max(0, len(starts) - n + 1))
+                item = K.owner(first, at)
+                whole = at + n <= first[item + 1]
+                at, item = at[whole], item[whole]
+            h = K.window_hash(hashes, n)[at]
+            order = np.argsort(h, kind="stable")
+            at, item = at[order], item[order]
+            self.sets[n] = h[order], to[at] - (ends - starts)[at], to[at + n - 1], item
+            self.gate[n] = np.zeros(1 << 20, bool)
+            self.gate[n][(h >> np.uint64(44)).astype(np.int64)] = True
+
+    def find(self, column) -> tuple[np.ndarray, np.ndarray, np.ndarray, list, list[set[str]], np.ndarray]:
+        """(first word of each text, hit starts, hit lengths, spans of words, items of each text, first bytes)."""
         data, offsets = K.raw(column)
         starts, ends, first = K.words(data, offsets, K.ALNUM)
         folded = K.FOLDED[data]
         hashes = K.span_hash(K.prefix_sums(folded), starts, ends)
         found_at, found_len = [], []
         items: list[set[str]] = [set() for _ in range(len(offsets) - 1)]
-        for n, known in self.sets.items():
+        for n, (known, low, high, item) in self.sets.items():
             h = K.window_hash(hashes, n)
             maybe = np.flatnonzero(self.gate[n][(h >> np.uint64(44)).astype(np.int64)])
             if not len(maybe):
                 continue
-            where = np.minimum(np.searchsorted(known, h[maybe]), len(known) - 1)
-            maybe = maybe[known[where] == h[maybe]]
+            lo, hi = np.searchsorted(known, h[maybe]), np.searchsorted(known, h[maybe], side="right")
+            maybe, lo, hi = maybe[lo < hi], lo[lo < hi], hi[lo < hi]
             text = K.owner(first, maybe)
             keep = maybe + n <= first[text + 1]
-            for i, k in zip(maybe[keep].tolist(), text[keep].tolist()):
+            for i, k, a, b in zip(maybe[keep].tolist(), text[keep].tolist(), lo[keep].tolist(), hi[keep].tolist()):
                 words = b" ".join(folded[s:e].tobytes() for s, e in zip(starts[i : i + n].tolist(), ends[i : i + n].tolist()))
-                if (n, words) in self.items:
+                got = [self.ids[item[j]] for j in range(a, b) if self.body[low[j] : high[j]] == words]
+                if got:
                     found_at.append(i)
                     found_len.append(n)
-                    items[k] |= self.items[n, words]
-        return first, np.array(found_at, np.int64), np.array(found_len, np.int64), [starts, ends], items, (data, offsets)
+                    items[k].update(got)
+        return first, np.array(found_at, np.int64), np.array(found_len, np.int64), [starts, ends], items, offsets
 
 
-def window_blocks(benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> list:
-    """Broadcast window sets, each of at most about ``block_bytes`` of item text."""
+def window_blocks(benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> Iterator[Broadcast]:
+    """Broadcast window sets, each of about ``block_bytes`` of item text, made one at a time."""
     spark = benchmark.sparkSession
     size = benchmark.select(F.sum(F.octet_length("text")).alias("b")).first().b or 0
     blocks = max(1, -(-size // block_bytes))
-    out = []
     for k in range(blocks):
-        part = benchmark.where(F.pmod(F.xxhash64("item_id"), F.lit(blocks)) == k).select("item_id", "text")
-        out.append(spark.sparkContext.broadcast(WindowSet([(r.item_id, r.text) for r in part.toLocalIterator()], width)))
-    return out
+        part = benchmark.where(F.pmod(F.xxhash64("item_id", "text"), F.lit(blocks)) == k).select("item_id", "text")
+        yield spark.sparkContext.broadcast(WindowSet([(r.item_id, r.text) for r in part.toLocalIterator()], width))
 
 
-SCAN = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<struct<first:long,last:long>>"
+#: What earlier passes found: runs of hit words of a text, and the items.
+RUNS, ITEMS = "__es_runs", "__es_items"
 _SPANS = pa.list_(pa.struct([("first", pa.int64()), ("last", pa.int64())]))
 
 
+class Marks:
+    """The hit words and items of a slice of texts, of this block and of those before."""
+
+    def __init__(self, batch: pa.RecordBatch, block: WindowSet):
+        first, at, length, (self.starts, self.ends), self.items, self.offsets = block.find(batch.column("text"))
+        hit = K.covered(int(first[-1]), at, length)
+        if RUNS in batch.schema.names:
+            for k, (runs, items) in enumerate(zip(batch.column(RUNS).to_pylist(), batch.column(ITEMS).to_pylist())):
+                self.items[k].update(items)
+                for run in runs:
+                    hit[first[k] + run["first"] : first[k] + run["last"]] = True
+        total = np.concatenate([[0], np.cumsum(hit)])
+        self.first, self.n_words, self.n_hit = first, np.diff(first), total[first[1:]] - total[first[:-1]]
+        #: (first word, word after the last) of each run, counted within its text
+        self.runs: list[list[tuple[int, int]]] = [[] for _ in self.items]
+        for k in np.flatnonzero(self.n_hit).tolist():
+            edge = np.diff(np.concatenate([[0], hit[first[k] : first[k + 1]].astype(np.int8), [0]]))
+            self.runs[k] = list(zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist()))
+
+    def spans(self, k: int) -> list[tuple[int, int]]:
+        """Byte ranges of the runs of text ``k``."""
+        f, o = self.first[k], self.offsets[k]
+        return [(int(self.starts[f + a] - o), int(self.ends[f + b - 1] - o)) for a, b in self.runs[k]]
+
+
+def _pairs(runs: list[list[tuple[int, int]]]) -> pa.Array:
+    return pa.array([[{"first": a, "last": b} for a, b in x] for x in runs], _SPANS)
+
+
+def _earlier_passes(docs: DataFrame, benchmark: DataFrame, width: int, block_bytes: int) -> tuple[DataFrame, Broadcast]:
+    """The documents with what all blocks but the last find in them, and the last block.
+
+    Each of these passes is written before the next, so that no task holds two blocks.
+    """
+    blocks = window_blocks(benchmark, width, block_bytes)
+    block = next(blocks)
+    for k, following in enumerate(blocks):
+        schema = StructType([f for f in docs.schema if f.name not in (RUNS, ITEMS)])
+        schema = schema.add(RUNS, ArrayType(StructType().add("first", LongType()).add("last", LongType()))).add(ITEMS, ArrayType(StringType()))
+
+        def mark(batches: Iterator[pa.RecordBatch], block=block) -> Iterator[pa.RecordBatch]:
+            for whole in batches:
+                for batch in text_slices(whole, "text"):
+                    marks = Marks(batch, block.value)
+                    cols = [(n, c) for n, c in zip(batch.schema.names, batch.columns) if n not in (RUNS, ITEMS)]
+                    cols += [(RUNS, _pairs(marks.runs)), (ITEMS, pa.array([sorted(x) for x in marks.items], pa.list_(pa.string())))]
+                    yield pa.RecordBatch.from_arrays([c for _, c in cols], names=[n for n, _ in cols])
+
+        docs = materialize(docs.mapInArrow(mark, schema), f"marks-{k}")
+        block.unpersist()
+        block = following
+    return docs, block
+
+
+SCAN = "doc_id long, n_words long, n_hit long, n_items long, items_sha256 string, contaminated boolean, spans array<struct<first:long,last:long>>"
+
+
 def scan(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, block_bytes: int = BLOCK_BYTES) -> DataFrame:
     """One row per document: word counts, the items found, and byte spans of the hit runs."""
-    blocks = window_blocks(benchmark, width, block_bytes)
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    docs, block = _earlier_passes(docs, benchmark, width, block_bytes)
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in text_slices(whole, "text"):
-                marks, items = None, [set() for _ in range(batch.num_rows)]
-                for block in blocks:
-                    first, at, length, (starts, ends), got, (_, offsets) = block.value.find(batch.column("text"))
-                    hit = K.covered(int(first[-1]), at, length)
-                    marks = hit if marks is None else marks | hit
-                    items = [a | b for a, b in zip(items, got)]
-                total = np.concatenate([[0], np.cumsum(marks)])
-                spans: list[list[dict]] = [[] for _ in items]
-                # a run of hit words ends where the text does
-                edge = np.diff(np.concatenate([[0], marks.astype(np.int8), [0]]))
-                for s, e in zip(np.flatnonzero(edge == 1).tolist(), np.flatnonzero(edge == -1).tolist()):
-                    while s < e:
-                        k = int(K.owner(first, np.array([s]))[0])
-                        stop = min(e, int(first[k + 1]))
-                        spans[k].append({"first": int(starts[s] - offsets[k]), "last": int(ends[stop - 1] - offsets[k])})
-                        s = stop
-                n_hit = total[first[1:]] - total[first[:-1]]
+                marks = Marks(batch, block.value)
                 yield pa.RecordBatch.from_arrays(
                     [
                         batch.column("doc_id"),
-                        pa.array(np.diff(first), pa.int64()),
-                        pa.array(n_hit, pa.int64()),
-                        pa.array([len(x) for x in items], pa.int64()),
-                        pa.array([hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in items], pa.string()),
-                        pa.array(n_hit > 0, pa.bool_()),
-                        pa.array(spans, _SPANS),
+                        pa.array(marks.n_words, pa.int64()),
+                        pa.array(marks.n_hit, pa.int64()),
+                        pa.array([len(x) for x in marks.items], pa.int64()),
+                        pa.array([hashlib.sha256(",".join(sorted(x)).encode()).hexdigest() for x in marks.items], pa.string()),
+                        pa.array(marks.n_hit > 0, pa.bool_()),
+                        _pairs([marks.spans(k) for k in range(len(marks.items))]),
                     ],
                     names=["doc_id", "n_words", "n_hit", "n_items", "items_sha256", "contaminated", "spans"],
                 )
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(look, SCAN)
+    return docs.mapInArrow(look, SCAN)
 
 
 def cut_spans(text: str | None, spans: list[tuple[int, int]]) -> str | None:
@@ -159,38 +206,27 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, width: int = WIDTH, who
 
     All columns of ``docs`` stay, ``text`` is cut; a column ``n_chars`` is set anew if there is one.
     """
-    blocks = window_blocks(benchmark, width, block_bytes)
     schema, has_chars = docs.schema, "n_chars" in docs.columns
+    docs, block = _earlier_passes(docs, benchmark, width, block_bytes)
 
     def clean(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for batch in text_slices(whole, "text"):
-                marks, spot = None, batch.schema.get_field_index("text")
-                for block in blocks:
-                    first, at, length, (starts, ends), _, (_, offsets) = block.value.find(batch.column("text"))
-                    hit = K.covered(int(first[-1]), at, length)
-                    marks = hit if marks is None else marks | hit
-                if not marks.any():
+                marks = Marks(batch, block.value)
+                batch = batch.select([f.name for f in schema])
+                if not marks.n_hit.any():
                     yield batch
                     continue
-                texts = batch.column("text").to_pylist()
-                keep = np.ones(len(texts), bool)
-                total = np.concatenate([[0], np.cumsum(marks)])
-                n_hit, n = total[first[1:]] - total[first[:-1]], np.diff(first)
-                for k in np.flatnonzero(n_hit).tolist():
-                    if n_hit[k] > whole_above * n[k]:
-                        keep[k] = False
-                        continue
-                    own = marks[first[k] : first[k + 1]]
-                    edge = np.diff(np.concatenate([[0], own.astype(np.int8), [0]]))
-                    pairs = zip(np.flatnonzero(edge == 1) + first[k], np.flatnonzero(edge == -1) + first[k] - 1)
-                    texts[k] = cut_spans(texts[k], [(int(starts[a] - offsets[k]), int(ends[b] - offsets[k])) for a, b in pairs])
+                texts, spot = batch.column("text").to_pylist(), batch.schema.get_field_index("text")
+                for k in np.flatnonzero(marks.n_hit).tolist():
+                    texts[k] = cut_spans(texts[k], marks.spans(k))
                 cols = list(batch.columns)
                 cols[spot] = pa.array(texts, batch.schema.field(spot).type)
                 if has_chars:
                     c = batch.schema.get_field_index("n_chars")
                     old = cols[c].to_pylist()
-                    cols[c] = pa.array([len(t) if h and t is not None else o for t, h, o in zip(texts, n_hit.tolist(), old)], batch.schema.field(c).type)
+                    cols[c] = pa.array([len(t) if h and t is not None else o for t, h, o in zip(texts, marks.n_hit.tolist(), old)], batch.schema.field(c).type)
+                keep = marks.n_hit <= whole_above * marks.n_words
                 yield pa.RecordBatch.from_arrays(cols, schema=batch.schema).filter(pa.array(keep))
 
     return docs.mapInArrow(clean, schema)
