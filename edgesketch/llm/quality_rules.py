@@ -51,6 +51,18 @@ def _normal_lines(text: Column) -> Column:
     return F.transform(_lines(F.lower(F.regexp_replace(text, "[0-9]+", "0"))), lambda x: F.btrim(x, F.lit(SPACE)))
 
 
+def _steps(array: str) -> Column:
+    """Falling powers of two below the size of an array: the strides of a binary search in it."""
+    powers = F.array(*[F.lit(1 << k) for k in range(30, -1, -1)])
+    return F.filter(powers, lambda s: s < F.size(array))
+
+
+def _among(h: Column, array: str, steps: str) -> Column:
+    """Whether a rising array holds ``h``, in as many steps as the array's size has bits."""
+    spot = F.aggregate(steps, F.lit(0), lambda at, s: F.when(F.get(array, at + s) <= h, at + s).otherwise(at))
+    return F.coalesce(F.get(array, spot) == h, F.lit(False))
+
+
 def _repeat_words(df: DataFrame, width: int = 8) -> DataFrame:
     """Adds n_repeat_words: words in windows of ``width`` words found twice or more in the text.
 
@@ -98,12 +110,12 @@ def common_lines(docs: DataFrame, line_limit: int = LINE_LIMIT) -> DataFrame:
 
 
 def lines_to_cut(measured: DataFrame, common: DataFrame, salts: int = SALTS) -> DataFrame:
-    """(doc_id, host, sig, cut): hashes of the lines that each document loses."""
+    """(doc_id, host, sig, cut, steps): rising hashes of the lines that each document loses, and the strides to search them."""
     own = measured.select("doc_id", "host", "sig", F.explode(F.array_distinct(F.col("lines.h"))).alias("h"), F.pmod(F.xxhash64("doc_id"), F.lit(salts)).alias("salt"))
     spread = common.select("host", "h", "first_doc", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(salts - 1).cast("long"))).alias("salt"))
     met = own.alias("a").join(spread.alias("b"), (F.col("a.h") == F.col("b.h")) & F.col("a.host").eqNullSafe(F.col("b.host")) & (F.col("a.salt") == F.col("b.salt")))
     lost = met.where(~F.col("a.doc_id").eqNullSafe(F.col("b.first_doc"))).select("a.doc_id", "a.host", "a.sig", "a.h")
-    return lost.groupBy("doc_id", "host", "sig").agg(F.collect_set("h").alias("cut"))
+    return lost.groupBy("doc_id", "host", "sig").agg(F.array_sort(F.collect_set("h")).alias("cut")).withColumn("steps", _steps("cut"))
 
 
 def judge(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST_LEFT, left_percent: int = LEFT_PERCENT) -> DataFrame:
@@ -113,8 +125,8 @@ def judge(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST
     both = measured.alias("m").join(
         cut.alias("c"), F.col("m.doc_id").eqNullSafe(F.col("c.doc_id")) & F.col("m.host").eqNullSafe(F.col("c.host")) & (F.col("m.sig") == F.col("c.sig")), "left"
     )
-    lost = F.aggregate(F.filter("lines", lambda x: F.array_contains(F.col("cut"), x["h"])), F.lit(0).cast("long"), lambda a, x: a + x["n"])
-    both = both.select("m.*", F.col("c.cut").alias("cut")).withColumn("words_left", F.col("n_words") - F.when(F.col("cut").isNull(), F.lit(0)).otherwise(lost))
+    lost = F.aggregate(F.filter("lines", lambda x: _among(x["h"], "cut", "steps")), F.lit(0).cast("long"), lambda a, x: a + x["n"])
+    both = both.select("m.*", F.col("c.cut").alias("cut"), F.col("c.steps").alias("steps")).withColumn("words_left", F.col("n_words") - F.when(F.col("cut").isNull(), F.lit(0)).otherwise(lost))
     depleted = (F.col("words_left") < least_left) | (100 * F.col("words_left") < left_percent * F.col("n_words"))
     return both.withColumn("kept", ~F.col("base_failed") & ~depleted)
 
@@ -124,7 +136,7 @@ FIGURES = ["doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_rep
 
 def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST_LEFT, left_percent: int = LEFT_PERCENT) -> DataFrame:
     """The documents that stay, with all their columns, their text without the lines above the limit."""
-    verdicts = judge(docs, line_limit, least_left, left_percent).select(F.col("doc_id").alias("__es_id"), F.col("host").alias("__es_host"), F.col("sig").alias("__es_sig"), F.col("cut").alias("__es_cut"), F.col("kept").alias("__es_kept"))
+    verdicts = judge(docs, line_limit, least_left, left_percent).select(F.col("doc_id").alias("__es_id"), F.col("host").alias("__es_host"), F.col("sig").alias("__es_sig"), F.col("cut").alias("__es_cut"), F.col("steps").alias("__es_steps"), F.col("kept").alias("__es_kept"))
     # written before it is filtered: a filter pushed below the figures would make a text's words for each window
     told = materialize(verdicts, "verdicts").where("__es_kept").drop("__es_kept").distinct()
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
@@ -132,7 +144,7 @@ def apply(docs: DataFrame, line_limit: int = LINE_LIMIT, least_left: int = LEAST
     met = own.join(told, F.col("doc_id").cast("long").eqNullSafe(F.col("__es_id")) & F.col("source").cast("string").eqNullSafe(F.col("__es_host")) & (F.col("__es_s") == F.col("__es_sig")))
     # one zipped array, made once for a text: a column that only a lambda names would be made for each line
     pairs = F.zip_with(_lines(F.col("text")), F.transform(_normal_lines(F.col("text")), lambda x: F.xxhash64(x)), lambda x, h: F.struct(x.alias("x"), h.alias("h")))
-    left = F.filter(pairs, lambda s: ~F.array_contains(F.col("__es_cut"), s["h"]))
+    left = F.filter(pairs, lambda s: ~_among(s["h"], "__es_cut", "__es_steps"))
     met = met.withColumn("text", F.when(F.col("__es_cut").isNull(), F.col("text")).otherwise(F.array_join(F.transform(left, lambda s: s["x"]), "\n")))
     if "n_chars" in docs.columns:
         met = met.withColumn("n_chars", F.when(F.col("__es_cut").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))

@@ -193,6 +193,18 @@ def test_quality_rules(spark):
     assert twice.count() == 2 * len(rows)
 
 
+def test_quality_rules_search_long_lists_of_lines(spark):
+    rng = random.Random(4)
+    shared = [f"shared {prose(rng, 3)}" for _ in range(201)]
+    rows = [(i, "\n".join(x for j, x in enumerate(shared) if (i + j) % 5) + "\n" + prose(rng, 600)) for i in range(9)]
+    source = lambda i: "s"
+    df = frame(spark, rows, source)
+    got = quality_rules.judge(df, line_limit=3)
+    assert {r.doc_id: tuple(r)[1:] for r in got.select(*quality_rules.FIGURES).collect()} == brute_quality(rows, source, 3)
+    assert got.agg(F.max(F.size("cut"))).first()[0] > 128
+    assert sum(r.text.count("shared ") for r in quality_rules.apply(df, line_limit=3).collect()) == 201
+
+
 # ---------------------------------------------------------------- op4
 
 
