@@ -328,3 +328,10 @@ def test_stream_redelivery_and_gather(spark):
     got = spark.read.parquet(out).collect()
     hub = [x for r in got if r.vertex == 0 for x in r.eids]
     assert all(len(r.eids) == full for r in got) and len(hub) == len(set(hub)) == 4 * full
+
+
+def test_numbers_are_dense_over_partitions_that_adapt(spark):
+    rows = spark.range(0, 600_000, numPartitions=8).select((599_999 - F.col("id")).alias("at"), F.xxhash64("id").alias("other"))
+    made = U._numbered(rows, F.col("at"))
+    wrong, n, _ = made.agg(F.count(F.when(F.col("seq") != F.col("at"), 1)), F.count(F.lit(1)), F.bit_xor("other")).first()
+    assert (wrong, n) == (0, 600_000)
