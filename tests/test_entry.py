@@ -36,3 +36,17 @@ def test_names_and_entry(spark):
 
     assert set(entry.oracle_sql()) <= set(entry.queries())
     assert entry.entry(spark).count() > 0
+
+
+#: Queries that used to make their data up, and read a given table now.
+READ_A_TABLE = ["er_edges"]
+
+
+@pytest.mark.parametrize("name", READ_A_TABLE)
+def test_query_reads_a_table(spark, duck, tmp_path, name):
+    from edgesketch import catalog
+
+    got = rows(catalog.queries()[name](spark, SF).toPandas())
+    assert got and got == rows(duck.sql(catalog.oracle_sql()[name]).df())
+    with pytest.raises(Exception, match="PATH_NOT_FOUND"):
+        catalog.queries()[name](spark, str(tmp_path)).collect()
