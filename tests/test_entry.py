@@ -39,7 +39,7 @@ def test_names_and_entry(spark):
 
 
 #: Queries that used to make their data up, and read a given table now.
-READ_A_TABLE = ["er_edges", "exact_min_cut", "hash_calls"]
+READ_A_TABLE = ["er_edges", "exact_min_cut", "hash_calls", "kron_edges"]
 
 
 @pytest.mark.parametrize("name", READ_A_TABLE)
