@@ -39,7 +39,7 @@ def test_names_and_entry(spark):
 
 
 #: Queries that used to make their data up, and read a given table now.
-READ_A_TABLE = ["er_edges", "exact_min_cut", "hash_calls", "kron_edges", "model_bytes", "sampler_bytes", "sampler_levels", "space_crossover", "w_bottlenecks", "w_hash_work", "w_k_laws"]
+READ_A_TABLE = ["er_edges", "exact_min_cut", "hash_calls", "kron_edges", "model_bytes", "sampler_bytes", "sampler_levels", "space_crossover", "w_bottlenecks", "w_hash_work", "w_k_laws", "w_matching_worst_case"]
 
 
 @pytest.mark.parametrize("name", READ_A_TABLE)
