@@ -12,7 +12,7 @@ from edgesketch.operators.forest import spanning_forest
 from edgesketch.operators.reach import reachable
 from edgesketch.operators.sketch import GraphSketch
 from edgesketch.plans import accuracy, costs, tasks, workloads
-from edgesketch.sources import generate
+from edgesketch.sources import generate, graphs
 from edgesketch.sources import io as files
 from edgesketch.sources import updates as U
 from edgesketch.streaming import ingest
@@ -335,3 +335,19 @@ def test_numbers_are_dense_over_partitions_that_adapt(spark):
     made = U._numbered(rows, F.col("at"))
     wrong, n, _ = made.agg(F.count(F.when(F.col("seq") != F.col("at"), 1)), F.count(F.lit(1)), F.bit_xor("other")).first()
     assert (wrong, n) == (0, 600_000)
+
+
+def test_suppliers_of_a_part_are_told_once_for_a_block_of_parts(spark, monkeypatch):
+    import numpy as np
+    import pyarrow as pa
+
+    rng = random.Random(5)
+    rows = sorted({(rng.randrange(40), 7 * rng.randrange(30)) for _ in range(500)} | {(50, s) for s in range(60)} | {(51, 3)})
+    want = {(a, b) for p, a in rows for q, b in rows if p == q and a < b}
+    cut = [pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in zip(*rows[at : at + 64])], names=["p", "s"]) for at in range(0, len(rows), 64)]
+    for at_once, bits in ((1 << 22, 1 << 26), (100, 1 << 26), (100, 0)):  # triangles in pieces, pairs without a table of bits
+        monkeypatch.setattr(graphs, "PAIRS_AT_ONCE", at_once)
+        monkeypatch.setattr(graphs, "PAIR_BITS", bits)
+        made = [x for b in graphs._pairs_of_parts(iter(cut)) for x in zip(b.column("u").to_pylist(), b.column("v").to_pylist())]
+        assert set(made) == want and (not bits or len(made) == len(want))
+    assert list(graphs._pairs_of_parts(iter([]))) == [] and np.all([u < v for u, v in made])
