@@ -351,3 +351,16 @@ def test_suppliers_of_a_part_are_told_once_for_a_block_of_parts(spark, monkeypat
         made = [x for b in graphs._pairs_of_parts(iter(cut)) for x in zip(b.column("u").to_pylist(), b.column("v").to_pylist())]
         assert set(made) == want and (not bits or len(made) == len(want))
     assert list(graphs._pairs_of_parts(iter([]))) == [] and np.all([u < v for u, v in made])
+
+
+def test_components_of_cliques_take_no_row_for_each_pair(spark, tmp_path):
+    from edgesketch import catalog
+
+    rows = [(i, i % 3 if i % 10 else None) for i in range(600)] + [(600, 9), (600, 1)]
+    spark.createDataFrame(rows, "vec_id long, label int").write.parquet(f"{tmp_path}/embeddings.parquet")
+    assert graphs.clique_stars(spark, str(tmp_path), "emb_label").count() <= 600
+    got = {r.vertex: r.component for r in catalog.queries()["cc_emb_label"](spark, str(tmp_path)).collect()}
+    least = {}
+    for i, x in rows:
+        least[x] = min(i, least.get(x, i))
+    assert got == {i: i if x is None else min(least[x], 1) if i == 600 else least[x] for i, x in rows}
