@@ -364,3 +364,13 @@ def test_components_of_cliques_take_no_row_for_each_pair(spark, tmp_path):
     for i, x in rows:
         least[x] = min(i, least.get(x, i))
     assert got == {i: i if x is None else min(least[x], 1) if i == 600 else least[x] for i, x in rows}
+
+
+def test_first_forests_of_a_certificate_are_those_of_a_smaller_one(spark):
+    e = frame(spark, random_edges(120, 30, 8))
+    p = SketchParams.for_edges(30, 120)
+    sets = []
+    for copies in (2, 4):
+        s = GraphSketch.build(U.from_edges(e), p.with_(copies=copies))
+        sets.append([({(r.u, r.v) for r in forest.collect()}, ok) for forest, ok in certificate.peeled(s)])
+    assert len(sets[1]) == 4 and sets[0] == sets[1][:2]
