@@ -10,7 +10,8 @@ A document's set are the hashes of its distinct word shingles; equal sets are on
 2. *Bin pivots.* In the region of a rare shingle, pairs are tested against pivots that are the bins
    of the hash space, 64 or more for large sets: by the triangle inequality of the symmetric difference, the sum of |a_g - b_g|
    over the bins g never exceeds |A xor B|. In the region of a frequent shingle no pairs are made;
-   its classes are tied to one centre.
+   a class is tied once to each group of those before it that the bins don't part from it. Only the
+   classes of a hub, a shingle of thousands of them, are tied to one centre unseen.
 3. What is tied together by 2 is a region. Its sets are fetched once, and the region is joined
    exactly and recursively, whatever its size: some members become pivots and are joined with all, any
    other class goes to its nearest pivot's Voronoi cell, and to that of any other pivot q with
@@ -48,8 +49,10 @@ def bins_for(n: int) -> int:
     return max(BINS, 1 << max(0, (n // 16 - 1).bit_length()))
 
 
-#: A shingle in so many documents is frequent: its region is tied to a centre instead of paired.
+#: A shingle in more classes is frequent: its region is tied together instead of paired.
 FREQUENT = 32
+#: A shingle in more classes is a hub: its region is tied to a centre.
+HUB = 2048
 #: A shingle in so many documents is ranked behind rarer ones.
 RANKED = 6
 #: Most entries of the ranking table that is broadcast; what is beyond it is only ranked as rare.
@@ -198,21 +201,24 @@ def _spread(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             )
 
 
-def _pairs_of_runs(percent: int, frequent: int):
-    """Over rows sorted by (h, n): pairs within runs of a shingle by size, or ties to a run's head."""
+#: What a row of ``_pairs_of_runs`` tells: a pair to test, a tie, or a member (b) of a run (a).
+TIE, PAIR, MEMBER = 0, 1, 2
+
+
+def _pairs_of_runs(percent: int, frequent: int, hub: int = HUB):
+    """Over rows sorted by (h, n): PAIRs within runs of a shingle by size, MEMBERs of longer runs, or TIEs to a hub's head."""
 
     def look(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         rest = None
-        centre: tuple[int, int] | None = None  # (h, cid) of a long run that has been cut
+        centre: tuple[int, int] | None = None  # (h, cid) of a hub's run that has been cut
 
         def work(h, cid, n, last: bool):
             nonlocal rest, centre
             edge = np.flatnonzero(np.concatenate([[True], h[1:] != h[:-1], [True]]))
             starts, sizes = edge[:-1], np.diff(edge)
-            stop = len(h)
             if not last:
                 stop = int(starts[-1])
-                if sizes[-1] <= frequent:
+                if sizes[-1] <= hub:
                     rest = (h[stop:], cid[stop:], n[stop:])
                     starts, sizes = starts[:-1], sizes[:-1]
                 else:
@@ -220,28 +226,34 @@ def _pairs_of_runs(percent: int, frequent: int):
             a, b, kind = [], [], []
             some = sizes > 1
             for s, k in zip(starts[some].tolist(), sizes[some].tolist()):
-                if centre is not None and centre[0] == h[s] or k > frequent:
+                if centre is not None and centre[0] == h[s] or k > hub:
                     head = centre[1] if centre is not None and centre[0] == h[s] else int(cid[s])
                     a.append(np.full(k, head))
                     b.append(cid[s : s + k])
-                    kind.append(np.zeros(k, bool))
+                    kind.append(np.full(k, TIE, np.int32))
                     centre = (int(h[s]), head)
+                elif k > frequent:
+                    # named by its members: the shingles of a passage have mostly the same ones
+                    name = hashlib.blake2b(cid[s : s + k].tobytes(), digest_size=8).digest()
+                    a.append(np.full(k, int.from_bytes(name, "little", signed=True)))
+                    b.append(cid[s : s + k])
+                    kind.append(np.full(k, MEMBER, np.int32))
                 else:
                     i, j = np.triu_indices(k, 1)  # at most ``frequent`` rows
                     fit = 100 * n[s + i].astype(np.int64) >= percent * n[s + j].astype(np.int64)
                     a.append(cid[s + i[fit]])
                     b.append(cid[s + j[fit]])
-                    kind.append(np.ones(int(fit.sum()), bool))
+                    kind.append(np.full(int(fit.sum()), PAIR, np.int32))
             if centre is not None and len(starts) and sizes[0] == 1 and centre[0] == h[0]:
                 a.append(np.array([centre[1]]))
                 b.append(cid[:1])
-                kind.append(np.zeros(1, bool))
+                kind.append(np.full(1, TIE, np.int32))
             if a:
                 a, b, kind = np.concatenate(a), np.concatenate(b), np.concatenate(kind)
-                lo, hi = np.minimum(a, b), np.maximum(a, b)
+                lo, hi = (np.where(kind == MEMBER, x, least(a, b)) for x, least in ((a, np.minimum), (b, np.maximum)))
                 _, keep = np.unique(np.stack([lo, hi, kind.astype(np.int64)]), axis=1, return_index=True)
-                keep = keep[lo[keep] != hi[keep]]
-                return pa.RecordBatch.from_arrays([pa.array(lo[keep]), pa.array(hi[keep]), pa.array(kind[keep])], names=["a", "b", "pair"])
+                keep = keep[(lo[keep] != hi[keep]) | (kind[keep] == MEMBER)]
+                return pa.RecordBatch.from_arrays([pa.array(lo[keep]), pa.array(hi[keep]), pa.array(kind[keep])], names=["a", "b", "kind"])
             return None
 
         for batch in rows:
@@ -257,22 +269,74 @@ def _pairs_of_runs(percent: int, frequent: int):
     return look
 
 
-def candidate_links(wide: DataFrame, percent: int, frequent: int, hot) -> DataFrame:
+#: Most bins that are told apart in a long run: wider ones are added up to so many.
+RUN_BINS = 1024
+
+
+def run_ties(n: np.ndarray, bins: list[np.ndarray], percent: int) -> list[tuple[int, int]]:
+    """Ties between classes in order of size n: whatever may link is tied or tied already, and strangers are not tied themselves."""
+    size = np.array([len(b) for b in bins])
+    full = np.array([bool((b == 65535).any()) for b in bins])  # such a bin says nothing
+    own = [b.astype(np.int64).reshape(min(len(b), RUN_BINS), -1).sum(axis=1) for b in bins]
+    edge = np.flatnonzero(np.concatenate([[True], np.minimum(size[1:], RUN_BINS) != np.minimum(size[:-1], RUN_BINS), [True]])).tolist()
+    levels = [(x, y, np.stack(own[x:y])) for x, y in zip(edge, edge[1:])]
+    comp, ties = np.arange(len(n)), []
+    for i in range(1, len(n)):
+        first, stop, width = int(np.searchsorted(100 * n[:i], percent * n[i])), i, 32
+        while stop > first:
+            start, width = max(first, stop - width), 2 * width
+            for x, y, body in levels:
+                some = np.arange(max(x, start), min(y, stop))
+                some = some[comp[some] != comp[i]]
+                if len(some):
+                    apart = np.abs(body[some - x] - own[i].reshape(body.shape[1], -1).sum(axis=1)).sum(axis=1)
+                    near = full[i] | full[some] | (apart * (100 + percent) <= (100 - percent) * (n[some] + n[i]))
+                    for j in some[near].tolist():
+                        if comp[j] != comp[i]:
+                            ties.append((j, i))
+                            comp[comp == comp[j]] = comp[i]
+            stop = start
+    return ties
+
+
+def _ties_of_runs(percent: int):
+    """Over rows sorted by (run, n): ``run_ties`` of each run, at most one less than its members."""
+
+    def look(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def told():
+            cid, n = (np.array([x[k] for x in held], np.int64) for k in (0, 1))
+            ties = run_ties(n, [np.frombuffer(x[2], "<u2") for x in held], percent) if len(held) > 1 else []
+            return pa.RecordBatch.from_arrays([pa.array(cid[[t[k] for t in ties]] if ties else [], pa.int64()) for k in (0, 1)], names=["a", "b"])
+
+        for batch in rows:
+            for run, *member in zip(*(batch.column(k).to_pylist() for k in ("run", "cid", "n", "bins"))):
+                if run != now:
+                    yield told()
+                    now, held = run, []
+                held.append(member)
+        yield told()
+
+    return look
+
+
+def candidate_links(wide: DataFrame, percent: int, frequent: int, hot, hub: int = HUB) -> DataFrame:
     """(a, b) class links whose components are the regions: 2 of the module's text."""
     spark = wide.sparkSession
     classes = wide.where("n > 0").groupBy("cid").agg(F.first(F.struct("n", "prefix", "bins")).alias("x")).select("cid", "x.*")
     classes = materialize(classes, "classes")
     rows = classes.select("cid", "n", "prefix").mapInArrow(_spread, "h long, cid long, n int")
     known, counts = hot
-    often = spark.createDataFrame(pa.table({"h": known[counts >= frequent].view(np.int64)}))
+    often = spark.createDataFrame(pa.table({"h": known[counts >= hub].view(np.int64)}))
     marked = rows.join(F.broadcast(often.withColumn("hot", F.lit(True))), "h", "left")
     marked = materialize(marked, "pivots")
-    # frequent shingles: a centre for each by partial aggregates, then ties to it
+    # hubs: a centre for each by partial aggregates, then ties to it
     heads = marked.where("hot").groupBy("h").agg(F.min("cid").alias("a"))
     ties = marked.where("hot").join(F.broadcast(heads), "h").select("a", F.col("cid").alias("b")).where("a <> b").distinct()
-    # rare ones: pairs within the region of a shingle
+    # others: pairs within the region of a rare shingle, the members of that of a frequent one
     cold = marked.where("hot is null").drop("hot").repartition(partitions_for(spark), "h").sortWithinPartitions("h", "n", "cid")
-    found = materialize(cold.mapInArrow(_pairs_of_runs(percent, frequent), "a long, b long, pair boolean").distinct(), "candidates")
+    found = materialize(cold.mapInArrow(_pairs_of_runs(percent, frequent, hub), "a long, b long, kind int").distinct(), "candidates")
     bins = classes.select("cid", "n", "bins")
     left = bins.toDF("a", "na", "ba")
     right = bins.toDF("b", "nb", "bb")
@@ -294,8 +358,11 @@ def candidate_links(wide: DataFrame, percent: int, frequent: int, hot) -> DataFr
                 keep[some] = full | (apart * (100 + percent) <= (100 - percent) * both[some])
             yield batch.select(["a", "b"]).filter(pa.array(keep))
 
-    passed = found.where("pair").join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(near, "a long, b long")
-    return passed.union(found.where("not pair").select("a", "b")).union(ties)
+    passed = found.where(F.col("kind") == PAIR).join(left, "a").join(right, "b").select("a", "b", "na", "nb", "ba", "bb").mapInArrow(near, "a long, b long")
+    runs = found.where(F.col("kind") == MEMBER).select(F.col("a").alias("run"), F.col("b").alias("cid")).join(bins, "cid")
+    runs = runs.repartition(partitions_for(spark), "run").sortWithinPartitions("run", "n", "cid").select("run", "cid", "n", "bins")
+    parted = runs.mapInArrow(_ties_of_runs(percent), "a long, b long")
+    return passed.union(parted).union(found.where(F.col("kind") == TIE).select("a", "b")).union(ties)
 
 
 class Region:

@@ -599,6 +599,26 @@ def test_jaccard_large_region_that_pivots_do_not_part(spark, near):
     assert found is None or found.isEmpty() != near
 
 
+def test_jaccard_frequent_shingle_ties_no_strangers(spark):
+    # 60 strangers with one shingle that the ranking missed: a region of all would be copied between tasks once it is large
+    rng = np.random.default_rng(6)
+    draw = lambda n: np.unique(np.append(rng.integers(8, 2**64, n - 1, dtype=np.uint64), np.uint64(7)))
+    sets = [draw(n) for n in rng.integers(60, 1400, 60)]
+    for n in (80, 1035):  # near copies, one pair on both sides of a change of the number of bins
+        base = draw(n)
+        sets += [base, base[: n - n // 50]]
+    told = []
+    for k, own in enumerate(sets):
+        b = jaccard.bins_for(len(own))
+        counts = np.bincount((own >> np.uint64(65 - b.bit_length())).astype(np.int64), minlength=b).astype("<u2")
+        told.append((k, k, len(own), k, k, bytearray(own[: jaccard.prefix_length(len(own), 85)].tobytes()), bytearray(counts.tobytes())))
+    wide, none = spark.createDataFrame(told, jaccard.WIDE), (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    found = {(min(r), max(r)) for r in jaccard.candidate_links(wide, 85, 8, none).collect()}
+    assert found == {(60, 61), (62, 63)}
+    hub = jaccard.candidate_links(wide, 85, 8, none, hub=20).collect()
+    assert {k for r in hub for k in r} == set(range(64))
+
+
 def test_jaccard_pivots_are_bounded_by_bytes(spark):
     many = spark.createDataFrame([(1, i, bytearray(80), 4, 40.0) for i in range(4)], "region long, cid long, body binary, k long, s double")
     assert len(jaccard._pivots(many, 0, 200)[1]) == 2 and jaccard._pivots(many, 0, 79) == {}
