@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from edgesketch.functions.sampler import SketchParams
 from edgesketch.operators import buckets, certificate, cuts, exact
-from edgesketch.operators.batching import BatchPolicy, route
+from edgesketch.operators.batching import BatchPolicy, counted_traffic, route, traffic
 from edgesketch.operators.forest import spanning_forest
 from edgesketch.operators.reach import reachable
 from edgesketch.operators.sketch import GraphSketch
@@ -374,3 +374,10 @@ def test_first_forests_of_a_certificate_are_those_of_a_smaller_one(spark):
         s = GraphSketch.build(U.from_edges(e), p.with_(copies=copies))
         sets.append([({(r.u, r.v) for r in forest.collect()}, ok) for forest, ok in certificate.peeled(s)])
     assert len(sets[1]) == 4 and sets[0] == sets[1][:2]
+
+
+@pytest.mark.parametrize("policy", [BatchPolicy("raw"), BatchPolicy("delta"), BatchPolicy("hybrid", 1, 0.04), BatchPolicy("hybrid")])
+def test_traffic_is_counted_without_bodies(spark, policy):
+    p = SketchParams(400, samplers=2)
+    ends = U.endpoints(U.from_edges(spark.range(3000).selectExpr("id % 5 u", "5 + id % 390 v")).coalesce(3))
+    assert counted_traffic(ends, p, policy).first() == traffic(route(ends, p, policy), p).first()
