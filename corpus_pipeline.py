@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from edgesketch.llm import decontam, jaccard, packing, quality_rules, suffix_dedup
-from edgesketch.llm.common import scratch_path, table
+from edgesketch.llm.common import delete_path, scratch_path, scratch_scope, shuffles_released, table
 
 #: Bytes of a repeated passage that the corpus is cleaned of: less than 50 words of any usual length.
 PASSAGE_BYTES = 200
@@ -49,12 +49,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages in order; each result is written as Parquet and read again."""
-    docs = table(spark, sf_dir, "documents")
-    for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k < len(STAGES) - 1:
-            path = scratch_path(spark, f"stage-{k}")
-            docs.write.parquet(path)
-            docs = spark.read.parquet(path)
-    return docs
+    """Applies the stages in order; each result is written as Parquet and read again, and what it was made of goes."""
+    docs, before = table(spark, sf_dir, "documents"), None
+    for k, (name, stage) in enumerate(STAGES[:-1]):
+        with scratch_scope(spark), shuffles_released(spark):
+            path = scratch_path(spark, f"stage-{k}", outer=1)
+            stage(spark, docs, sf_dir).write.parquet(path)
+        if before is not None:
+            delete_path(spark, before)
+        docs, before = spark.read.parquet(path), path
+    return STAGES[-1][1](spark, docs, sf_dir)

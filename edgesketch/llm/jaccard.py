@@ -321,8 +321,8 @@ def _ties_of_runs(percent: int):
     return look
 
 
-def candidate_links(wide: DataFrame, percent: int, frequent: int, hot, hub: int = HUB) -> DataFrame:
-    """(a, b) class links whose components are the regions: 2 of the module's text."""
+def pivot_rows(wide: DataFrame, hot, hub: int = HUB) -> tuple[DataFrame, DataFrame]:
+    """(a row for each class and singleton pivot, the bins of each class); both outlive the caller's scope, what they are made of doesn't."""
     spark = wide.sparkSession
     classes = wide.where("n > 0").groupBy("cid").agg(F.first(F.struct("n", "prefix", "bins")).alias("x")).select("cid", "x.*")
     classes = materialize(classes, "classes")
@@ -330,14 +330,25 @@ def candidate_links(wide: DataFrame, percent: int, frequent: int, hot, hub: int
     known, counts = hot
     often = spark.createDataFrame(pa.table({"h": known[counts >= hub].view(np.int64)}))
     marked = rows.join(F.broadcast(often.withColumn("hot", F.lit(True))), "h", "left")
-    marked = materialize(marked, "pivots")
+    return materialize(marked, "pivots", outer=1), materialize(classes.select("cid", "n", "bins"), "bins", outer=1)
+
+
+def candidate_links(wide: DataFrame, percent: int, frequent: int, hot, hub: int = HUB) -> DataFrame:
+    """(a, b) class links whose components are the regions: 2 of the module's text."""
+    with scratch_scope(wide.sparkSession):
+        marked, bins = pivot_rows(wide, hot, hub)
+    return links_of_pivots(marked, bins, percent, frequent, hub)
+
+
+def links_of_pivots(marked: DataFrame, bins: DataFrame, percent: int, frequent: int, hub: int = HUB) -> DataFrame:
+    """``candidate_links`` of classes whose pivots are written already."""
+    spark = marked.sparkSession
     # hubs: a centre for each by partial aggregates, then ties to it
     heads = marked.where("hot").groupBy("h").agg(F.min("cid").alias("a"))
     ties = marked.where("hot").join(F.broadcast(heads), "h").select("a", F.col("cid").alias("b")).where("a <> b").distinct()
     # others: pairs within the region of a rare shingle, the members of that of a frequent one
     cold = marked.where("hot is null").drop("hot").repartition(partitions_for(spark), "h").sortWithinPartitions("h", "n", "cid")
     found = materialize(cold.mapInArrow(_pairs_of_runs(percent, frequent, hub), "a long, b long, kind int").distinct(), "candidates")
-    bins = classes.select("cid", "n", "bins")
     left = bins.toDF("a", "na", "ba")
     right = bins.toDF("b", "nb", "bb")
 
@@ -455,6 +466,7 @@ SETS = "region long, cid long, body binary"
 def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: int, shared: dict[tuple[int, int], int] | None = None) -> DataFrame:
     """The set of each class of a region, made anew from the text of one of its rows."""
     one = wide.join(regions, "cid").groupBy("cid", "region").agg(_least("row", "doc_id").alias("row"))
+    one = materialize(one, "region-rows")  # where few documents have near ones, its known size keeps the texts from being shuffled
     met = _docs(docs).join(one, "row").select("region", "cid", "text")
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -581,9 +593,12 @@ def _grouped(docs: DataFrame, width: int, percent: int, frequent: int = FREQUENT
     """doc_id, row and set size of every row, and of its component the least doc_id and the row that has it."""
     spark = docs.sparkSession
     hot = ranking(docs, width)
-    wide, shared = told_apart(materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets"))
     with scratch_scope(spark):
-        regions = connected(candidate_links(wide, percent, frequent, hot)).toDF("cid", "region")
+        with scratch_scope(spark):  # the packed pivots go before their rows are dealt by shingle
+            packed, shared = told_apart(materialize(prefixes(docs, width, percent, spark.sparkContext.broadcast(hot)), "sets"))
+            wide = materialize(packed.select("doc_id", "row", "n", "cid"), "rows", outer=2)
+            marked, bins = pivot_rows(packed, hot)
+        regions = connected(links_of_pivots(marked, bins, percent, frequent)).toDF("cid", "region")
         regions = materialize(regions, "region-names", outer=True)
     with scratch_scope(spark):
         sets = materialize(_region_sets(docs, wide.select("doc_id", "row", "cid"), regions, width, shared), "regions")
@@ -614,7 +629,7 @@ def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     with scratch_scope(docs.sparkSession):
         found = _grouped(docs, width, percent).select("doc_id", "row", (F.col("row") != F.col("first_row")).alias("lost"))
         found = materialize(found, "near-duplicates", outer=True)
-    lost = found.where("lost").select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")).distinct()
+    lost = materialize(found.where("lost").select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")).distinct(), "lost-rows")
     twice = found.groupBy("doc_id", "row").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     twice = materialize(twice.select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")), "repeated-rows")
     met = F.col("doc_id").cast("long").eqNullSafe(F.col("__es_id")) & (F.col("__es_row") == F.col("__es_lost"))

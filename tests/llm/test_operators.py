@@ -3,6 +3,7 @@
 import hashlib
 import html
 import html.parser
+import os
 import random
 import re
 import struct
@@ -15,6 +16,7 @@ from pyspark.sql import functions as F
 
 from edgesketch.llm import classifier, decontam, html_text, jaccard, packing, quality_rules, suffix_dedup, token_files, tokens, url_filter
 from edgesketch.llm import textkit as K
+from edgesketch.llm.common import shared_dir
 from edgesketch.llm.components import connected
 
 GIVEN = "/root/testdata/sf0.01"
@@ -619,6 +621,36 @@ def test_jaccard_frequent_shingle_ties_no_strangers(spark):
     assert {k for r in hub for k in r} == set(range(64))
 
 
+def test_pipeline_keeps_no_disk_of_what_is_done(spark, monkeypatch, tmp_path):
+    # shuffles of a written table, the packed pivots while their rows are paired, and all but the last stage's output are gone
+    import corpus_pipeline as P
+
+    shuffles = lambda: spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ").count("/shuffle_")
+    held = lambda: set(os.listdir(shared_dir(spark).removeprefix("file://") + "/edgesketch"))
+    spark._jvm.System.gc()
+    docs = spark.range(2000).selectExpr("id doc_id", "concat_ws(' ', id, id + 1, id + 2, id % 7, id + 3, id + 5) text")
+    jaccard.materialize(docs.limit(1), "first")
+    before, seen, real = shuffles(), {}, jaccard.materialize
+
+    def told(df, tag, outer=0):
+        seen[tag] = held() - old
+        return real(df, tag, outer)
+
+    old = held()
+    real(docs.groupBy("text").count(), "counted")
+    assert shuffles() <= before
+    monkeypatch.setattr(jaccard, "materialize", told)
+    jaccard.keep_one(docs).count()
+    assert any(x.startswith("pivots-") for x in seen["candidates"]) and not any(x.startswith(("sets-", "classes-")) for x in seen["candidates"])
+    monkeypatch.undo()
+    (tmp_path / "in").mkdir()
+    docs.write.parquet(f"{tmp_path}/in/documents.parquet")
+    old, stages = held(), [(f"s{k}", lambda s, d, _, k=k: real(d, f"of-{k}").where(f"doc_id <> {k}")) for k in range(4)]
+    monkeypatch.setattr(P, "STAGES", stages)
+    assert P.run(spark, f"{tmp_path}/in").count() == 1996
+    assert sorted(x.rsplit("-", 1)[0] for x in held() - old) == ["of-3", "stage-2"]
+
+
 def test_jaccard_pivots_are_bounded_by_bytes(spark):
     many = spark.createDataFrame([(1, i, bytearray(80), 4, 40.0) for i in range(4)], "region long, cid long, body binary, k long, s double")
     assert len(jaccard._pivots(many, 0, 200)[1]) == 2 and jaccard._pivots(many, 0, 79) == {}
