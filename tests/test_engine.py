@@ -93,6 +93,27 @@ def test_sketch_merge_io_and_epochs(spark, tmp_path):
     assert x.is_current(1) and not x.is_current(2)
 
 
+
+def test_flush_writes_one_sketch(spark, monkeypatch):
+    # the updates of a flush had a sketch of their own on disk, and its shuffles stayed
+    from edgesketch.operators import sketch as S
+    from edgesketch.tables import scratch_scope
+
+    a, b = [(0, 1), (1, 2), (3, 4)], [(1, 2), (2, 3), (5, 6)]
+    files = lambda: spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString(" ").count("/shuffle_")
+    with scratch_scope(spark):
+        spark._jvm.System.gc()
+        before, written, real = files(), [], S.write_bodies
+        monkeypatch.setattr(S, "write_bodies", lambda rows, params, path, mode="error": (written.append(path), real(rows, params, path, mode)))
+        p = SketchParams(30)
+        held = GraphSketch.build(U.from_edges(frame(spark, a)), p, epoch=1)
+        late = held.advance(U.from_edges(frame(spark, b)), 2)
+        assert written == [held.path, late.path] and files() <= before and late.epoch == 2
+        both = held.merge(GraphSketch.build(U.from_edges(frame(spark, b)), p))
+        told = lambda s: {(r.vertex, bytes(r.body)) for r in s.bodies.collect() if any(r.body)}
+        assert told(late) == told(both) and len(told(late)) == 7
+
+
 def test_streams(spark):
     e = random_edges(40, 20, 5)
     for stream in (U.from_edges(frame(spark, e)), U.churn(frame(spark, e))):
