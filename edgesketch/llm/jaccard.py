@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from edgesketch.llm import textkit as K
-from edgesketch.llm.common import materialize, partitions_for, scratch_scope, table, text_slices
+from edgesketch.llm.common import Sieve, materialize, partitions_for, scratch_scope, table, text_slices
 from edgesketch.llm.components import connected
 
 BINS = 64
@@ -349,6 +349,9 @@ def links_of_pivots(marked: DataFrame, bins: DataFrame, percent: int, frequent:
     # others: pairs within the region of a rare shingle, the members of that of a frequent one
     cold = marked.where("hot is null").drop("hot").repartition(partitions_for(spark), "h").sortWithinPartitions("h", "n", "cid")
     found = materialize(cold.mapInArrow(_pairs_of_runs(percent, frequent, hub), "a long, b long, kind int").distinct(), "candidates")
+    # of the bins only those of classes that are in a pair or a run are shuffled
+    met = found.where(F.col("kind") != TIE).select(F.explode(F.when(F.col("kind") == PAIR, F.array("a", "b")).otherwise(F.array("b"))).alias("cid"))
+    bins = Sieve(met, "cid").may_have(bins, "cid")
     left = bins.toDF("a", "na", "ba")
     right = bins.toDF("b", "nb", "bb")
 
@@ -466,8 +469,8 @@ SETS = "region long, cid long, body binary"
 def _region_sets(docs: DataFrame, wide: DataFrame, regions: DataFrame, width: int, shared: dict[tuple[int, int], int] | None = None) -> DataFrame:
     """The set of each class of a region, made anew from the text of one of its rows."""
     one = wide.join(regions, "cid").groupBy("cid", "region").agg(_least("row", "doc_id").alias("row"))
-    one = materialize(one, "region-rows")  # where few documents have near ones, its known size keeps the texts from being shuffled
-    met = _docs(docs).join(one, "row").select("region", "cid", "text")
+    one = materialize(one, "region-rows")
+    met = Sieve(one, "row").may_have(_docs(docs), "row").join(one, "row").select("region", "cid", "text")  # of the texts only those of regions are shuffled
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()  # rows that are repeated give a class once a task

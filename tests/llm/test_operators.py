@@ -16,8 +16,9 @@ from pyspark.sql import functions as F
 
 from edgesketch.llm import classifier, decontam, html_text, jaccard, packing, quality_rules, suffix_dedup, token_files, tokens, url_filter
 from edgesketch.llm import textkit as K
-from edgesketch.llm.common import shared_dir
+from edgesketch.llm.common import Sieve, shared_dir
 from edgesketch.llm.components import connected
+from edgesketch.plans import tasks
 
 GIVEN = "/root/testdata/sf0.01"
 WORDS = "the of and to in is that it was for on are with as his they at be this from".split()
@@ -651,6 +652,36 @@ def test_pipeline_keeps_no_disk_of_what_is_done(spark, monkeypatch, tmp_path):
     assert sorted(x.rsplit("-", 1)[0] for x in held() - old) == ["of-3", "stage-2"]
 
 
+def test_sieve_loses_no_key(spark):
+    keys = spark.range(0, 6000, 3).select((F.col("id") - 900).alias("key"))
+    for most, passed in ((1 << 25, 2300), (64, 6000)):  # a full sieve lets all pass
+        sieve = Sieve(keys.union(keys), "key", most)
+        rows = spark.range(-900, 5100).select("id", F.lit("x").alias("text"))
+        may = {r.id for r in sieve.may_have(rows, "id").collect()}
+        without = {r.id for r in sieve.surely_without(rows, "id").collect()}
+        assert may | without == set(range(-900, 5100)) and not may & without
+        assert {r.key for r in keys.collect()} <= may and len(may) <= passed
+    none = Sieve(keys.limit(0), "key")
+    assert none.may_have(rows, "id").isEmpty() and none.surely_without(rows, "id").count() == 6000
+
+
+def test_jaccard_shuffles_no_text_outside_regions(spark):
+    rng, name = random.Random(21), "spark.sql.autoBroadcastJoinThreshold"
+    texts = [" ".join(str(rng.random()) for _ in range(300)) for _ in range(300)]
+    docs = jaccard.materialize(spark.createDataFrame([*enumerate(texts), (900, texts[7] + " tail")], "doc_id long, text string"), "given")
+    wide = docs.select("doc_id", jaccard._row().alias("row"), F.col("doc_id").alias("cid"))
+    regions = spark.createDataFrame([(7, 7), (900, 7)], "cid long, region long")
+    ids = {i: jaccard.class_id(jaccard.shingle_sets(pa.array([t]), 4)[0]) for i, t in ((7, texts[7]), (900, texts[7] + " tail"))}
+    before = spark.conf.get(name)
+    spark.conf.set(name, "-1")  # as where the table of the regions' rows is large
+    try:
+        with tasks.measured(spark) as told:
+            got = jaccard._region_sets(docs, wide, regions, 4, {v: k for k, v in ids.items()}).collect()
+    finally:
+        spark.conf.set(name, before)
+    assert {r.cid for r in got} == {7, 900} and told.shuffle_written < 200_000 < sum(map(len, texts)) / 5
+
+
 def test_jaccard_pivots_are_bounded_by_bytes(spark):
     many = spark.createDataFrame([(1, i, bytearray(80), 4, 40.0) for i in range(4)], "region long, cid long, body binary, k long, s double")
     assert len(jaccard._pivots(many, 0, 200)[1]) == 2 and jaccard._pivots(many, 0, 79) == {}
