@@ -636,10 +636,14 @@ def keep_one(docs: DataFrame, width: int = 5, percent: int = 80) -> DataFrame:
     twice = found.groupBy("doc_id", "row").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
     twice = materialize(twice.select(F.col("doc_id").alias("__es_id"), F.col("row").alias("__es_lost")), "repeated-rows")
     met = F.col("doc_id").cast("long").eqNullSafe(F.col("__es_id")) & (F.col("__es_row") == F.col("__es_lost"))
-    kept = docs.withColumn("__es_row", _row()).join(lost, met, "left_anti")
+    named = docs.withColumn("__es_row", _row())
+    # of the texts only those of rows that may be lost or repeated are shuffled
+    sieve = Sieve(lost.union(twice), "__es_lost")
+    kept = sieve.may_have(named, "__es_row").join(lost, met, "left_anti")
     if not twice.isEmpty():
         once = kept.join(twice, met, "left_anti")
         kept = once.unionByName(kept.join(twice, met, "left_semi").dropDuplicates(["doc_id", "__es_row"]))
+    kept = sieve.surely_without(named, "__es_row").unionByName(kept)
     return kept.drop("__es_row")
 
 

@@ -682,6 +682,23 @@ def test_jaccard_shuffles_no_text_outside_regions(spark):
     assert {r.cid for r in got} == {7, 900} and told.shuffle_written < 200_000 < sum(map(len, texts)) / 5
 
 
+def test_jaccard_keep_one_shuffles_no_text_of_rows_that_stay(spark):
+    rng, name = random.Random(22), "spark.sql.autoBroadcastJoinThreshold"
+    texts = [" ".join(str(rng.random()) for _ in range(300)) for _ in range(300)]
+    rows = [*enumerate(texts), (900, texts[7] + " tail"), (3, texts[3]), (None, texts[5])]
+    docs = jaccard.materialize(spark.createDataFrame(rows, "doc_id long, text string"), "given")
+    before = spark.conf.get(name)
+    spark.conf.set(name, "-1")  # as where the tables of lost and repeated rows are large
+    try:
+        kept = jaccard.keep_one(docs)
+        with tasks.measured(spark) as told:
+            kept.write.format("noop").mode("overwrite").save()
+    finally:
+        spark.conf.set(name, before)
+    assert sorted((r.doc_id, r.text) for r in kept.collect()) == list(enumerate(texts))
+    assert told.shuffle_written < 200_000 < sum(map(len, texts)) / 5
+
+
 def test_jaccard_pivots_are_bounded_by_bytes(spark):
     many = spark.createDataFrame([(1, i, bytearray(80), 4, 40.0) for i in range(4)], "region long, cid long, body binary, k long, s double")
     assert len(jaccard._pivots(many, 0, 200)[1]) == 2 and jaccard._pivots(many, 0, 79) == {}
