@@ -466,6 +466,18 @@ def test_html_rests_on_the_suffix_array(spark, monkeypatch):
     assert all("home news" in r.text for r in html_text.extract(df).collect())
 
 
+def test_html_undeclared_block_that_repeats_the_article_of_another_page(spark):
+    story = "storm floods the valley and many roads are closed until monday"
+    rows = [(1, "http://one.host/", f"<article><p>{story}</p></article>"), (2, "http://one.host/", f"<article><p>own text</p></article><div>{story}</div><p>some words that only the second page of this host has</p>")]
+    rows += [(3, "http://two.host/", rows[1][2]), (4, "http://three.host/", f"<article><p>{story}</p></article><div>{story}</div>"), (5, "http://one.host/", f"<article><h1>copy</h1><p>{story}</p></article>")]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").repartition(4)
+    got = {r.page_id: r.text.split("\n\n") for r in html_text.extract(df).collect()}
+    assert got[1] == [story] and got[5] == ["copy", story]  # a declared article is kept whole
+    assert got[2] == ["own text", "some words that only the second page of this host has"]
+    assert got[3] == ["own text", story, "some words that only the second page of this host has"]  # another host
+    assert got[4] == [story, story]  # of one page
+
+
 def test_html_three_blocks(spark):
     df = spark.createDataFrame([(1, "http://a.b/", "<article><p>one</p><p>two\n words</p><div>three</div></article>")], "page_id long, url string, html string")
     assert html_text.extract(df).first().text == "one\n\ntwo words\n\nthree"
