@@ -424,3 +424,14 @@ def test_graph_sizes_derive_the_edges_once(spark, tmp_path, monkeypatch):
     table = workloads.dataset_table(spark, str(tmp_path), ["part_supplier"])
     assert tuple(table.select("vertices", "edges").first()) == wanted and len(read) == 1
     assert table._jdf.queryExecution().executedPlan().toString().count("FileScan") == 2  # lineitem, and part for its size
+
+
+def test_edges_of_a_prepared_graph_are_told_apart_once(spark, tmp_path):
+    spark.createDataFrame([(i,) for i in range(20)], "p_partkey long").write.parquet(f"{tmp_path}/part.parquet")
+    spark.createDataFrame([(i % 7, i % 11) for i in range(200)], "l_partkey long, l_suppkey long").write.parquet(f"{tmp_path}/lineitem.parquet")
+    edges, _, n = workloads.prepared(spark, str(tmp_path), "part_supplier")
+    stream = workloads.inserts(edges)
+    assert "Exchange" not in stream._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, stream.collect())) == sorted(map(tuple, U.from_edges(edges).collect())) and stream.count() == n
+    loose = spark.createDataFrame([(1, 2), (2, 1), (3, 3), (None, 4), (5, 6)], "u long, v long")
+    assert sorted((r.u, r.v) for r in workloads.inserts(loose).collect()) == [(1, 2), (5, 6)]
